@@ -6,10 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, urlfilter
+from . import decontam, ngram_join, packing, urlfilter
 from .common import table
 
 
+def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.near_copies(table(spark, sf_dir, "documents"))
+
+
+def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.filter_urls(table(spark, sf_dir, "pages"))
 
@@ -19,8 +27,8 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op7_url_filter, op8_decontamination)}
+    return {f.__name__: f for f in (op2_ngram_join, op6_packing, op7_url_filter, op8_decontamination)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_url_filter": urlfilter.ORACLE_SQL, "op8_decontamination": decontam.ORACLE_SQL}
+    return {"op2_ngram_join": ngram_join.ORACLE_SQL, "op7_url_filter": urlfilter.ORACLE_SQL, "op8_decontamination": decontam.ORACLE_SQL}
