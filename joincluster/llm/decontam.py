@@ -99,7 +99,9 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
         for f in found:
             seeds = seeds.unionByName(f)
         seeds = seeds.distinct()
-    grown = _windows(_grams(maybe.select("doc_id", "row", "h").distinct().join(seeds, ["doc_id", "row"], "left_semi")))
+    grown = maybe.select("doc_id", "row", "h").join(seeds, ["doc_id", "row"], "left_semi").dropDuplicates(["doc_id", "row"])
+    # Written first: a filter inferred from the explode below would be pushed through, and repeat, every level of the hashes.
+    grown = c.written(_windows(_grams(grown)))
     at = grown.select("doc_id", "row", F.posexplode("g10").alias("pos", "gram"))
     for n in lengths:
         at = at.unionByName(grown.where(F.size("h") >= n).select("doc_id", "row", F.posexplode(_short("h", n)).alias("pos", "gram")))
