@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, hmm, ngram_join, packing, toxicity, urlfilter
+from . import decontam, fingerprints, hmm, html_extract, ngram_join, packing, toxicity, urlfilter
 from .common import table
 
 
@@ -18,6 +18,10 @@ def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.near_copies(table(spark, sf_dir, "documents"))
 
 
+def op3_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprints.edited_fingerprints(table(spark, sf_dir, "documents"))
+
+
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"))
 
@@ -34,8 +38,12 @@ def op9_hmm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hmm.score(table(spark, sf_dir, "documents"))
 
 
+def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_ngram_join, op6_packing, op7_url_filter, op8_decontamination, op9_hmm)}
+    return {f.__name__: f for f in (op1_toxicity, op2_ngram_join, op3_fingerprints, op6_packing, op7_url_filter, op8_decontamination, op9_hmm, op10_html)}
 
 
 def oracle_sql() -> dict[str, str]:
