@@ -74,11 +74,11 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     )
     docs = _kept(_grams(docs))
     n_marks = marks.count()
-    bits = c.filter_bits(max(1, n_marks))
+    bits = c.filter_bits(max(1, n_marks), 128)
     near = F.lit(True)
     if bits <= c.FILTER_BITS_MOST:  # else every document's kept hashes go to the join below
-        held = c.bit_words(marks, "gram", bits)
-        near = F.exists("kept", lambda x: c.in_filter(x, held))
+        held = c.bit_words(marks, "gram", bits, (0, 1))
+        near = F.exists("kept", lambda x: c.in_filter(x, held, (0, 1)))
     if lengths:
         shorts = c.written(spans.where(F.col("len") < WINDOW).select("gram").distinct())
         short_bits = c.filter_bits(shorts.count())
@@ -125,6 +125,12 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     )
 
 
+def keep_clean(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """The rows of documents, all columns, whose doc_id has no hit."""
+    bad = c.written(decontaminate(documents, benchmark).where("contaminated").select("doc_id").distinct())
+    return documents.join(bad, "doc_id", "left_anti").select(documents.columns)
+
+
 ORACLE_SQL = r"""
 WITH d0 AS (
   SELECT DISTINCT doc_id, coalesce(text,'') AS text,
