@@ -10,6 +10,7 @@ import tempfile
 import uuid
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -63,26 +64,83 @@ def with_sql(df: DataFrame, **exprs: str) -> DataFrame:
 
 # ---- word hashing for the Arrow operators -------------------------------------------------
 
-_WORDS: dict[bytes, int] = {}
-_WORDS_MOST = 1_500_000
-
-
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    """A 64-bit hash of each word. The cache is emptied when it is full, so memory is bounded."""
-    import xxhash
-
-    known = _WORDS
-    try:
-        return np.fromiter(map(known.__getitem__, words), dtype=np.uint64, count=len(words))
-    except KeyError:
-        pass
-    if len(known) > _WORDS_MOST:
-        known.clear()
-    h = xxhash.xxh64_intdigest
-    for w in set(words):
-        if w not in known:
-            known[w] = h(w)
-    return np.fromiter(map(known.__getitem__, words), dtype=np.uint64, count=len(words))
+_FOLDED = np.frombuffer(FOLD, np.uint8)
+_BLANK = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+#: An odd multiplier (fixed value), and powers of it and of its inverse modulo 2^64, grown when a longer stretch comes.
+_R = 0x9E3779B97F4A7C15
+_POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+#: Bytes that are hashed at once; longer texts go in stretches that end at white space.
+STRETCH = 1 << 20
+
+
+def _powers(n: int) -> list[np.ndarray]:
+    if len(_POWERS[0]) < n:
+        n = max(n, STRETCH + 1)
+        for i, r in enumerate((_R, pow(_R, -1, 1 << 64))):
+            x = np.full(n, r, np.uint64)
+            x[0] = 1
+            with np.errstate(over="ignore"):
+                _POWERS[i] = np.cumprod(x, dtype=np.uint64)
+    return _POWERS
+
+
+def _stretch(raw: np.ndarray, opens: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes, starts and ends of the words of raw; opens marks the places where a text begins."""
+    low = _FOLDED[raw]
+    word = ~_BLANK[raw]
+    edge = np.empty(len(raw) + 1, bool)
+    edge[0] = edge[-1] = True
+    edge[1:-1] = ~word[:-1] | opens[1:]
+    starts = np.flatnonzero(word & edge[:-1])
+    after = np.empty(len(raw), bool)
+    after[-1] = True
+    after[:-1] = ~word[1:] | opens[1:]
+    ends = np.flatnonzero(word & after) + 1
+    up, down = _powers(len(raw) + 1)
+    with np.errstate(over="ignore"):
+        sums = np.zeros(len(raw) + 1, np.uint64)
+        np.cumsum((low.astype(np.uint64) + np.uint64(1)) * up[: len(raw)], out=sums[1:])
+        h = (sums[ends] - sums[starts]) * down[starts]
+        h = mixed(h ^ ((ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), 50)
+    return h, starts, ends
+
+
+def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of a column of texts: 64-bit hashes of all words (runs without ASCII white space, A-Z lower-cased), each
+    word's last three bytes as a number, and where each text's words begin and end in them. Null is empty.
+    """
+    texts = texts.cast(pa.large_binary())
+    at = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset : texts.offset + len(texts) + 1]
+    body = texts.buffers()[2]
+    raw = np.frombuffer(body, np.uint8)[at[0] : at[-1]] if body is not None and len(at) else np.empty(0, np.uint8)
+    at = at - at[0] if len(at) else np.zeros(1, np.int64)
+    opens = np.zeros(len(raw) + 1, bool)
+    opens[at] = True
+    hs, ss, tails = [], [], []
+    lo = 0
+    while lo < len(raw):
+        hi = min(lo + STRETCH, len(raw))
+        if hi < len(raw):
+            cut = np.flatnonzero(_BLANK[raw[lo:hi]] | opens[lo + 1 : hi + 1])
+            while not len(cut) and hi < len(raw):  # one word longer than a stretch
+                hi = min(2 * hi - lo, len(raw))
+                cut = np.flatnonzero(_BLANK[raw[lo:hi]] | opens[lo + 1 : hi + 1])
+            if hi < len(raw):
+                hi = lo + int(cut[-1]) + 1
+        h, starts, ends = _stretch(raw[lo:hi], opens[lo : hi])
+        part = _FOLDED[raw[lo:hi]].astype(np.int64)
+        last = np.zeros(len(h), np.int64)
+        for i in (1, 2, 3):
+            p = ends - i
+            last = last * 256 + np.where(p >= starts, part[np.maximum(p, 0)], 0)
+        hs.append(h)
+        ss.append(starts + lo)
+        tails.append(last)
+        lo = hi
+    h, starts = (np.concatenate(x) if x else np.empty(0, t) for x, t in ((hs, np.uint64), (ss, np.int64)))
+    tail = np.concatenate(tails) if tails else np.empty(0, np.int64)
+    first = np.searchsorted(starts, at)
+    return h, tail, first[:-1], first[1:]
 
 
 def mixed(x: np.ndarray, seed: int) -> np.ndarray:

@@ -14,6 +14,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,33 +26,23 @@ HELD = 1 << 18
 #: Rows that the first parameters are drawn from; the passes after it read all training rows.
 FIRST_ROWS, FIRST_MIXING, FIRST_PASSES, PASSES = 500, 12, 4, 2
 _LOW = np.uint64(TAILS - 1)
-_KEYS: dict[bytes, int] = {}
+#: The key of the end token, of the last tail class (a fixed value; no word has it but by a chance of 2^-54).
+END = np.uint64(0xE5D1A7C3B9F0_0000 | (TAILS - 1))
 
 
-def _key(word: bytes) -> int:
-    """54 bits of the word's hash, then the 10 bits of its class."""
-    import xxhash
+def token_keys(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Keys of all tokens of a column of texts, text after text, each closed by its end; and how many each text has.
 
-    return xxhash.xxh64_intdigest(word) & ~(TAILS - 1) | xxhash.xxh32_intdigest(word[-3:]) & (TAILS - 1)
-
-
-END = _key(b"\n")
-
-
-def keys_of(text: str | None) -> np.ndarray:
-    """The keys of a text's words and its end."""
-    words = (text or "").encode().translate(c.FOLD).split()
-    try:
-        got = list(map(_KEYS.__getitem__, words))
-    except KeyError:
-        if len(_KEYS) > 1_500_000:
-            _KEYS.clear()
-        for w in set(words):
-            if w not in _KEYS:
-                _KEYS[w] = _key(w)
-        got = list(map(_KEYS.__getitem__, words))
-    got.append(END)
-    return np.array(got, dtype=np.uint64)
+    A key is 54 bits of the word's hash, then 10 bits of its class, which its last three bytes decide.
+    """
+    h, tail, first, last = c.word_hashes(texts)
+    low = c.mixed(tail.astype(np.uint64), 60) & _LOW
+    many = last - first + 1
+    out = np.full(len(h) + len(many), END, np.uint64)
+    place = np.ones(len(out), bool)
+    place[np.cumsum(many) - 1] = False
+    out[place] = (h & ~_LOW) | low
+    return out, many
 
 
 def word_counts(documents: DataFrame) -> DataFrame:
@@ -61,10 +52,10 @@ def word_counts(documents: DataFrame) -> DataFrame:
         held: list[np.ndarray] = []
         total = 0
         for b in batches:
-            for t, out in zip(b.column("text").to_pylist(), b.column("held_out").to_pylist(), strict=True):
-                if not out:
-                    held.append(keys_of(t))
-                    total += len(held[-1])
+            b = b.filter(pc.invert(b.column("held_out")))
+            for at in range(0, b.num_rows, 2000):
+                held.append(token_keys(b.column("text").slice(at, 2000))[0])
+                total += len(held[-1])
                 if total > 3_000_000:
                     yield _counted(held)
                     held, total = [], 0
@@ -121,19 +112,28 @@ def encoded(documents: DataFrame, vocabulary: Vocabulary) -> DataFrame:
         for batch in batches:
             for lo in range(0, batch.num_rows, 1000):
                 b = batch.slice(lo, 1000)
-                out: list[tuple] = []
-                for t in b.column("text").to_pylist():
-                    k = keys_of(t)
-                    held, at = v.find(k)
-                    logs = np.where(held, np.log10(v.n[at] + 1.0) if len(v.n) else 0.0, 0.0)
-                    own = np.where(held, v.own[at] if len(v.own) else -1, -1)
-                    tail = own < 0
-                    low = (k & _LOW).astype(np.int64)
-                    rare, many = np.unique(k[~held], return_counts=True)
-                    out.append((np.where(tail, CLASSES + low, own).astype("<u2").tobytes(), len(k), int(held.sum()), float(logs.sum()), float(logs[tail].sum()), float(v.log_spread[low[tail]].sum()), rare.view(np.int64).tolist(), many.tolist()))
-                cols = list(zip(*out, strict=True))
-                kinds = [pa.binary(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32())]
-                yield pa.RecordBatch.from_arrays([*(b.column(x) for x in ("doc_id", "row", "held_out")), *(pa.array(x, k) for x, k in zip(cols, kinds, strict=True))], ["doc_id", "row", "held_out", "classes", "n_tokens", "n_held", "log_held", "log_tail", "log_spread", "rare", "many"])
+                k, many = token_keys(b.column("text"))
+                ends = np.cumsum(many)
+                starts = ends - many
+                held, at = v.find(k)
+                logs = np.where(held, np.log10(v.n[at] + 1.0) if len(v.n) else 0.0, 0.0)
+                own = np.where(held, v.own[at] if len(v.own) else -1, -1)
+                tail = own < 0
+                low = (k & _LOW).astype(np.int64)
+                classes = np.where(tail, CLASSES + low, own).astype("<u2")
+                total = lambda x: np.add.reduceat(x, starts) if len(starts) else np.empty(0)
+                rare = [np.unique(k[i:j][~held[i:j]], return_counts=True) for i, j in zip(starts, ends, strict=True)]
+                stops = pa.array(np.cumsum([0, *(len(x) for x, _ in rare)], dtype=np.int32))
+                flat = [np.concatenate([x[i] for x in rare]) if rare else np.empty(0, np.uint64) for i in (0, 1)]
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        *(b.column(x) for x in ("doc_id", "row", "held_out")), pa.array([classes[i:j].tobytes() for i, j in zip(starts, ends, strict=True)], pa.binary()),
+                        pa.array(many, pa.int64()), pa.array(total(held.astype(np.int64)), pa.int64()), pa.array(total(logs), pa.float64()),
+                        pa.array(total(np.where(tail, logs, 0.0)), pa.float64()), pa.array(total(np.where(tail, v.log_spread[low], 0.0)), pa.float64()),
+                        pa.ListArray.from_arrays(stops, pa.array(flat[0].view(np.int64))), pa.ListArray.from_arrays(stops, pa.array(flat[1], pa.int32())),
+                    ],
+                    ["doc_id", "row", "held_out", "classes", "n_tokens", "n_held", "log_held", "log_tail", "log_spread", "rare", "many"],
+                )
 
     return documents.mapInArrow(run, "doc_id long, row long, held_out boolean, classes binary, n_tokens long, n_held long, log_held double, log_tail double, log_spread double, rare array<long>, many array<int>")
 

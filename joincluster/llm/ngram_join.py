@@ -7,9 +7,11 @@ agree (with l > 1) before any pair is verified. All orders put the shingles that
 share last and sort the rest by a seeded hash.
 
 Equal sets are one class, joined only once. Inside the bucket of a prefix token the members are
-first compared with one leader; only members outside the leader's component are then compared with
-the others, so a large group of near copies costs a star, not all its pairs, and no link between
-components is lost.
+first compared with one leader. Only buckets that then hold several components are searched further:
+small ones pair by pair, large ones with their members dealt into blocks of bounded size that are
+compared block against block, where a block pair returns just the links that connect what was not
+connected. A large group of near copies so costs a
+star rather than all its pairs, and no link between components is lost.
 """
 
 from __future__ import annotations
@@ -18,6 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -27,23 +30,31 @@ SHINGLE, PERCENT = 4, 85
 #: Shared shingles are counted exactly within a task; those seen so often there are named as frequent.
 #: The list only shapes the orders: any list gives the same links.
 FREQUENT_FROM, FREQUENT_TASK, FREQUENT_MOST = 3, 1 << 14, 1 << 17
+#: Buckets of at most FEW sets are searched pair by pair, so pairs grow with the buckets' rows; larger ones by blocks of about BLOCK sets.
+FEW, BLOCK = 64, 200
 
 
-def shingle_set(text: str | None, size: int) -> np.ndarray:
-    """The sorted distinct 64-bit shingle hashes of a text; a text of fewer words is one shingle."""
-    words = (text or "").encode().translate(c.FOLD).split()
-    if not words:
-        return np.empty(0, np.uint64)
-    h = c.word_hashes(words)
+def shingle_sets(texts: pa.Array, size: int) -> Iterator[np.ndarray]:
+    """The sorted distinct 64-bit shingle hashes of each text; a text of fewer words is one shingle."""
+    h, _, first, last = c.word_hashes(texts)
+    n = max(0, len(h) - size + 1)
     with np.errstate(over="ignore"):
-        if len(h) < size:
-            h = np.array([np.bitwise_xor.reduce(c.mixed(h * np.arange(3, 3 + 2 * len(h), 2, dtype=np.uint64), len(h)))])
-            return c.mixed(h, 101 + len(words))
-        n = len(h) - size + 1
-        s = h[:n].copy()
+        all_ = h[:n].copy()
         for i in range(1, size):
-            s = s * np.uint64(0x9E3779B97F4A7C15) + h[i : i + n]
-    return np.unique(c.mixed(s, 100))
+            all_ = all_ * np.uint64(0x9E3779B97F4A7C15) + h[i : i + n]
+        all_ = c.mixed(all_, 100)
+        for lo, hi in zip(first.tolist(), last.tolist(), strict=True):
+            if hi - lo >= size:
+                s = np.sort(all_[lo : hi - size + 1])
+                keep = np.empty(len(s), bool)
+                keep[0] = True
+                np.not_equal(s[1:], s[:-1], out=keep[1:])
+                yield s[keep]
+            elif hi > lo:
+                w = h[lo:hi] * np.arange(3, 3 + 2 * (hi - lo), 2, dtype=np.uint64)
+                yield c.mixed(np.array([np.bitwise_xor.reduce(c.mixed(w, hi - lo))]), 101 + hi - lo)
+            else:
+                yield np.empty(0, np.uint64)
 
 
 def _lists(arrays: list[np.ndarray]) -> pa.Array:
@@ -77,8 +88,8 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
 
         total = 0
         for b in batches:
-            for t in b.column("text").to_pylist():
-                held.append(s := shingle_set(t, size))
+            for s in shingle_sets(b.column("text"), size):
+                held.append(s)
                 total += len(s)
                 if total > most:
                     kept, total = merge(), 0
@@ -97,84 +108,166 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
     return np.sort(np.array([r["shingle"] for r in rows], dtype=np.int64).view(np.uint64))
 
 
+def _prefix(s: np.ndarray, order: int, length: int, late: np.ndarray) -> np.ndarray:
+    length = min(length, len(s))
+    if length in (0, len(s)):
+        return s[:length]
+    rank = (c.mixed(s, order) >> np.uint64(1)) | late
+    return s[np.argpartition(rank, length - 1)[:length]]
+
+
+def _late(s: np.ndarray, frequent: np.ndarray) -> np.ndarray:
+    """The bit that puts frequent shingles last in every order."""
+    if not len(s) or not len(frequent):
+        return np.zeros(len(s), np.uint64)
+    i = np.minimum(np.searchsorted(frequent, s), len(frequent) - 1)
+    return (frequent[i] == s).astype(np.uint64) << np.uint64(63)
+
+
+def _first(n: int, percent: int) -> int:
+    return n - -(-percent * n // 100) + 1 if n else 0
+
+
 def _prefixes(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -> DataFrame:
-    """doc_id, n, set (hash of the set, null if empty), p1 (first order), e2 and e3 (longer prefixes of two other orders), least."""
+    """doc_id, n, set (hash of the set, null if empty), p1 (prefix under the first order)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 2000):
                 b = batch.slice(at, 2000)
-                ns, sets, leasts, out = [], [], [], ([], [], [])
-                for t in b.column("text").to_pylist():
-                    s = shingle_set(t, size)
-                    n = len(s)
-                    ns.append(n)
-                    sets.append(set_hash(s) if n else None)
-                    first = n - -(-percent * n // 100) + 1 if n else 0
-                    least = max(1, first // 2) if n else 0
-                    leasts.append(least)
-                    late = np.zeros(n, np.uint64)
-                    if n and len(frequent):
-                        i = np.minimum(np.searchsorted(frequent, s), len(frequent) - 1)
-                        late = (frequent[i] == s).astype(np.uint64) << np.uint64(63)
-                    for order, length in ((0, first), (1, first - 1 + least), (2, first - 1 + least)):
-                        length = min(length, n)
-                        rank = (c.mixed(s, order) >> np.uint64(1)) | late
-                        out[order].append(s[np.argpartition(rank, length - 1)[:length]] if 0 < length < n else s)
+                ns, sets, out = [], [], []
+                for s in shingle_sets(b.column("text"), size):
+                    ns.append(len(s))
+                    sets.append(set_hash(s) if len(s) else None)
+                    out.append(_prefix(s, 0, _first(len(s), percent), _late(s, frequent)))
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(ns, pa.int64()), pa.array(sets, pa.int64()), _lists(out)], ["doc_id", "n", "set", "p1"])
+
+    return documents.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, set long, p1 array<long>")
+
+
+def _near(sets: DataFrame, reps: DataFrame, documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -> DataFrame:
+    """set, n, least, e2, e3 (longer prefixes of two further orders), body of the sets of a table (column set)."""
+    ids = c.written(sets.select("set").distinct().join(reps.select("set", "doc_id"), "set"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                b = batch.slice(at, 500)
+                got = list(shingle_sets(b.column("text"), size))
+                least = [max(1, _first(len(s), percent) // 2) for s in got]
+                longer = [_lists([_prefix(s, o, _first(len(s), percent) - 1 + k, _late(s, frequent)) for s, k in zip(got, least, strict=True)]) for o in (1, 2)]
                 yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id").cast(pa.int64()), pa.array(ns, pa.int64()), pa.array(sets, pa.int64()), *map(_lists, out), pa.array(leasts, pa.int32())],
-                    ["doc_id", "n", "set", "p1", "e2", "e3", "least"],
+                    [b.column("doc_id").cast(pa.int64()), pa.array([set_hash(s) for s in got], pa.int64()), pa.array([len(s) for s in got], pa.int64()), pa.array(least, pa.int32()), *longer, pa.array([s.tobytes() for s in got], pa.binary())],
+                    ["doc_id", "set", "n", "least", "e2", "e3", "body"],
                 )
 
-    return documents.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, set long, p1 array<long>, e2 array<long>, e3 array<long>, least int")
+    texts = documents.select("doc_id", "text")
+    bits = c.filter_bits(max(1, ids.count()))
+    if bits <= c.FILTER_BITS_MOST:  # so that the join below moves few texts besides those it needs
+        texts = texts.where(c.in_filter(F.col("doc_id"), c.bit_words(ids, "doc_id", bits, (0, 1)), (0, 1)))
+    rows = texts.join(ids.select("doc_id").distinct(), "doc_id", "left_semi").mapInArrow(run, "doc_id long, set long, n long, least int, e2 array<long>, e3 array<long>, body binary")
+    return c.written(rows.join(ids, ["doc_id", "set"], "left_semi").dropDuplicates(["set"]).drop("doc_id"))
 
 
-def _sized(x: Column, y: Column, percent: int) -> Column:
-    return F.least(x, y) * 100 >= F.greatest(x, y) * percent
+def _shares(x: np.ndarray, y: np.ndarray) -> int:
+    """Size of the intersection of two sorted sets."""
+    if len(x) > len(y):
+        x, y = y, x
+    if not len(x):
+        return 0
+    i = np.minimum(np.searchsorted(y, x), len(y) - 1)
+    return int((y[i] == x).sum())
 
 
-def _linked(pairs: DataFrame, reps: DataFrame, documents: DataFrame, size: int, percent: int) -> DataFrame:
-    """Those (a, b) of pairs whose sets link: both further orders must agree, then the sets decide."""
-    side = lambda x: reps.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in ("e2", "e3", "least")])
+def _links(pairs: DataFrame, near: DataFrame, percent: int) -> DataFrame:
+    """Those (a, b) of pairs whose sets link: sizes and both further orders must agree, then the sets decide."""
+    side = lambda x, *ks: near.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in ks])
     enough = F.least("least_a", "least_b")
-    near = c.written(
-        pairs.join(side("a"), "a").join(side("b"), "b")
+    left = c.written(
+        pairs.select("a", "b").join(side("a", "least", "e2", "e3"), "a").join(side("b", "least", "e2", "e3"), "b")
         .where((F.size(F.array_intersect("e2_a", "e2_b")) >= enough) & (F.size(F.array_intersect("e3_a", "e3_b")) >= enough))
         .select("a", "b")
     )
-    nodes = near.select(F.col("a").alias("set")).unionByName(near.select(F.col("b").alias("set"))).distinct()
-    ids = nodes.join(reps.select("set", "doc_id"), "set")
-
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                b = batch.slice(at, 1000)
-                got = [shingle_set(t, size) for t in b.column("text").to_pylist()]
-                yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id").cast(pa.int64()), pa.array([set_hash(s) for s in got], pa.int64()), pa.array([s.tobytes() for s in got], pa.binary())], ["doc_id", "set", "body"]
-                )
-
-    bodies = c.written(
-        documents.select("doc_id", "text").join(ids.select("doc_id").distinct(), "doc_id", "left_semi").mapInArrow(sets, "doc_id long, set long, body binary")
-        .join(ids, ["doc_id", "set"], "left_semi").dropDuplicates(["set"]).select("set", "body")
-    )
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             keep = []
             for x, y in zip(b.column("body_a"), b.column("body_b"), strict=True):
                 x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                if len(x) > len(y):
-                    x, y = y, x
-                i = np.minimum(np.searchsorted(y, x), len(y) - 1)
-                both = int((y[i] == x).sum())
+                both = _shares(x, y)
                 keep.append(100 * both >= percent * (len(x) + len(y) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return (
-        near.join(bodies.select(F.col("set").alias("a"), F.col("body").alias("body_a")), "a").join(bodies.select(F.col("set").alias("b"), F.col("body").alias("body_b")), "b")
-        .select("a", "b", "body_a", "body_b").mapInArrow(verify, "a long, b long")
-    )
+    return left.join(side("a", "body"), "a").join(side("b", "body"), "b").select("a", "b", "body_a", "body_b").mapInArrow(verify, "a long, b long")
+
+
+def _counts(x: list[np.ndarray], y: list[np.ndarray]) -> np.ndarray:
+    """Intersection sizes of every list of x with every list of y."""
+    tokens = np.concatenate(y)
+    owner = np.repeat(np.arange(len(y)), [len(v) for v in y])
+    order = np.argsort(tokens, kind="stable")
+    tokens, owner = tokens[order], owner[order]
+    out = np.zeros((len(x), len(y)), np.int64)
+    for i, v in enumerate(x):
+        lo, hi = np.searchsorted(tokens, v), np.searchsorted(tokens, v, "right")
+        many = hi - lo
+        at = np.repeat(lo - np.concatenate([[0], np.cumsum(many)[:-1]]), many) + np.arange(many.sum()) if len(v) else np.empty(0, np.int64)
+        out[i] = np.bincount(owner[at], minlength=len(y))
+    return out
+
+
+def _compare(percent: int):
+    """Links that connect the sets of two blocks, as few as connect them: pairs already connected are not verified."""
+
+    def run(table: pa.Table) -> pa.Table:
+        one = table.filter(pa.compute.equal(table["block"], table["x"]))
+        two = one if table["x"][0].as_py() == table["y"][0].as_py() else table.filter(pa.compute.equal(table["block"], table["y"]))
+        read = lambda t, k: [np.array(v, np.int64) for v in t[k].to_pylist()]
+        ids = [t["set"].to_pylist() for t in (one, two)]
+        parent = {r: r for t in (one, two) for r in t["root"].to_pylist()}
+        roots = [t["root"].to_pylist() for t in (one, two)]
+
+        def top(r):
+            while parent[r] != r:
+                parent[r] = r = parent[parent[r]]
+            return r
+
+        n, least = ([t[k].to_numpy() for t in (one, two)] for k in ("n", "least"))
+        enough = np.minimum(least[0][:, None], least[1][None, :])
+        fits = np.minimum(n[0][:, None], n[1][None, :]) * 100 >= np.maximum(n[0][:, None], n[1][None, :]) * percent
+        for e in ("e2", "e3"):
+            if fits.any():
+                fits &= _counts(read(one, e), read(two, e)) >= enough
+        bodies = [[np.frombuffer(v.as_buffer(), np.uint64) for v in t["body"].combine_chunks()] for t in (one, two)]
+        out = []
+        for i, j in zip(*np.nonzero(fits), strict=True):
+            p, q = top(roots[0][i]), top(roots[1][j])
+            if p != q:
+                both = _shares(bodies[0][i], bodies[1][j])
+                if 100 * both >= percent * (n[0][i] + n[1][j] - both):
+                    parent[max(p, q)] = min(p, q)
+                    out.append((ids[0][i], ids[1][j]))
+        return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
+
+    return run
+
+
+def _sized(x: str, y: str, percent: int) -> Column:
+    return F.least(x, y) * 100 >= F.greatest(x, y) * percent
+
+
+def _block_links(wide: DataFrame, near: DataFrame, percent: int, block: int) -> DataFrame:
+    """Links inside large buckets (token, set, leader, root): sets are dealt into blocks by the leader of their first
+    bucket, and two blocks meet once if they share a bucket that holds more than one component. A task holds two blocks.
+    """
+    home = wide.groupBy("set", "root").agg(F.min("leader").alias("home"))
+    sizes = home.groupBy("home").agg(F.ceil(F.count("*") / block).alias("parts"))
+    home = c.written(home.join(sizes, "home").select("set", "root", F.xxhash64("home", F.pmod(F.xxhash64(F.lit(9), "set"), "parts")).alias("block")))
+    held = c.written(wide.join(home.select("set", "block"), "set").groupBy("token", "block").agg(F.min("root").alias("lo"), F.max("root").alias("hi")))
+    x, y = (held.select("token", F.col("block").alias(k), F.col("lo").alias(f"lo_{k}"), F.col("hi").alias(f"hi_{k}")) for k in ("x", "y"))
+    meet = c.written(x.join(y, "token").where("x <= y and (lo_x != hi_x or lo_y != hi_y or lo_x != lo_y)").select("x", "y").distinct())
+    rows = meet.select("x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block")).join(home, "block").join(near, "set")
+    return rows.groupBy("x", "y").applyInArrow(_compare(percent), "a long, b long")
 
 
 def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -186,38 +279,47 @@ def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCEN
     Rows that repeat are equal sets and so linked. An empty table gives an empty result.
     """
     documents = documents.select("doc_id", "text")
-    read = c.written(_prefixes(documents, frequent_shingles(documents, size), size, percent))
-    classes = read.where("set is not null").groupBy("set").agg(F.min("doc_id").alias("doc_id"))
-    reps = c.written(read.join(classes, ["set", "doc_id"], "left_semi").dropDuplicates(["set"]))
-
-    tokens = reps.select(F.explode("p1").alias("token"), "set", "n")
-    shared = tokens.groupBy("token").agg(F.count("*").alias("members"), F.min(F.struct("set", "n")).alias("leader")).where("members > 1")
-    buckets = c.written(tokens.join(shared, "token").select("token", "set", "n", "members", F.col("leader.set").alias("leader"), F.col("leader.n").alias("leader_n")))
-    stars = buckets.where((F.col("set") != F.col("leader")) & _sized(F.col("n"), F.col("leader_n"), percent)).select(F.col("leader").alias("a"), F.col("set").alias("b")).distinct()
-    links = c.written(_linked(stars, reps, documents, size, percent))
+    frequent = frequent_shingles(documents, size)
+    read = c.written(_prefixes(documents, frequent, size, percent))
+    reps = c.written(read.where("set is not null").groupBy("set").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n")))
+
+    tokens = read.where("set is not null").select(F.explode("p1").alias("token"), "set", "n")
+    shared = tokens.groupBy("token").agg(F.min("set").alias("leader"), F.max("set").alias("last")).where("leader != last").select("token", "leader")
+    buckets = c.written(tokens.join(shared, "token").distinct())
+    stars = buckets.where("set != leader").select(F.col("leader").alias("a"), F.col("set").alias("b"), F.col("n").alias("n_b")).distinct()
+    stars = c.written(stars.join(reps.select(F.col("set").alias("a"), F.col("n").alias("n_a")), "a").where(_sized("n_a", "n_b", percent)).select("a", "b"))
+    ends = lambda p: p.select(F.explode(F.array("a", "b")).alias("set"))
+    near = _near(ends(stars), reps, documents, frequent, size, percent)
+    links = c.written(_links(stars, near, percent))
+
+    root = c.components(links).select(F.col("node").alias("set"), "root")
+    wide = buckets.join(root, "set", "left").select("token", "set", "n", "leader", F.coalesce("root", "set").alias("root"))
+    several = wide.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("members")).where("lo != hi and members > 2").select("token", "members")
+    wide = c.written(wide.join(several, "token"))
+    few = wide.where((F.col("members") <= FEW) & (F.col("set") != F.col("leader")))
+    x, y = (few.select("token", F.col("set").alias(k), F.col("n").alias(f"n_{k}"), F.col("root").alias(f"root_{k}")) for k in ("a", "b"))
+    pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
+    many = wide.where(F.col("members") > FEW)
+    more = ends(pairs).unionByName(many.select("set")).distinct().join(near.select("set"), "set", "left_anti")
+    near = near.unionByName(_near(more, reps, documents, frequent, size, percent))
+    links = links.unionByName(c.written(_links(pairs, near, percent))).unionByName(c.written(_block_links(many, near, percent, BLOCK)))
 
     roots = c.components(links)
-    of = lambda x: roots.select(F.col("node").alias(x), F.col("root").alias(f"{x}_root"))
-    wide = (
-        buckets.where("members > 2").join(of("set"), "set", "left").join(of("leader"), "leader", "left")
-        .select("token", "set", "n", "leader", F.coalesce("set_root", "set").alias("root"), (F.coalesce("set_root", "set") == F.coalesce("leader_root", "leader")).alias("led"))
-    )
-    wide = c.written(wide.where("set != leader"))
-    x = wide.where("not led").select("token", F.col("set").alias("a"), F.col("n").alias("n_a"), F.col("root").alias("root_a"))
-    y = wide.select("token", F.col("set").alias("b"), F.col("n").alias("n_b"), F.col("root").alias("root_b"), "led")
-    rest = (
-        x.join(y, "token").where((F.col("root_a") != F.col("root_b")) & (F.col("led") | (F.col("a") < F.col("b"))) & _sized(F.col("n_a"), F.col("n_b"), percent))
-        .select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    )
-    links = links.unionByName(c.written(_linked(rest, reps, documents, size, percent)))
-
-    roots = c.components(links)
-    named = classes.join(roots.withColumnRenamed("node", "set"), "set", "left").select("set", "doc_id", F.coalesce("root", "set").alias("root"))
+    named = reps.select("set", "doc_id").join(roots.withColumnRenamed("node", "set"), "set", "left").select("set", "doc_id", F.coalesce("root", "set").alias("root"))
     least = named.groupBy("root").agg(F.min("doc_id").alias("component_id"))
     named = named.join(least, "root").select("set", "component_id")
     return read.select("doc_id", "n", "set").join(named, "set", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
+def keep_first(documents: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """The rows of documents, all columns, without those that link (over others) to a smaller doc_id; of rows with one doc_id and linked texts one stays."""
+    found = c.written(near_copies(documents, size, percent))
+    out = documents.join(found.where("component_id != doc_id").select("doc_id").distinct(), "doc_id", "left_anti")
+    if not found.where("n_shingles > 0").groupBy("doc_id").count().where("count > 1").isEmpty():
+        out = out.where(F.coalesce("text", F.lit("")).rlike(r"^[\x20\x09-\x0D]*$")).unionByName(out.where(~F.coalesce("text", F.lit("")).rlike(r"^[\x20\x09-\x0D]*$")).dropDuplicates(["doc_id"]))
+    return out.select(documents.columns)
+
+
 ORACLE_SQL = r"""
 WITH RECURSIVE w AS (
   SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text,''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w
