@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, fingerprints, hmm, html_extract, ngram_join, packing, toxicity, urlfilter
+from . import decontam, fingerprints, hmm, html_extract, licenses, ngram_join, packing, pii, toxicity, urlfilter
 from .common import table
 
 
@@ -22,6 +22,14 @@ def op3_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.edited_fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op4_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.find(table(spark, sf_dir, "documents"))
+
+
+def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"))
 
@@ -42,8 +50,14 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract(table(spark, sf_dir, "pages"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_ngram_join, op3_fingerprints, op6_packing, op7_url_filter, op8_decontamination, op9_hmm, op10_html)}
+    return {f.__name__: f for f in (op1_toxicity, op2_ngram_join, op3_fingerprints, op4_pii, op5_licenses, op6_packing, op7_url_filter, op8_decontamination, op9_hmm, op10_html, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
