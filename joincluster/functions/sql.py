@@ -8,24 +8,24 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
-from pyspark.sql.types import Row
+from pyspark.sql.types import DoubleType, IntegerType, Row
 
 from ..operators.line import line_kmeans
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def grid_encode(value: pd.Series, upper: pd.Series) -> pd.Series:
     """The segment of a number by an array of upper ends."""
     return pd.Series([None if v is None or np.isnan(v) else int(min(np.searchsorted(u, v, "left"), len(u) - 1)) for v, u in zip(value.astype(float), upper, strict=True)], dtype="Int32")
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def nearest_cell(point: pd.Series, centers: pd.Series) -> pd.Series:
     """The id of the nearest of an array of centers."""
     return pd.Series([int(((np.stack(c) - np.asarray(p)) ** 2).sum(1).argmin()) for p, c in zip(point, centers, strict=True)], dtype="int32")
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def weighted_median(value: pd.Series, weight: pd.Series) -> float:
     """The smaller weighted median of a group."""
     keep = weight > 0
