@@ -6,20 +6,33 @@ needs by name first) and treats a null text as the empty text unless its docstri
 
 from __future__ import annotations
 
+import sys
 import tempfile
+import types
 import uuid
+from collections.abc import Callable
+from typing import TypeVar
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+T = TypeVar("T")
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 #: bytes.translate table that lower-cases A-Z and leaves every other byte.
 FOLD = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
 
+def per_process(key: str, make: Callable[[], T]) -> T:
+    """A value that the tasks of one Python worker share, such as a tokenizer and its memory of words."""
+    held = sys.modules.setdefault("_joincluster_held", types.ModuleType("_joincluster_held")).__dict__
+    if key not in held:
+        held[key] = make()
+    return held[key]
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -45,6 +58,7 @@ def written(df: DataFrame) -> DataFrame:
     jvm = spark.sparkContext._jvm
     place = jvm.org.apache.hadoop.fs.Path(path)
     place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
+    jvm.System.gc()  # Spark removes the shuffle files of finished plans once the driver's garbage is collected
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -66,22 +80,24 @@ def with_sql(df: DataFrame, **exprs: str) -> DataFrame:
 
 _FOLDED = np.frombuffer(FOLD, np.uint8)
 _BLANK = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
-#: An odd multiplier (fixed value), and powers of it and of its inverse modulo 2^64, grown when a longer stretch comes.
+#: An odd multiplier (fixed value).
 _R = 0x9E3779B97F4A7C15
-_POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 #: Bytes that are hashed at once; longer texts go in stretches that end at white space.
 STRETCH = 1 << 20
 
 
 def _powers(n: int) -> list[np.ndarray]:
-    if len(_POWERS[0]) < n:
+    """Powers of the multiplier and of its inverse modulo 2^64, at least n of each; grown when a longer stretch comes."""
+    held = per_process("powers", list)
+    if not held or len(held[0]) < n:
         n = max(n, STRETCH + 1)
-        for i, r in enumerate((_R, pow(_R, -1, 1 << 64))):
+        held.clear()
+        for r in (_R, pow(_R, -1, 1 << 64)):
             x = np.full(n, r, np.uint64)
             x[0] = 1
             with np.errstate(over="ignore"):
-                _POWERS[i] = np.cumprod(x, dtype=np.uint64)
-    return _POWERS
+                held.append(np.cumprod(x, dtype=np.uint64))
+    return held
 
 
 def _stretch(raw: np.ndarray, opens: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -26,7 +26,7 @@ CAPACITY = 2048
 #: Rounds of the weights, the share of the served demand that a round takes, and the step of the weights.
 ROUNDS, SHARE, STEP = 500, 0.5, 0.3
 #: Words whose ids a task remembers before it starts anew.
-WORDS_MOST = 1_000_000
+WORDS_MOST = 600_000
 #: Texts of these characters alone (Latin letters, no superscripts and fractions) normalise as str.lower does.
 PLAIN = r"[\t\n\r\x20-\x7e\xa1-\xb1\xb4-\xb8\xba\xbb\xbf-\u012f\u0131-\u024f]*"
 #: The vocabulary's splitting pattern (fixed value), as it reads for such texts.
@@ -81,7 +81,8 @@ def pieces(documents: DataFrame, path: str | None = None, capacity: int = CAPACI
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        ids, part, width = WordIds(path or tokenizer_path()), TaskContext.get().partitionId(), 4 * capacity
+        place = path or tokenizer_path()
+        ids, part, width = c.per_process(f"words of {place}", lambda: WordIds(place)), TaskContext.get().partitionId(), 4 * capacity
         for batch in batches:
             for at in range(0, batch.num_rows, 2000):
                 b = batch.slice(at, 2000)
