@@ -24,7 +24,8 @@ from . import common as c
 
 #: Labelled rows of either label that the classifier is fitted on (those of the smallest id hash).
 SAMPLE = 3000
-LEXICON, LEAST_DF, LEAST_CHI2 = 512, 8, 20.0
+#: Terms at most; rows a term needs; its chi-square; and how many times likelier it must be under one label.
+LEXICON, LEAST_DF, LEAST_CHI2, LEAST_LIFT = 512, 8, 20.0, 3.0
 STARTS = (4, 5, 6)
 NEIGHBOURS, BLOCK, LIMIT = 16, 64, 0.7
 #: Weight of the prior in a vote, in units of similarity.
@@ -75,7 +76,7 @@ def choose_lexicon(sample: DataFrame, most: int = LEXICON) -> list[str]:
     n0, n1 = float(total["a"]), float(total["b"])
     cross = F.col("b") * (n0 - F.col("a")) - F.col("a") * (n1 - F.col("b"))
     chi2 = cross * cross * (n0 + n1) / ((F.col("a") + F.col("b")) * (n0 + n1 - F.col("a") - F.col("b") + 1e-9) * n0 * n1)
-    rows = sums.where("term != ''").withColumn("chi2", chi2).where(F.col("chi2") >= LEAST_CHI2).orderBy(F.desc("chi2"), "term").limit(most).collect()
+    rows = sums.where("term != ''").withColumn("chi2", chi2).where((F.col("chi2") >= LEAST_CHI2) & ((F.col("b") * n0 >= F.col("a") * n1 * LEAST_LIFT) | (F.col("b") * n0 * LEAST_LIFT <= F.col("a") * n1))).orderBy(F.desc("chi2"), "term").limit(most).collect()
     return [r["term"] for r in rows]
 
 
@@ -198,14 +199,27 @@ def training_sample(documents: DataFrame, labels: DataFrame, most: int = SAMPLE)
     return c.written(rows), counts
 
 
+def _document_counts(read: DataFrame, size: int) -> DataFrame:
+    """i, n: in how many rows each lexicon term stands; tasks count their own rows first."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(size, np.int64)
+        for b in batches:
+            total += np.bincount(b.column("ids").flatten().to_numpy(zero_copy_only=False), minlength=size)[:size] if size else 0
+        i = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(i.astype(np.int32)), pa.array(total[i])], ["i", "n"])
+
+    return read.select("ids").mapInArrow(run, "i int, n long").groupBy("i").agg(F.sum("n").alias("n"))
+
+
 def fit(documents: DataFrame, labels: DataFrame, most: int = SAMPLE) -> tuple[Model, DataFrame]:
     """The model, and the lexicon terms of every document."""
     sample, counts = training_sample(documents, labels, most)
     lexicon = choose_lexicon(sample.dropDuplicates(["text"]))
     read = c.written(counted(documents, lexicon))
     n, df = read.count(), np.zeros(len(lexicon))
-    for r in read.select(F.explode("ids").alias("i")).groupBy("i").count().collect():  # at most LEXICON rows
-        df[r["i"]] = r["count"]
+    for r in _document_counts(read, len(lexicon)).collect():  # at most LEXICON rows
+        df[r["i"]] = r["n"]
     idf = np.log((n + 1) / (df + 1)) + 1e-3
     rows = read.join(F.broadcast(sample.select("doc_id", "label")), "doc_id").dropDuplicates(["doc_id"]).orderBy("doc_id").collect()  # at most 2 * most short rows
     y = np.array([r["label"] for r in rows], dtype=np.int64)
