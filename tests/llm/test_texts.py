@@ -138,7 +138,7 @@ def test_base_spans(spark, docs_of):
 
 
 def test_terms_that_give_values_away(spark, docs_of):
-    rows = [(i, f"line {i} of Zaphodia wrote bob@site.org about things {i}") for i in range(4)] + [(100 + i, f"common words about the things and line {i} of text wrote on") for i in range(200)] + [(50, "carl@x.org wrote of line about things"), (51, "10.0.0.1 about things of line wrote")]
+    rows = [(i, f"line {i} of Zaphodia wrote bob@site.org about things {i}") for i in range(4)] + [(100 + i, f"common words about the things and line {i} of text wrote on") for i in range(500)] + [(50, "carl@x.org wrote of line about things"), (51, "10.0.0.1 about things of line wrote")]
     got = {r["doc_id"]: r for r in pii.find(docs_of(rows)).collect()}
     for i in range(4):
         at = rows[i][1].index("Zaphodia")
