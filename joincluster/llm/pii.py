@@ -96,7 +96,10 @@ def _beside(docs: DataFrame) -> DataFrame:
 
 def disclosures(docs: DataFrame, beside: DataFrame) -> DataFrame:
     """value, word, bits, certainty of the words over both thresholds. docs (text) gives the words' document counts over the whole corpus."""
-    pairs = c.written(beside.groupBy("value", "word").agg(F.count_distinct("row").alias("both")).where(f"both >= {SUPPORT}"))
+    pairs = beside.groupBy("value", "word").agg(F.count_distinct("row").alias("both")).where(f"both >= {SUPPORT}")
+    # A word stands in at least as many texts as it stands beside any value, so most common words are out before the corpus is read.
+    least = beside.groupBy("word").agg(F.count_distinct("row").alias("least"))
+    pairs = c.written(pairs.join(least, "word").where(F.col("both") >= CERTAINTY * F.col("least")).drop("least"))
     words = c.written(pairs.select("word").distinct())
     n_words = words.count()
     n = docs.count()
