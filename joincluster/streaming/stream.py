@@ -52,25 +52,21 @@ def pairs_within(left: DataFrame, right: DataFrame, key: str, within: str = "1 h
 
 
 def user_cells(events: DataFrame, comps: ComponentSet, column: str, feature: str) -> DataFrame:
-    """user_id, comp, w: running counts of each user's components, kept as state for a user until a week without events."""
+    """user_id, comp, w: running counts of each user's components, kept as state: one short array a user."""
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     n = comps[feature].size
 
     def run(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            state.remove()
-            return
         counts = list(state.get[0]) if state.exists else [0] * n
         for f in frames:
             for c, w in f["comp"].value_counts().items():
                 counts[int(c)] += int(w)
         state.update((counts,))
-        state.setTimeoutDuration(7 * 24 * 3600 * 1000)
         yield pd.DataFrame({"user_id": key[0], "comp": range(n), "w": counts})
 
     encoded = events.select("user_id", comps[feature].encode(F.col(column)).alias("comp"))
-    return encoded.groupBy("user_id").applyInPandasWithState(run, "user_id long, comp int, w long", "counts array<long>", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    return encoded.groupBy("user_id").applyInPandasWithState(run, "user_id long, comp int, w long", "counts array<long>", "update", GroupStateTimeout.NoTimeout)
 
 
 class Refresher:
