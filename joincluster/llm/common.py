@@ -59,7 +59,25 @@ def written(df: DataFrame) -> DataFrame:
     place = jvm.org.apache.hadoop.fs.Path(path)
     place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(place)
     jvm.System.gc()  # Spark removes the shuffle files of finished plans once the driver's garbage is collected
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_at = path
+    return out
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Removes tables that written() made, once nothing will read them again."""
+    for df in tables:
+        spark, place = df.sparkSession, df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path(df._written_at)
+        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
+#: Numbers that are broadcast as a list at most; longer lists are joined.
+LISTED = 1 << 18
+
+
+def listed(ids: DataFrame) -> DataFrame:
+    """A written table of a few numbers a row, marked for broadcast if it is short enough."""
+    return F.broadcast(ids) if ids.count() <= LISTED else ids
 
 
 def fold(text: Column) -> Column:

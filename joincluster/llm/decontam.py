@@ -128,7 +128,7 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
 def keep_clean(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of documents, all columns, whose doc_id has no hit."""
     bad = c.written(decontaminate(documents, benchmark).where("contaminated").select("doc_id").distinct())
-    return documents.join(bad, "doc_id", "left_anti").select(documents.columns)
+    return documents.join(c.listed(bad), "doc_id", "left_anti").select(documents.columns)
 
 
 ORACLE_SQL = r"""

@@ -39,6 +39,8 @@ OTHERS = (
     "the commons is a public place", "permission to use the room is granted", "redistribution of land in forms", "version 3 of the software is out", "this file is not in use", "an apache helicopter landed",
     "the license fee is free of charge", "public domain name", "all rights reserved", "terms of the contract", "the international office", "creative work and attribution of causes",
 )
+#: Paragraphs of the corpus that the classifier is fitted on, and their length at most.
+SAMPLE_CHARS = 2000
 SAMPLE, VARIANTS, ROUNDS, LIMIT, COVER = 2000, 40, 300, 0.6, 0.6
 BREAK = r"[^a-z0-9]+"
 
@@ -119,7 +121,7 @@ def scan(documents: DataFrame) -> DataFrame:
     lines = F.filter(F.split("text", r"\n+"), lambda x: F.regexp_like(x, F.lit("[A-Za-z0-9]")))
     some = docs.select("doc_id", lines.alias("lines")).where(F.size("lines") > 0).select(F.xxhash64("doc_id").alias("h"), F.element_at("lines", F.pmod(F.xxhash64("doc_id"), F.size("lines")).cast("int") + 1).alias("line"))
     cues = {"license", "licensed", "copyright", "gnu", "apache", "mozilla", "commons"}
-    background = [r["line"] for r in some.orderBy("h", "line").limit(SAMPLE).collect() if not cues & set(tokens(r["line"]))]
+    background = [r["line"] for r in some.where(F.length("line") <= SAMPLE_CHARS).orderBy("h", "line").limit(SAMPLE).collect() if not cues & set(tokens(r["line"]))]
     model = Model(background)
     names = list(model.vocabulary)
     # A paragraph without any of the words that licences are recognised by cannot reach a family.

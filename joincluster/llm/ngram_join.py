@@ -75,12 +75,12 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept = np.empty(0, np.uint64), np.empty(0, np.int64)
         held: list[np.ndarray] = []
-        most = 4_000_000
+        most = 3_000_000
 
         def merge():
             v, n = np.unique(np.concatenate(held), return_counts=True)
             held.clear()
-            v, n = v[n >= FREQUENT_FROM], n[n >= FREQUENT_FROM]
+            v, n = v[n >= 2], n[n >= 2]
             v, at = np.unique(np.concatenate([kept[0], v]), return_inverse=True)
             n = np.bincount(at, weights=np.concatenate([kept[1], n]), minlength=len(v)).astype(np.int64)
             best = np.argsort(-n, kind="stable")[:FREQUENT_TASK]
@@ -88,11 +88,12 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
 
         total = 0
         for b in batches:
-            for s in shingle_sets(b.column("text"), size):
-                held.append(s)
-                total += len(s)
-                if total > most:
-                    kept, total = merge(), 0
+            for at in range(0, b.num_rows, 500):
+                for s in shingle_sets(b.column("text").slice(at, 500), size):
+                    held.append(s)
+                    total += len(s)
+                    if total > most:
+                        kept, total = merge(), 0
         if held:
             kept = merge()
         yield pa.RecordBatch.from_arrays([pa.array(kept[0].view(np.int64)), pa.array(kept[1])], ["shingle", "n"])
@@ -101,11 +102,11 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
     read = documents.select("text")
     if read.rdd.getNumPartitions() > 4 * parts:
         read = read.coalesce(max(parts, read.rdd.getNumPartitions() // 8))
-    rows = (
-        read.mapInArrow(count, "shingle long, n long")
-        .groupBy("shingle").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "shingle").limit(FREQUENT_MOST).collect()
+    top = (
+        read.mapInArrow(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= FREQUENT_FROM)
+        .orderBy(F.desc("n"), "shingle").limit(FREQUENT_MOST).select("shingle").toArrow()
     )
-    return np.sort(np.array([r["shingle"] for r in rows], dtype=np.int64).view(np.uint64))
+    return np.sort(top.column("shingle").to_numpy().view(np.uint64))
 
 
 def _prefix(s: np.ndarray, order: int, length: int, late: np.ndarray) -> np.ndarray:
@@ -133,8 +134,8 @@ def _prefixes(documents: DataFrame, frequent: np.ndarray, size: int, percent: in
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                b = batch.slice(at, 2000)
+            for at in range(0, batch.num_rows, 1000):
+                b = batch.slice(at, 1000)
                 ns, sets, out = [], [], []
                 for s in shingle_sets(b.column("text"), size):
                     ns.append(len(s))
@@ -154,19 +155,20 @@ def _near(sets: DataFrame, reps: DataFrame, documents: DataFrame, frequent: np.n
             for at in range(0, batch.num_rows, 500):
                 b = batch.slice(at, 500)
                 got = list(shingle_sets(b.column("text"), size))
+                sets = pa.array([set_hash(s) for s in got], pa.int64())
                 least = [max(1, _first(len(s), percent) // 2) for s in got]
                 longer = [_lists([_prefix(s, o, _first(len(s), percent) - 1 + k, _late(s, frequent)) for s, k in zip(got, least, strict=True)]) for o in (1, 2)]
-                yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id").cast(pa.int64()), pa.array([set_hash(s) for s in got], pa.int64()), pa.array([len(s) for s in got], pa.int64()), pa.array(least, pa.int32()), *longer, pa.array([s.tobytes() for s in got], pa.binary())],
-                    ["doc_id", "set", "n", "least", "e2", "e3", "body"],
-                )
+                out = [sets, pa.array([len(s) for s in got], pa.int64()), pa.array(least, pa.int32()), *longer, pa.array([s.tobytes() for s in got], pa.binary())]
+                # Another text may have the same doc_id; the set asked for tells them apart.
+                yield pa.RecordBatch.from_arrays(out, ["set", "n", "least", "e2", "e3", "body"]).filter(pa.compute.equal(sets, b.column("want")))
 
     texts = documents.select("doc_id", "text")
-    bits = c.filter_bits(max(1, ids.count()))
+    many = ids.count()
+    bits = c.filter_bits(max(1, many))
     if bits <= c.FILTER_BITS_MOST:  # so that the join below moves few texts besides those it needs
         texts = texts.where(c.in_filter(F.col("doc_id"), c.bit_words(ids, "doc_id", bits, (0, 1)), (0, 1)))
-    rows = texts.join(ids.select("doc_id").distinct(), "doc_id", "left_semi").mapInArrow(run, "doc_id long, set long, n long, least int, e2 array<long>, e3 array<long>, body binary")
-    return c.written(rows.join(ids, ["doc_id", "set"], "left_semi").dropDuplicates(["set"]).drop("doc_id"))
+    rows = c.written(texts.join(ids.withColumnRenamed("set", "want"), "doc_id").mapInArrow(run, "set long, n long, least int, e2 array<long>, e3 array<long>, body binary"))
+    return rows if rows.count() <= many else c.written(rows.dropDuplicates(["set"]))  # more only where rows repeat
 
 
 def _shares(x: np.ndarray, y: np.ndarray) -> int:
@@ -181,7 +183,13 @@ def _shares(x: np.ndarray, y: np.ndarray) -> int:
 
 def _links(pairs: DataFrame, near: DataFrame, percent: int) -> DataFrame:
     """Those (a, b) of pairs whose sets link: sizes and both further orders must agree, then the sets decide."""
-    side = lambda x, *ks: near.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in ks])
+
+    def needed(p):  # only these sets' rows are moved
+        ids = c.listed(c.written(p.select(F.explode(F.array("a", "b")).alias("set")).distinct()))
+        held = near.join(ids, "set", "left_semi")
+        return lambda x, *ks: held.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in ks])
+
+    side = needed(pairs)
     enough = F.least("least_a", "least_b")
     left = c.written(
         pairs.select("a", "b").join(side("a", "least", "e2", "e3"), "a").join(side("b", "least", "e2", "e3"), "b")
@@ -198,6 +206,7 @@ def _links(pairs: DataFrame, near: DataFrame, percent: int) -> DataFrame:
                 keep.append(100 * both >= percent * (len(x) + len(y) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
+    side = needed(left)
     return left.join(side("a", "body"), "a").join(side("b", "body"), "b").select("a", "b", "body_a", "body_b").mapInArrow(verify, "a long, b long")
 
 
@@ -266,7 +275,9 @@ def _block_links(wide: DataFrame, near: DataFrame, percent: int, block: int) ->
     held = c.written(wide.join(home.select("set", "block"), "set").groupBy("token", "block").agg(F.min("root").alias("lo"), F.max("root").alias("hi")))
     x, y = (held.select("token", F.col("block").alias(k), F.col("lo").alias(f"lo_{k}"), F.col("hi").alias(f"hi_{k}")) for k in ("x", "y"))
     meet = c.written(x.join(y, "token").where("x <= y and (lo_x != hi_x or lo_y != hi_y or lo_x != lo_y)").select("x", "y").distinct())
-    rows = meet.select("x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block")).join(home, "block").join(near, "set")
+    # Of all sets few are in large buckets: their list is broadcast where its size allows, so the others' bodies stay where they are.
+    members = near.join(c.listed(home), "set")
+    rows = meet.select("x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block")).join(members, "block")
     return rows.groupBy("x", "y").applyInArrow(_compare(percent), "a long, b long")
 
 
@@ -283,38 +294,42 @@ def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCEN
     read = c.written(_prefixes(documents, frequent, size, percent))
     reps = c.written(read.where("set is not null").groupBy("set").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n")))
 
-    tokens = read.where("set is not null").select(F.explode("p1").alias("token"), "set", "n")
+    tokens = read.where("set is not null").select(F.explode("p1").alias("token"), "set")
     shared = tokens.groupBy("token").agg(F.min("set").alias("leader"), F.max("set").alias("last")).where("leader != last").select("token", "leader")
     buckets = c.written(tokens.join(shared, "token").distinct())
-    stars = buckets.where("set != leader").select(F.col("leader").alias("a"), F.col("set").alias("b"), F.col("n").alias("n_b")).distinct()
-    stars = c.written(stars.join(reps.select(F.col("set").alias("a"), F.col("n").alias("n_a")), "a").where(_sized("n_a", "n_b", percent)).select("a", "b"))
+    stars = buckets.where("set != leader").select(F.col("leader").alias("a"), F.col("set").alias("b")).distinct()
+    long = lambda k: reps.select(F.col("set").alias(k), F.col("n").alias(f"n_{k}"))
+    stars = c.written(stars.join(long("a"), "a").join(long("b"), "b").where(_sized("n_a", "n_b", percent)).select("a", "b"))
     ends = lambda p: p.select(F.explode(F.array("a", "b")).alias("set"))
-    near = _near(ends(stars), reps, documents, frequent, size, percent)
-    links = c.written(_links(stars, near, percent))
+    first = _near(ends(stars), reps, documents, frequent, size, percent)
+    links = c.written(_links(stars, first, percent))
 
     root = c.components(links).select(F.col("node").alias("set"), "root")
-    wide = buckets.join(root, "set", "left").select("token", "set", "n", "leader", F.coalesce("root", "set").alias("root"))
+    wide = buckets.join(root, "set", "left").select("token", "set", "leader", F.coalesce("root", "set").alias("root"))
     several = wide.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("members")).where("lo != hi and members > 2").select("token", "members")
-    wide = c.written(wide.join(several, "token"))
+    wide = c.written(wide.join(several, "token").join(reps.select("set", "n"), "set"))
     few = wide.where((F.col("members") <= FEW) & (F.col("set") != F.col("leader")))
     x, y = (few.select("token", F.col("set").alias(k), F.col("n").alias(f"n_{k}"), F.col("root").alias(f"root_{k}")) for k in ("a", "b"))
     pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
     many = wide.where(F.col("members") > FEW)
-    more = ends(pairs).unionByName(many.select("set")).distinct().join(near.select("set"), "set", "left_anti")
-    near = near.unionByName(_near(more, reps, documents, frequent, size, percent))
+    more = ends(pairs).unionByName(many.select("set")).distinct().join(first.select("set"), "set", "left_anti")
+    second = _near(more, reps, documents, frequent, size, percent)
+    near = first.unionByName(second)
     links = links.unionByName(c.written(_links(pairs, near, percent))).unionByName(c.written(_block_links(many, near, percent, BLOCK)))
 
     roots = c.components(links)
     named = reps.select("set", "doc_id").join(roots.withColumnRenamed("node", "set"), "set", "left").select("set", "doc_id", F.coalesce("root", "set").alias("root"))
     least = named.groupBy("root").agg(F.min("doc_id").alias("component_id"))
     named = named.join(least, "root").select("set", "component_id")
-    return read.select("doc_id", "n", "set").join(named, "set", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    out = c.written(read.select("doc_id", "n", "set").join(named, "set", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id")))
+    c.dropped(read, buckets, first, second, wide)
+    return out
 
 
 def keep_first(documents: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """The rows of documents, all columns, without those that link (over others) to a smaller doc_id; of rows with one doc_id and linked texts one stays."""
-    found = c.written(near_copies(documents, size, percent))
-    out = documents.join(found.where("component_id != doc_id").select("doc_id").distinct(), "doc_id", "left_anti")
+    found = near_copies(documents, size, percent)
+    out = documents.join(c.listed(c.written(found.where("component_id != doc_id").select("doc_id").distinct())), "doc_id", "left_anti")
     if not found.where("n_shingles > 0").groupBy("doc_id").count().where("count > 1").isEmpty():
         out = out.where(F.coalesce("text", F.lit("")).rlike(r"^[\x20\x09-\x0D]*$")).unionByName(out.where(~F.coalesce("text", F.lit("")).rlike(r"^[\x20\x09-\x0D]*$")).dropDuplicates(["doc_id"]))
     return out.select(documents.columns)

@@ -45,7 +45,7 @@ class Terms:
 
     def __call__(self, text: str | None) -> dict[int, int]:
         out: dict[int, int] = {}
-        if len(self.known) > 1_000_000:
+        if len(self.known) > 200_000:
             self.known.clear()
         for w, n in Counter(_WORD.findall((text or "").lower())).items():
             ids = self.known.get(w)
