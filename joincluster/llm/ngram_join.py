@@ -189,13 +189,13 @@ def _links(pairs: DataFrame, near: DataFrame, percent: int) -> DataFrame:
         held = near.join(ids, "set", "left_semi")
         return lambda x, *ks: held.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in ks])
 
-    side = needed(pairs)
-    enough = F.least("least_a", "least_b")
-    left = c.written(
-        pairs.select("a", "b").join(side("a", "least", "e2", "e3"), "a").join(side("b", "least", "e2", "e3"), "b")
-        .where((F.size(F.array_intersect("e2_a", "e2_b")) >= enough) & (F.size(F.array_intersect("e3_a", "e3_b")) >= enough))
-        .select("a", "b")
-    )
+    left = pairs.select("a", "b")
+    for e in ("e2", "e3"):  # one order after the other: few pairs are left for the second
+        side = needed(left)
+        left = c.written(
+            left.join(side("a", "least", e), "a").join(side("b", "least", e), "b")
+            .where(F.size(F.array_intersect(f"{e}_a", f"{e}_b")) >= F.least("least_a", "least_b")).select("a", "b")
+        )
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
