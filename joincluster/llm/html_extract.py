@@ -1,21 +1,28 @@
 """Main text of web pages by template deduction over equivalence classes.
 
-A page is a sequence of tokens: tags told apart by their path, and text blocks. The occurrence
-vector of a token is its count on each page of the host. Tokens that stand on every page of a host
-are grouped by equal occurrence vectors; the classes that occur exactly once a page form the
-skeleton, and the skeleton's tokens nest by the order in which they open and close. Text blocks of
-a class are the template's own words. What lies between skeleton tokens are slots: a slot's role is
-read from the tags that enclose it, and the text of the article's slots is the result.
-
-Occurrence vectors are compared as 64-bit xor sums over pages, so they are built by a plain group-by;
-no page of a host meets another in a task.
+A page is a sequence of tokens: tags told apart by their path and roles, and text blocks. The
+occurrence vector of a token is its count on each different page of the host that is not empty.
+Tokens of equal vectors form a class, whatever the counts and however few pages (LEAST_PAGES at
+least) hold it. A class is in order if its tokens come on each of its pages as one period, repeated;
+two classes nest if no token of one stands between the first and last of the other's period while
+its own period is open. A class that is out of order, or crosses one that has
+more pages or tokens, is taken apart into single tokens. Text that only shares a vector with text, on at most half of a
+host's pages, is not told from a passage that several articles quote, so it stays data.
+
+Text blocks of the template are its own words. What lies between template tokens are slots, named
+by the innermost open class and the place in its period; a slot's role is read from the template
+tags around it, and the data of the article's slots is the result.
+
+Vectors are compared as two sums of 32-bit hashes over pages and the counts, so they are built by a
+plain group-by; no page of a host meets another in a task.
 """
 
 from __future__ import annotations
 
 import re
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass, field
 from html import unescape
 
 import pyarrow as pa
@@ -25,7 +32,7 @@ from pyspark.sql import functions as F
 from . import common as c
 from .urlfilter import split_url
 
-#: A host's words count as template only from so many different pages on.
+#: A class is a template's only from so many different pages on.
 LEAST_PAGES = 4
 #: Template tokens of this many bytes at most are broadcast; beyond it they are joined by host.
 BROADCAST_MOST = 32 << 20
@@ -56,8 +63,12 @@ def _role(tag: str, attrs: str, inside: bool) -> str:
     return "main" if tag in ("article", "main") or "main" in words and tag == "div" else ""
 
 
+def _path(stack: list[tuple[str, str]]) -> str:
+    return "/".join(f"{t}:{r}" if r else t for t, r in stack)
+
+
 def blocks(html: str) -> list[tuple[str, str]]:
-    """(role, text) of the text blocks of a page in order, and (name, '') of its tags told apart by path; role is main, body or side."""
+    """(role, text) of the text blocks of a page in order, and (name, '') of its tags told apart by path and roles; role is main, body or side."""
     out: list[tuple[str, str]] = []
     stack: list[tuple[str, str]] = []
     text: list[str] = []
@@ -89,14 +100,14 @@ def blocks(html: str) -> list[tuple[str, str]]:
             if at >= 0:
                 # A paragraph left open must not swallow the end of what encloses it.
                 del stack[at:]
-            out.append((f"</{tag}>{'/'.join(t for t, _ in stack)}", ""))
+            out.append((f"</{tag}>{_path(stack)}", ""))
         elif tag not in VOID:
             if tag in ("p", "li", "dt", "dd", "option", "tr", "td", "th") or stack and stack[-1][0] == "p":
                 closes = {"li": ("li", "p"), "tr": ("tr", "td", "th", "p"), "td": ("td", "th", "p"), "th": ("td", "th", "p"), "dt": ("dt", "dd", "p"), "dd": ("dt", "dd", "p")}.get(tag, ("p",))
                 while stack and stack[-1][0] in closes:
                     stack.pop()
             stack.append((tag, _role(tag, m["attrs"], any(r == "main" for _, r in stack))))
-            out.append((f"<{'/'.join(t for t, _ in stack)}>", ""))
+            out.append((f"<{_path(stack)}>", ""))
     end()
     return out
 
@@ -107,56 +118,170 @@ def _hash(s: str) -> int:
     return xxhash.xxh64_intdigest(s.encode("utf-8", "surrogatepass")) - (1 << 63)
 
 
-def _vectors(pages: DataFrame) -> DataFrame:
-    """host, token, pages, vector, other: of tokens that stand on all of a host's pages in a batch, how many pages and the sum that stands for their occurrence vector.
+def tokens(html: str | None) -> list[tuple[int, str, str]]:
+    """(hash, role or tag name, text) of a page's tokens; a tag's hash is odd and has no text, a text block's is even."""
+    return [(_hash("t" + t) & ~1 if t else _hash("g" + n) | 1, n, t) for n, t in blocks(html or "")]
 
-    The row with token 0 counts the host's pages, and other is the smallest and largest page hash.
-    """
+
+def _counts(pages: DataFrame) -> DataFrame:
+    """host, token, page, n: how often each token stands on each different page; token 0 stands once on every page that is not empty."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            hosts: dict[str, list] = {}
+            held: set[tuple[str, int]] = set()
+            rows: list[tuple[str, int, int, int]] = []
             for host, page, html in zip(b.column("host").to_pylist(), b.column("page").to_pylist(), b.column("html").to_pylist(), strict=True):
-                if not host:
+                if not host or (host, page) in held:
                     continue
-                seen = Counter(_hash(("t" + t) if t else ("g" + n)) for n, t in blocks(html or ""))
-                x = hosts.get(host)
-                if x is None:
-                    x = hosts[host] = [0, None, page, page]
-                x[0] += 1
-                x[2], x[3] = min(x[2], page), max(x[3], page)
-                sums = {k: (page * n * 0x9E3779B97F4A7C15) & 0xFFFFFFFFFFFFFFFF for k, n in seen.items()}
-                once = {k: n == 1 for k, n in seen.items()}
-                x[1] = {k: (v, once[k]) for k, v in sums.items()} if x[1] is None else {k: (v ^ sums[k], o and once[k]) for k, (v, o) in x[1].items() if k in sums}
-            rows = [(h, 0, n, 0, True, lo, hi) for h, (n, _, lo, hi) in hosts.items()]
-            rows += [(h, k, n, v - (1 << 63), o, lo, hi) for h, (n, toks, lo, hi) in hosts.items() for k, (v, o) in toks.items()]
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 7
-            kinds = [pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(cols, kinds, strict=True)], ["host", "token", "pages", "vector", "once", "low", "high"])
-
-    return pages.mapInArrow(run, "host string, token long, pages long, vector long, once boolean, low long, high long")
-
-
-def templates(pages: DataFrame) -> DataFrame:
-    """host, tokens: the tokens of each host's template, for hosts of enough pages that are not all alike."""
+                held.add((host, page))
+                seen = Counter(k for k, _, _ in tokens(html))
+                if seen:
+                    rows.append((host, 0, page, 1))
+                    rows += [(host, k, page, n) for k, n in seen.items()]
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
+            kinds = [pa.string(), pa.int64(), pa.int64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(cols, kinds, strict=True)], ["host", "token", "page", "n"])
+
+    return pages.mapInArrow(run, "host string, token long, page long, n long")
+
+
+def classes(pages: DataFrame) -> DataFrame:
+    """host, all, classes: how many different pages a host has, and its equivalence classes (pages, tokens), those of more pages, then tokens, first."""
+    mix = F.xxhash64("page", "n")
     sums = c.written(
-        _vectors(pages).groupBy("host", "token")
-        .agg(F.sum("pages").alias("pages"), F.bit_xor("vector").alias("vector"), F.bool_and("once").alias("once"), F.min("low").alias("low"), F.max("high").alias("high"))
+        _counts(pages).distinct().groupBy("host", "token")
+        .agg(F.count("*").alias("pages"), F.sum("n").alias("total"), F.sum(mix.bitwiseAND(F.lit(0xFFFFFFFF))).alias("v1"), F.sum(F.shiftrightunsigned(mix, 32)).alias("v2"))
+        .where(f"pages >= {LEAST_PAGES}")
     )
-    whole = sums.where("token = 0").where(f"pages >= {LEAST_PAGES} and low != high").select("host", F.col("pages").alias("all"))
-    everywhere = sums.where("token != 0").join(whole, "host").where("pages = all")
-    # Tokens once on every page share one occurrence vector: that class is the skeleton.
-    return everywhere.where("once").groupBy("host", "vector").agg(F.collect_set("token").alias("tokens")).groupBy("host").agg(F.flatten(F.collect_list("tokens")).alias("tokens"))
+    whole = sums.where("token = 0").select("host", F.col("pages").alias("all"))
+    same = sums.where("token != 0").groupBy("host", "pages", "total", "v1", "v2").agg(F.array_sort(F.collect_list("token")).alias("tokens")).join(whole, "host")
+    # A tag's token is odd.
+    same = same.where((F.col("pages") * 2 > F.col("all")) | F.exists("tokens", lambda t: t.bitwiseAND(F.lit(1)) == 1))
+    one = F.struct((-F.col("pages")).alias("less"), (-F.size("tokens")).alias("size"), "tokens")
+    return same.groupBy("host", "all").agg(F.transform(F.array_sort(F.collect_list(one)), lambda x: F.struct((-x["less"]).alias("pages"), x["tokens"].alias("tokens"))).alias("classes"))
+
+
+def _walk(seq: list[tuple[int, int]], sizes: dict[int, int]) -> set[tuple[int, int]]:
+    """The pairs of classes (smaller number first) that cross in seq, the (place, class) of a page's tokens in order."""
+    at = dict.fromkeys(sizes, 0)
+    opened: dict[int, int] = {}
+    last: dict[int, int] = {}
+    crossing = set()
+    for place, k in seq:
+        if at[k]:
+            crossing |= {(min(k, o), max(k, o)) for o, p in opened.items() if o != k and p > last[k]}
+        else:
+            opened[k] = place
+        last[k] = place
+        at[k] = (at[k] + 1) % sizes[k]
+        if not at[k]:
+            del opened[k]
+    return crossing
+
+
+def faults(html: str | None, held: list[list[int]]) -> tuple[dict[int, int], set[tuple[int, int]]]:
+    """Of a page and its host's classes: for each class on it the hash of its order (0 if it is not one period, repeated), and the pairs of classes that cross."""
+    of = {t: k for k, ts in enumerate(held) for t in ts}
+    seq = [(i, of[t], t) for i, (t, _, _) in enumerate(tokens(html)) if t in of]
+    own: dict[int, list[int]] = defaultdict(list)
+    for _, k, t in seq:
+        own[k].append(t)
+    orders = {}
+    for k, ts in own.items():
+        m = len(held[k])
+        good = len(ts) % m == 0 and set(ts[:m]) == set(held[k]) and ts == ts[:m] * (len(ts) // m)
+        orders[k] = (_hash(",".join(map(str, ts[:m]))) or 1) if good else 0
+    fit = {k: len(held[k]) for k, h in orders.items() if h}
+    return orders, _walk([(i, k) for i, k, _ in seq if k in fit], fit)
+
+
+def _checked(joined: DataFrame) -> DataFrame:
+    """host, bad, crossing: numbers of the classes that are not in one order on all their pages, and pairs that cross on some page."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows: set[tuple[str, int, int, int]] = set()
+            held: dict[str, list[list[int]]] = {}
+            for i, (host, html) in enumerate(zip(b.column("host").to_pylist(), b.column("html").to_pylist(), strict=True)):
+                if host not in held:
+                    held[host] = [x["tokens"] for x in b.column("classes")[i].as_py() or ()]
+                if held[host]:
+                    orders, crossing = faults(html, held[host])
+                    rows |= {(host, k, -1, h) for k, h in orders.items()} | {(host, a, o, 0) for a, o in crossing}
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
+            kinds = [pa.string(), pa.int32(), pa.int32(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(cols, kinds, strict=True)], ["host", "a", "b", "order"])
+
+    seen = joined.select("host", "html", "classes").mapInArrow(run, "host string, a int, b int, order long").groupBy("host", "a", "b").agg(F.min("order").alias("low"), F.max("order").alias("high"))
+    bad = F.collect_list(F.when((F.col("b") < 0) & ((F.col("low") != F.col("high")) | (F.col("low") == 0)), F.col("a")))
+    return seen.groupBy("host").agg(bad.alias("bad"), F.collect_list(F.when(F.col("b") >= 0, F.struct("a", "b"))).alias("crossing"))
+
+
+def _joined(read: DataFrame, found: DataFrame) -> DataFrame:
+    """read with the columns of found by host; a small table is broadcast, else each host's row goes to all of its salts."""
+    size = found.agg(F.sum(F.aggregate("classes", F.lit(0), lambda a, x: a + F.size(x["tokens"]) * 8 + 16) + F.length("host") + 16)).first()[0] or 0
+    if size <= BROADCAST_MOST:
+        return read.join(F.broadcast(found), "host", "left")
+    salts = 64
+    return read.withColumn("salt", F.pmod("page", F.lit(salts))).join(found.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("long")), ["host", "salt"], "left").drop("salt")
+
+
+def templates(read: DataFrame) -> DataFrame:
+    """host, all, classes, bad, crossing of the hosts that have a template; read has host, page and html."""
+    found = c.written(classes(read.select("host", "page", "html")))
+    return c.written(found.join(_checked(_joined(read.select("host", "page", "html"), found).where("classes is not null")), "host", "left"))
+
+
+@dataclass
+class Template:
+    """of: the class of each token; sizes: how many tokens each class has. The classes nest."""
 
+    of: dict[int, int] = field(default_factory=dict)
+    sizes: dict[int, int] = field(default_factory=dict)
 
-def article(html: str | None, template: list[int] | None) -> str:
-    """The article's blocks, one a line; without an article element, the body's blocks that are not the template's own words."""
-    got = [(r, t) for r, t in blocks(html or "") if t and r != "side"]
-    inner = [t for r, t in got if r == "main"]
-    if inner:
-        return "\n".join(inner)
-    own = set(template or ())
-    return "\n".join(t for _, t in got if _hash("t" + t) not in own)
+    @classmethod
+    def read(cls, pages: int, found: list[dict], bad: list[int], crossing: list[dict]) -> Template:
+        out, loose = cls(), set(bad)
+        against = defaultdict(set)
+        for x in crossing:
+            against[x["b"]].add(x["a"])
+        for k, x in enumerate(found):
+            if k in loose or any(o not in loose for o in against[k]):
+                loose.add(k)
+                parts = [[t] for t in x["tokens"] if t & 1 or x["pages"] * 2 > pages]
+            else:
+                parts = [x["tokens"]]
+            for ts in parts:
+                out.of |= dict.fromkeys(ts, len(out.sizes))
+                out.sizes[len(out.sizes)] = len(ts)
+        return out
+
+
+def slots(html: str | None, template: Template | None) -> list[tuple[tuple[tuple[int, int], ...], str, str]]:
+    """(slot, role, text) of a page's data in order: a slot is the open classes from the outside in, each with how many tokens of its period have passed.
+
+    Without a template the page is one slot, and its tags give the roles.
+    """
+    template = template or Template()
+    at: dict[int, int] = {}
+    out = []
+    for t, role, text in tokens(html):
+        k = template.of.get(t)
+        if k is None:
+            if text:
+                out.append((tuple(at.items()), role, text))
+        elif template.sizes[k] > 1:
+            at[k] = at.get(k, 0) + 1
+            if at[k] == template.sizes[k]:
+                del at[k]
+    return out
+
+
+def article(html: str | None, template: Template | None) -> str:
+    """The data of the article's slots, one block a line; on a page without a slot of that role, the data of all slots but the side ones."""
+    found = slots(html, template)
+    main = [t for _, r, t in found if r == "main"]
+    return "\n".join(main or [t for _, r, t in found if r == "body"])
 
 
 def extract(pages: DataFrame) -> DataFrame:
@@ -168,21 +293,19 @@ def extract(pages: DataFrame) -> DataFrame:
     """
     host, _ = split_url(F.col("url"))
     read = pages.select("page_id", "url", "html").select("page_id", "url", host.alias("host"), F.xxhash64(F.coalesce("html", F.lit(""))).alias("page"), "html")
-    found = c.written(templates(read.select("host", "page", "html")))
-    size = found.agg(F.sum(F.size("tokens") * 8 + F.length("host") + 16)).first()[0] or 0
-    if size <= BROADCAST_MOST:
-        joined = read.join(F.broadcast(found), "host", "left")
-    else:
-        salts = 64
-        joined = (
-            read.withColumn("salt", F.pmod("page", F.lit(salts))).join(found.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("long")), ["host", "salt"], "left").drop("salt")
-        )
+    joined = _joined(read, templates(read))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 1000):
                 b = batch.slice(lo, 1000)
-                texts = [article(h, t) for h, t in zip(b.column("html").to_pylist(), b.column("tokens").to_pylist(), strict=True)]
+                held: dict[str, Template | None] = {None: None}
+                texts = []
+                for i, (host, html) in enumerate(zip(b.column("host").to_pylist(), b.column("html").to_pylist(), strict=True)):
+                    if host not in held:
+                        found = b.column("classes")[i].as_py()
+                        held[host] = Template.read(b.column("all")[i].as_py(), found, b.column("bad")[i].as_py() or [], b.column("crossing")[i].as_py() or []) if found else None
+                    texts.append(article(html, held[host]))
                 yield pa.RecordBatch.from_arrays([b.column("page_id").cast(pa.int64()), b.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
-    return joined.select("page_id", "url", "html", "tokens").mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    return joined.select("page_id", "url", "host", "html", "all", "classes", "bad", "crossing").mapInArrow(run, "page_id long, url string, text string, n_chars long")

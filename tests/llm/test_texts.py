@@ -282,3 +282,24 @@ def test_template_words_go(spark):
     assert all(got[i]["text"] == f"Story {i} of the day" for i in range(8))
     assert got[20]["text"].startswith("Same line") and got[21]["n_chars"] == len(got[21]["text"]) and got[22]["text"] == "" and got[30]["text"].startswith("Same line")
     assert html_extract.extract(df.limit(0)).count() == 0
+
+
+def test_template_of_parts_and_counts(spark):
+    item = lambda k: f"<li>More: <div>Read on</div>{k}</li>"
+    promo = "<section><p>Special offer today</p></section>"
+    body = lambda i: f"<html><body><article><h2>Share this story</h2><p>Story {i} here</p>{promo if i % 3 == 0 else ''}<ul>{''.join(item(f'{i}.{j}') for j in range(i % 4 + 1))}</ul></article></body></html>"
+    rows = [(i, f"http://h.org/{i}", body(i)) for i in range(12)] + [(50, "http://h.org/e", ""), (51, "http://h.org/n", None), (52, "http://h.org/odd", "<p>Odd one</p>")]
+    rows += [(60 + i, f"http://q.org/{i}", f"<html><body><article><p>Own {i}</p>{'<p>Quoted by some</p>' if i < 5 else '<p>Not so ' + str(i) + '</p>'}</article></body></html>") for i in range(12)]
+    got = {r["page_id"]: r["text"] for r in html_extract.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for i in range(12):
+        want = [f"Story {i} here"] + [f"{i}.{j}" for j in range(i % 4 + 1)]
+        assert got[i].split("\n") == want, got[i]
+        assert got[60 + i].split("\n") == [f"Own {i}", "Quoted by some" if i < 5 else f"Not so {i}"]
+    assert got[50] == got[51] == "" and got[52] == "Odd one"
+
+
+def test_classes_nest():
+    assert html_extract._walk([(0, 0), (1, 1), (2, 1), (3, 0), (4, 0)], {0: 3, 1: 2}) == set()
+    assert html_extract._walk([(0, 0), (1, 1), (2, 0), (3, 1)], {0: 2, 1: 2}) == {(0, 1)}
+    t = html_extract.Template.read(4, [{"pages": 4, "tokens": [1, 3]}, {"pages": 4, "tokens": [4, 5]}], [], [{"a": 0, "b": 1}])
+    assert t.of[1] == t.of[3] and t.of[4] != t.of[5]
