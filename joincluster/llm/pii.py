@@ -1,10 +1,11 @@
 """Personal data and what gives it away, in DataFrame functions alone.
 
-Base spans (email, ip, card, phone) come from patterns and checks. The words around them are then
-weighed by the corpus: a word that stands beside one protected value in several different texts and
-hardly anywhere else tells a reader which value was there. Its disclosure is the point-wise mutual
-information of word and value, log2(P(word, value) / (P(word) P(value))), with P(value | word) as
-its certainty; words over both thresholds become spans of kind term and are generalised too.
+Base spans (email, ip, card, phone) come from patterns and checks. The words of the texts that hold
+them are then weighed by the corpus: a word that shares several different texts with one protected
+value and hardly stands in any other tells a reader which value was there. Its disclosure is the
+point-wise mutual information of word and value over texts, log2(P(word, value) / (P(word) P(value))),
+with P(value | word) as its certainty. Every place of a word over both thresholds, in whatever text,
+becomes a span of kind term and is generalised too.
 """
 
 from __future__ import annotations
@@ -24,8 +25,8 @@ PATTERNS = {
 }
 #: A text without this cannot hold the kind.
 HINTS = {"email": "@", "ip": r"[0-9]\.[0-9]+\.[0-9]", "card": r"[0-9](?:[\x20-]?[0-9]){13}", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
-#: Code points on either side of a span that are searched, words taken there, and the least length of a word.
-REACH, BESIDE, LEAST_LETTERS = 48, 3, 3
+#: The least length of a word.
+LEAST_LETTERS = 3
 #: Different texts that must show word and value together, P(value | word), and bits of mutual information.
 SUPPORT, CERTAINTY, BITS = 2, 0.5, 6.0
 WORD = r"[\p{L}\p{N}]+"
@@ -78,41 +79,51 @@ def _struct_of(k: int):
     return lambda m: F.struct(m["start"].alias("start"), F.lit(k).alias("kind"), m["end"].alias("end"), m["value"].alias("value"))
 
 
-def _beside(docs: DataFrame) -> DataFrame:
-    """Rows with spans, one a word beside a span: doc_id, row, value (hash), word, start, end."""
-    one = docs.where(F.size("base") > 0).select("doc_id", "row", "text", F.explode("base").alias("s"))
-    lo, hi = F.greatest(F.col("s.start") - REACH, F.lit(0)), F.col("s.end")
-    one = one.select("doc_id", "row", F.xxhash64("s.value").alias("value"), lo.alias("lo"), hi.alias("hi"), F.substring("text", lo + 1, F.col("s.start") - lo).alias("left"), F.substring("text", hi + 1, F.lit(REACH)).alias("right"))
-    one = one.withColumn("_l", _found(F.col("left"), WORD)).withColumn("_r", _found(F.col("right"), WORD))
-    # A word that touches the cut end of the stretch may be part of a longer one.
-    left = F.filter("_l", lambda m: (m["start"] > 0) | (F.col("lo") == 0))
-    right = F.filter("_r", lambda m: (m["end"] < REACH))
-    words = F.concat(
-        F.transform(F.slice(F.reverse(left), 1, BESIDE), lambda m: F.struct((m["start"] + F.col("lo")).alias("start"), (m["end"] + F.col("lo")).alias("end"), F.lower(m["value"]).alias("word"))),
-        F.transform(F.slice(right, 1, BESIDE), lambda m: F.struct((m["start"] + F.col("hi")).alias("start"), (m["end"] + F.col("hi")).alias("end"), F.lower(m["value"]).alias("word"))),
+def _replaced(text: Column, spans: Column, mark) -> Column:
+    """text with mark(span) in the place of each span; overlapping spans become one, marked by the first."""
+    built = F.aggregate(
+        spans, F.struct(F.lit(0).alias("at"), F.lit("").alias("out")),
+        lambda a, s: F.when(s["start"] < a["at"], F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out"))).otherwise(
+            F.struct(s["end"].alias("at"), F.concat(a["out"], F.substring(text, a["at"] + 1, s["start"] - a["at"]), mark(s)).alias("out"))
+        ),
+        lambda a: F.concat(a["out"], F.substring(text, a["at"] + 1, F.length(text))),
     )
-    return one.select("doc_id", "row", "value", F.explode(words).alias("w")).select("doc_id", "row", "value", "w.*").where((F.length("word") >= LEAST_LETTERS) & F.regexp_like("word", F.lit(r"\p{L}")))
+    return built
+
+
+def _words(text: Column) -> Column:
+    """The different words of text that can be terms, in lower case."""
+    words = F.array_distinct(F.transform(F.split(text, r"[^\p{L}\p{N}]+"), F.lower))
+    return F.filter(words, lambda w: (F.length(w) >= LEAST_LETTERS) & F.regexp_like(w, F.lit(r"\p{L}")))
 
 
-def disclosures(docs: DataFrame, beside: DataFrame) -> DataFrame:
-    """value, word, bits, certainty of the words over both thresholds. docs (text) gives the words' document counts over the whole corpus."""
-    pairs = beside.groupBy("value", "word").agg(F.count_distinct("row").alias("both")).where(f"both >= {SUPPORT}")
-    # A word stands in at least as many texts as it stands beside any value, so most common words are out before the corpus is read.
-    least = beside.groupBy("word").agg(F.count_distinct("row").alias("least"))
-    pairs = c.written(pairs.join(least, "word").where(F.col("both") >= CERTAINTY * F.col("least")).drop("least"))
+def _together(some: DataFrame) -> DataFrame:
+    """value (hash), word, row: the words outside the base spans of each different text with base spans, for values of enough texts.
+
+    A pair stands in no more texts than its value, so values of fewer than SUPPORT texts cannot have a term.
+    """
+    values = some.select("row", F.explode(F.array_distinct("base.value")).alias("v")).select("row", F.xxhash64("v").alias("value")).distinct()
+    often = values.groupBy("value").agg(F.count("*").alias("of_value")).where(f"of_value >= {SUPPORT}").select("value")
+    values = c.written(values.join(often, "value", "left_semi"))
+    texts = some.join(values.select("row").distinct(), "row", "left_semi").dropDuplicates(["row"])
+    words = texts.select("row", _words(_replaced(F.col("text"), F.col("base"), lambda s: F.lit(" "))).alias("words"))
+    return words.join(values, "row").select("value", F.explode("words").alias("word"), "row")
+
+
+def disclosures(docs: DataFrame, together: DataFrame) -> DataFrame:
+    """value, word, bits, certainty of the words over both thresholds. docs (row, text) gives the words' counts of different texts over the whole corpus."""
+    pairs = together.groupBy("value", "word").agg(F.count("*").alias("both"))
+    # A word stands in at least as many texts as it shares with any values, so most common words are out before the corpus is read.
+    least = together.groupBy("word").agg(F.count_distinct("row").alias("least"))
+    pairs = c.written(pairs.where(f"both >= {SUPPORT}").join(least, "word").where(F.col("both") >= CERTAINTY * F.col("least")).drop("least"))
     words = c.written(pairs.select("word").distinct())
     n_words = words.count()
-    n = docs.count()
-    seen = F.array_distinct(F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: F.length(w) >= LEAST_LETTERS))
-    bits = c.filter_bits(max(1, n_words), 128)
-    if n_words and bits <= c.FILTER_BITS_MOST:
-        held = c.bit_words(words, "word", bits, (0, 1))
-        seen = F.filter(seen, lambda w: c.in_filter(w, held, (0, 1)))
+    n = docs.select("row").distinct().count()
     if n_words:
-        totals = docs.select(F.explode(seen).alias("word")).groupBy("word").agg(F.count("*").alias("of_word")).join(words, "word", "left_semi")
+        totals = _holding(docs, words, n_words).groupBy("word").agg(F.count("*").alias("of_word"))
     else:
         totals = words.withColumn("of_word", F.lit(1).cast("long"))
-    values = beside.groupBy("value").agg(F.count_distinct("row").alias("of_value"))
+    values = together.select("value", "row").distinct().groupBy("value").agg(F.count("*").alias("of_value"))
     return (
         pairs.join(totals, "word").join(values, "value")
         .withColumn("certainty", F.col("both") / F.col("of_word")).withColumn("bits", F.log2(F.col("both") * F.lit(float(n)) / (F.col("of_word") * F.col("of_value"))))
@@ -120,22 +131,45 @@ def disclosures(docs: DataFrame, beside: DataFrame) -> DataFrame:
     )
 
 
+def _holding(docs: DataFrame, words: DataFrame, n_words: int) -> DataFrame:
+    """row, word: which different texts of docs (row, text) hold which of words; a bit filter of the words goes first where it is small enough."""
+    seen, bits = _words(F.col("text")), c.filter_bits(max(1, n_words), 128)
+    if bits <= c.FILTER_BITS_MOST:
+        held = c.bit_words(words, "word", bits, (0, 1))
+        seen = F.filter(seen, lambda w: c.in_filter(w, held, (0, 1)))
+    return docs.select("row", F.explode(seen).alias("word")).join(words, "word", "left_semi").distinct()
+
+
 def _named(spans: Column) -> Column:
     kinds = F.array(*[F.lit(k) for k in (*KINDS, "term")])
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.element_at(kinds, s["kind"] + 1), s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def _all_spans(documents: DataFrame, keep: list[str]) -> tuple[DataFrame, DataFrame]:
-    """The rows with base spans (and the columns of keep, row and spans), and all rows with their base spans from the scan."""
-    docs = _spans(documents.withColumn("text", F.coalesce("text", F.lit(""))).withColumn("row", F.xxhash64("text")))
-    some = c.written(docs.where(F.size("base") > 0).select("doc_id", "row", "base", *keep))
-    beside = c.written(_beside(some if "text" in keep else docs))
-    told = disclosures(documents.select(F.coalesce("text", F.lit("")).alias("text")), beside)
-    terms = beside.join(told, ["value", "word"]).groupBy("doc_id", "row").agg(F.collect_set(F.struct(F.col("start"), F.lit(len(KINDS)).alias("kind"), F.col("end"), F.col("word").alias("value"))).alias("terms"))
-    none = F.array().cast("array<struct<start:int,kind:int,end:int,value:string>>")
+def _all_spans(documents: DataFrame, keep: list[str]) -> DataFrame:
+    """All rows with base (their base spans) and spans (these and the terms), and the columns of keep."""
+    docs = documents.withColumn("text", F.coalesce("text", F.lit(""))).withColumn("row", F.xxhash64("text"))
+    texts, none = docs.select("row", "text"), F.array().cast("array<struct<start:int,kind:int,end:int,value:string>>")
+    some = c.written(_spans(texts).where(F.size("base") > 0))
+    words = c.written(disclosures(texts, c.written(_together(some))).select("word").distinct())
+    n_words = words.count()
+    docs = _spans(docs.select("doc_id", "row", *keep))
+    if not n_words:
+        return docs.withColumn("spans", F.col("base"))
+    held = c.written(_holding(texts, words, n_words).groupBy("row").agg(F.collect_set("word").alias("_words")))
+    # Words and what is before each of them, walked once; only terms are kept.
+    pieces = F.zip_with(F.split("text", WORD, -1), F.regexp_extract_all("text", F.lit(WORD), 0), lambda p, w: F.struct(F.length(p).alias("gap"), w.alias("word")))
+    step = lambda a, p: F.struct(
+        (a["at"] + p["gap"] + F.coalesce(F.length(p["word"]), F.lit(0))).alias("at"),
+        F.when(
+            F.coalesce(F.array_contains("_words", F.lower(p["word"])), F.lit(False)),
+            F.concat(a["out"], F.array(F.struct((a["at"] + p["gap"]).alias("start"), F.lit(len(KINDS)).alias("kind"), (a["at"] + p["gap"] + F.length(p["word"])).alias("end"), F.lower(p["word"]).alias("value")))),
+        ).otherwise(a["out"]).alias("out"),
+    )
+    terms = F.when(F.col("_words").isNotNull(), F.aggregate(pieces, F.struct(F.lit(0).alias("at"), none.alias("out")), step, lambda a: a["out"])).otherwise(none)
+    docs = docs.join(held, "row", "left").withColumn("_terms", terms)
     # A word inside a base span is covered already.
-    some = some.join(terms, ["doc_id", "row"], "left").withColumn("terms", F.filter(F.coalesce("terms", none), lambda t: ~F.exists("base", lambda b: (t["start"] < b["end"]) & (b["start"] < t["end"]))))
-    return some.withColumn("spans", F.array_sort(F.concat("base", "terms"))).drop("terms"), docs
+    outside = F.filter("_terms", lambda t: ~F.exists("base", lambda b: (t["start"] < b["end"]) & (b["start"] < t["end"])))
+    return docs.withColumn("spans", F.array_sort(F.concat("base", outside))).drop("_terms", "_words")
 
 
 def find(documents: DataFrame) -> DataFrame:
@@ -144,11 +178,9 @@ def find(documents: DataFrame) -> DataFrame:
     A null text is empty and has no spans. Rows that repeat stay repeated; a text counts once for the
     disclosure of a word however often its row repeats. An empty table gives an empty result.
     """
-    some, docs = _all_spans(documents.select("doc_id", "text"), ["text"])
-    counts = lambda of: [F.size(F.filter(of, _is(k))).cast("long").alias(f"n_{kind}") for k, kind in enumerate((*KINDS, "term"))]
-    with_ = some.select("doc_id", *counts("spans"), F.sha2(_named(F.col("base")).cast("binary"), 256).alias("base_sha256"), _named(F.col("spans")).alias("spans"))
-    without = docs.where(F.size("base") == 0).select("doc_id", *[F.lit(0).cast("long").alias(f"n_{k}") for k in (*KINDS, "term")], F.sha2(F.lit("").cast("binary"), 256).alias("base_sha256"), F.lit("").alias("spans"))
-    return with_.unionByName(without)
+    docs = _all_spans(documents.select("doc_id", "text"), ["text"])
+    counts = [F.size(F.filter("spans", _is(k))).cast("long").alias(f"n_{kind}") for k, kind in enumerate((*KINDS, "term"))]
+    return docs.select("doc_id", *counts, F.sha2(_named(F.col("base")).cast("binary"), 256).alias("base_sha256"), _named(F.col("spans")).alias("spans"))
 
 
 def _is(k: int):
@@ -162,26 +194,18 @@ def sanitise(documents: DataFrame) -> DataFrame:
     """
     others = [x for x in documents.columns if x not in ("doc_id", "text")]
     plain = documents.select("doc_id", "text", F.struct(*[F.col(f"`{x}`") for x in others]).alias("_rest")) if others else documents.select("doc_id", "text", F.lit(None).cast("string").alias("_rest"))
-    some, docs = _all_spans(plain, ["text", "_rest"])
+    docs = _all_spans(plain, ["text", "_rest"])
     kinds = F.array(*[F.lit(f"<{k.upper()}>") for k in (*KINDS, "term")])
-    built = F.aggregate(
-        "spans", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")),
-        lambda a, s: F.when(s["start"] < a["at"], F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out"))).otherwise(
-            F.struct(s["end"].alias("at"), F.concat(a["out"], F.substring(F.col("text"), a["at"] + 1, s["start"] - a["at"]), F.element_at(kinds, s["kind"] + 1)).alias("out"))
-        ),
-    )
-    new = some.withColumn("_b", built).withColumn("text", F.concat("_b.out", F.substring(F.col("text"), F.col("_b.at") + 1, F.length("text"))))
-    out = []
-    for df, changed in ((new, True), (docs.where(F.size("base") == 0), False)):
-        cols = []
-        for x in documents.columns:
-            if x == "text" and not changed:
-                cols.append(F.col("text"))
-            elif x in ("doc_id", "text"):
-                cols.append(F.col(x))
-            elif x == "n_chars" and changed:
-                cols.append(F.length("text").cast(documents.schema[x].dataType).alias(x))
-            else:
-                cols.append(F.col(f"_rest.`{x}`").alias(x))
-        out.append(df.select(*cols))
-    return out[0].unionByName(out[1])
+    changed = F.size("spans") > 0
+    docs = docs.withColumn("_new", F.when(changed, _replaced(F.col("text"), F.col("spans"), lambda s: F.element_at(kinds, s["kind"] + 1))).otherwise(F.col("text")))
+    cols = []
+    for x in documents.columns:
+        if x == "text":
+            cols.append(F.col("_new").alias(x))
+        elif x == "doc_id":
+            cols.append(F.col(x))
+        elif x == "n_chars":
+            cols.append(F.when(changed, F.length("_new").cast(documents.schema[x].dataType)).otherwise(F.col(f"_rest.`{x}`")).alias(x))
+        else:
+            cols.append(F.col(f"_rest.`{x}`").alias(x))
+    return docs.select(*cols)

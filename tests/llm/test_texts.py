@@ -303,3 +303,15 @@ def test_classes_nest():
     assert html_extract._walk([(0, 0), (1, 1), (2, 0), (3, 1)], {0: 2, 1: 2}) == {(0, 1)}
     t = html_extract.Template.read(4, [{"pages": 4, "tokens": [1, 3]}, {"pages": 4, "tokens": [4, 5]}], [], [{"a": 0, "b": 1}])
     assert t.of[1] == t.of[3] and t.of[4] != t.of[5]
+
+
+def test_terms_anywhere(spark, docs_of):
+    rows = [(i, f"line {i} wrote bob@site.org about all of the things that were said here. And then came Zaphodia, zaphodia, with words {i}") for i in range(4)]
+    rows += [(10, "Of ZAPHODIA no more is said")] + [(100 + i, f"common words about all the things and line {i} that were said here then came with text wrote on") for i in range(500)]
+    got = {r["doc_id"]: r for r in pii.find(docs_of(rows)).collect()}
+    for i in (*range(4), 10):
+        text = dict(rows)[i]
+        places = [f"term:{m.start()}:{m.end()}" for m in re.finditer("zaphodia", text, re.I)]
+        assert [s for s in got[i]["spans"].split(",") if s.startswith("term")] == places and got[i]["n_term"] == len(places)
+    by = {r["doc_id"]: r["text"] for r in pii.sanitise(docs_of(rows)).collect()}
+    assert by[10] == "Of <TERM> no more is said" and by[100] == dict(rows)[100] and by[1].endswith("came <TERM>, <TERM>, with words 1")
