@@ -11,6 +11,7 @@ words do not cover the family's template, is unknown. Scoring uses DataFrame fun
 from __future__ import annotations
 
 import re
+from itertools import combinations
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -109,6 +110,30 @@ def _numbered(words: Column, vocabulary: dict[str, int]) -> Column:
     return F.filter(F.transform(F.array_distinct(F.concat(words, pairs)), lambda g: F.array_position(held, g).cast("int")), lambda i: i > 0)
 
 
+def needed(template: str) -> tuple[set[str], int]:
+    """A template's different words, and how many of them any text that covers it holds: pairs count only with both of their words."""
+    ws = tokens(template)
+    words, pairs = sorted(set(ws)), set(zip(ws, ws[1:], strict=False))
+    for n in range(1, len(words) + 1):
+        if any(n + sum(a in held and b in held for a, b in pairs) >= COVER * (len(words) + len(pairs)) - 1e-9 for held in map(set, combinations(words, n))):
+            return set(words), n
+    return set(words), len(words)
+
+
+def cues(background: list[str]) -> list[str]:
+    """Words of which any text that covers a template holds one: of each template's w words, n of them needed, any w - n + 1; those rarest in background are taken."""
+    seen: dict[str, int] = {}
+    for t in background:
+        for w in set(tokens(t)):
+            seen[w] = seen.get(w, 0) + 1
+    out: set[str] = set()
+    for ts in TEMPLATES.values():
+        for t in ts:
+            words, n = needed(t)
+            out.update(sorted(words, key=lambda w: (seen.get(w, 0), -len(w), w))[: len(words) - n + 1])
+    return sorted(out)
+
+
 def scan(documents: DataFrame) -> DataFrame:
     """doc_id, n_paragraphs, n_licensed, families, paragraphs for every row of documents.
 
@@ -120,14 +145,14 @@ def scan(documents: DataFrame) -> DataFrame:
     docs = documents.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     lines = F.filter(F.split("text", r"\n+"), lambda x: F.regexp_like(x, F.lit("[A-Za-z0-9]")))
     some = docs.select("doc_id", lines.alias("lines")).where(F.size("lines") > 0).select(F.xxhash64("doc_id").alias("h"), F.element_at("lines", F.pmod(F.xxhash64("doc_id"), F.size("lines")).cast("int") + 1).alias("line"))
-    cues = {"license", "licensed", "copyright", "gnu", "apache", "mozilla", "commons"}
-    background = [r["line"] for r in some.where(F.length("line") <= SAMPLE_CHARS).orderBy("h", "line").limit(SAMPLE).collect() if not cues & set(tokens(r["line"]))]
+    named = {"license", "licensed", "copyright", "gnu", "apache", "mozilla", "commons"}
+    background = [r["line"] for r in some.where(F.length("line") <= SAMPLE_CHARS).orderBy("h", "line").limit(SAMPLE).collect() if not named & set(tokens(r["line"]))]
     model = Model(background)
     names = list(model.vocabulary)
-    # A paragraph without any of the words that licences are recognised by cannot reach a family.
-    cue = F.regexp_like("text", F.lit(r"(?i)licen[sc]e|permission|redistribution|public domain|creative commons|\bgpl\b|\blgpl\b|\bagpl\b|apache|mozilla|\bcc0\b"))
     base = docs.withColumn("row", F.xxhash64("text"))
-    maybe = base.where(cue).dropDuplicates(["doc_id", "row"]).select("doc_id", "row", F.posexplode(lines).alias("paragraph", "line"))
+    # Of each template any paragraph that covers it holds one of these words, so no licensed one is passed over.
+    cue = rf"(?i)(?<![a-z0-9])(?:{'|'.join(cues(background))})(?![a-z0-9])"
+    maybe = base.where(F.regexp_like("text", F.lit(cue))).dropDuplicates(["doc_id", "row"]).select("doc_id", "row", F.posexplode(lines).alias("paragraph", "line")).where(F.regexp_like("line", F.lit(cue)))
     words = F.filter(F.split(c.fold(F.col("line")), BREAK), lambda w: w != "")
     hit = c.written(maybe.withColumn("words", words).withColumn("g", _numbered(F.col("words"), model.vocabulary)).where(F.size("g") > 0).select("doc_id", "row", "paragraph", "g"))
     flat = F.array(*[F.lit(float(v)) for v in np.round(model.w, 6).ravel()])

@@ -305,6 +305,27 @@ def test_classes_nest():
     assert t.of[1] == t.of[3] and t.of[4] != t.of[5]
 
 
+LATE = ["CC BY-SA 4.0", "CC BY 4.0", "BSD 3-Clause", "Use in source and binary forms, with or without modification, are permitted"]
+
+
+def test_licenses_without_the_usual_words(spark, docs_of):
+    rows = list(enumerate(LATE)) + [(100 + i, f"plain prose number {i} of the corpus\nsecond line") for i in range(30)]
+    by = {r["doc_id"]: r["families"] for r in licenses.scan(docs_of(rows)).collect()}
+    assert [by[i] for i in range(4)] == ["cc-by-sa-4.0", "cc-by-4.0", "bsd", "bsd"] and not any(by[100 + i] for i in range(30))
+
+
+def test_cues_lose_nothing():
+    rng = random.Random(4)
+    for background in ([], ["under the license of the public 4 0", "permission is by the terms"] * 9):
+        cues = set(licenses.cues(background))
+        for ts in licenses.TEMPLATES.values():
+            for t in ts:
+                whole = set(licenses.grams(licenses.tokens(t)))
+                for _ in range(300):
+                    got = [w for w in licenses.tokens(t) if rng.random() < 0.8]
+                    assert len(whole & set(licenses.grams(got))) < licenses.COVER * len(whole) - 1e-9 or cues & set(got), (t, got)
+
+
 def test_terms_anywhere(spark, docs_of):
     rows = [(i, f"line {i} wrote bob@site.org about all of the things that were said here. And then came Zaphodia, zaphodia, with words {i}") for i in range(4)]
     rows += [(10, "Of ZAPHODIA no more is said")] + [(100 + i, f"common words about all the things and line {i} that were said here then came with text wrote on") for i in range(500)]
