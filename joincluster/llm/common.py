@@ -228,6 +228,28 @@ def in_filter(key: Column, words: list[int], seeds: tuple[int, ...] = (0,)) -> C
     return out
 
 
+def semi(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
+    """The rows of df whose key is in the written table ids; a short list is broadcast, of a longer one a bit filter goes first, so that other rows do not move."""
+    return _by_key(df, ids, key)[0]
+
+
+def without(df: DataFrame, ids: DataFrame, key: str) -> DataFrame:
+    """The rows of df whose key (not null) is not in the written table ids; rows that a bit filter of ids rules out do not move."""
+    found, rest = _by_key(df, ids, key, "left_anti")
+    return found if rest is None else rest.unionByName(found)
+
+
+def _by_key(df: DataFrame, ids: DataFrame, key: str, how: str = "left_semi") -> tuple[DataFrame, DataFrame | None]:
+    many = ids.count()
+    if many <= LISTED:
+        return df.join(F.broadcast(ids), key, how), None
+    bits = filter_bits(many, 8)
+    if bits > FILTER_BITS_MOST:
+        return df.join(ids, key, how), None
+    held = in_filter(F.col(key), bit_words(ids, key, bits, (0, 1)), (0, 1))
+    return df.where(held).join(ids, key, how), df.where(~held) if how == "left_anti" else None
+
+
 # ---- connected components ------------------------------------------------------------------
 
 

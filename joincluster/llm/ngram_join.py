@@ -8,10 +8,14 @@ share last and sort the rest by a seeded hash.
 
 Equal sets are one class, joined only once. Inside the bucket of a prefix token the members are
 first compared with one leader. Only buckets that then hold several components are searched further:
-small ones pair by pair, large ones with their members dealt into blocks of bounded size that are
-compared block against block, where a block pair returns just the links that connect what was not
-connected. A large group of near copies so costs a
+small ones pair by pair, large ones with their members dealt into blocks by component and size, where
+only blocks of near sizes and different components meet. A large group of near copies so costs a
 star rather than all its pairs, and no link between components is lost.
+
+Until a pair passes all filters only a sketch of its sets moves: 16-bit hashes of the further orders'
+prefixes, and a bit a hash slot that holds the parity of the set's shingles there. Two sets differ in
+at least as many shingles as their sketches differ in bits, so a pair whose bits differ more than the
+threshold allows is out. The sets themselves are read again from their texts for the pairs left.
 """
 
 from __future__ import annotations
@@ -129,46 +133,76 @@ def _first(n: int, percent: int) -> int:
     return n - -(-percent * n // 100) + 1 if n else 0
 
 
-def _prefixes(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -> DataFrame:
-    """doc_id, n, set (hash of the set, null if empty), p1 (prefix under the first order)."""
+def _hashes16(tokens: np.ndarray) -> bytes:
+    return np.sort((tokens >> np.uint64(13)).astype(np.uint16)).tobytes()
+
+
+def _slots(n: int) -> int:
+    """Bits of a set's sketch: the power of two from n on."""
+    return max(64, 1 << (n - 1).bit_length())
+
+
+def parity(s: np.ndarray) -> bytes:
+    bits = _slots(len(s))
+    return np.packbits(np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1 == 1, bitorder="little").tobytes()
+
+
+def _bits_differ(x: bytes, y: bytes) -> int:
+    """In how many bits two sketches differ; the longer is folded onto the shorter, which keeps parities."""
+    a, b = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
+    while len(a) > len(b):
+        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
+    while len(b) > len(a):
+        b = b[: len(b) // 2] ^ b[len(b) // 2 :]
+    return int(np.bitwise_count(a ^ b).sum())
+
+
+def _least(n: int, percent: int) -> int:
+    return max(1, _first(n, percent) // 2)
+
+
+def _read(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -> DataFrame:
+    """doc_id, row, n, set (hash of the set, null if empty), p1 (prefix under the first order), e2, e3 (longer ones of two further orders, as 16-bit hashes), bits."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
                 b = batch.slice(at, 1000)
-                ns, sets, out = [], [], []
+                ns, sets, out, e2, e3, bits = [], [], [], [], [], []
                 for s in shingle_sets(b.column("text"), size):
-                    ns.append(len(s))
-                    sets.append(set_hash(s) if len(s) else None)
-                    out.append(_prefix(s, 0, _first(len(s), percent), _late(s, frequent)))
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array(ns, pa.int64()), pa.array(sets, pa.int64()), _lists(out)], ["doc_id", "n", "set", "p1"])
+                    n, late = len(s), _late(s, frequent)
+                    first, more = _first(n, percent), _least(n, percent) - 1
+                    ns.append(n)
+                    sets.append(set_hash(s) if n else None)
+                    out.append(_prefix(s, 0, first, late))
+                    e2.append(_hashes16(_prefix(s, 1, first + more, late)) if n else None)
+                    e3.append(_hashes16(_prefix(s, 2, first + more, late)) if n else None)
+                    bits.append(parity(s) if n else None)
+                yield pa.RecordBatch.from_arrays(
+                    [b.column("doc_id").cast(pa.int64()), b.column("row"), pa.array(ns, pa.int64()), pa.array(sets, pa.int64()), _lists(out), *[pa.array(x, pa.binary()) for x in (e2, e3, bits)]],
+                    ["doc_id", "row", "n", "set", "p1", "e2", "e3", "bits"],
+                )
+
+    return documents.select("doc_id", "row", "text").mapInArrow(run, "doc_id long, row long, n long, set long, p1 array<long>, e2 binary, e3 binary, bits binary")
+
 
-    return documents.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, set long, p1 array<long>")
+def _of(sets: DataFrame, read: DataFrame, reps: DataFrame, *columns: str) -> DataFrame:
+    """set and columns of read for the sets of a table (column set): one row each, that of the set's first row. Rows of other sets do not move."""
+    ids = c.written(sets.select("set").distinct().join(reps.select("set", "row"), "set").select("row"))
+    return c.semi(read.select("row", "set", *columns), ids, "row").dropDuplicates(["set"])
 
 
-def _near(sets: DataFrame, reps: DataFrame, documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -> DataFrame:
-    """set, n, least, e2, e3 (longer prefixes of two further orders), body of the sets of a table (column set)."""
-    ids = c.written(sets.select("set").distinct().join(reps.select("set", "doc_id"), "set"))
+def _bodies(sets: DataFrame, documents: DataFrame, reps: DataFrame, size: int) -> DataFrame:
+    """set, body (its sorted hashes) of the sets of a table (column set), read again from their texts."""
+    ids = c.written(sets.select("set").distinct().join(reps.select("set", "row"), "set").select("row"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
-                b = batch.slice(at, 500)
-                got = list(shingle_sets(b.column("text"), size))
-                sets = pa.array([set_hash(s) for s in got], pa.int64())
-                least = [max(1, _first(len(s), percent) // 2) for s in got]
-                longer = [_lists([_prefix(s, o, _first(len(s), percent) - 1 + k, _late(s, frequent)) for s, k in zip(got, least, strict=True)]) for o in (1, 2)]
-                out = [sets, pa.array([len(s) for s in got], pa.int64()), pa.array(least, pa.int32()), *longer, pa.array([s.tobytes() for s in got], pa.binary())]
-                # Another text may have the same doc_id; the set asked for tells them apart.
-                yield pa.RecordBatch.from_arrays(out, ["set", "n", "least", "e2", "e3", "body"]).filter(pa.compute.equal(sets, b.column("want")))
-
-    texts = documents.select("doc_id", "text")
-    many = ids.count()
-    bits = c.filter_bits(max(1, many))
-    if bits <= c.FILTER_BITS_MOST:  # so that the join below moves few texts besides those it needs
-        texts = texts.where(c.in_filter(F.col("doc_id"), c.bit_words(ids, "doc_id", bits, (0, 1)), (0, 1)))
-    rows = c.written(texts.join(ids.withColumnRenamed("set", "want"), "doc_id").mapInArrow(run, "set long, n long, least int, e2 array<long>, e3 array<long>, body binary"))
-    return rows if rows.count() <= many else c.written(rows.dropDuplicates(["set"]))  # more only where rows repeat
+                got = list(shingle_sets(batch.column("text").slice(at, 500), size))
+                yield pa.RecordBatch.from_arrays([pa.array([set_hash(s) if len(s) else None for s in got], pa.int64()), pa.array([s.tobytes() for s in got], pa.binary())], ["set", "body"])
+
+    return c.semi(documents.select("row", "text"), ids, "row").mapInArrow(run, "set long, body binary").dropDuplicates(["set"])
 
 
 def _shares(x: np.ndarray, y: np.ndarray) -> int:
@@ -181,23 +215,45 @@ def _shares(x: np.ndarray, y: np.ndarray) -> int:
     return int((y[i] == x).sum())
 
 
-def _links(pairs: DataFrame, near: DataFrame, percent: int) -> DataFrame:
-    """Those (a, b) of pairs whose sets link: sizes and both further orders must agree, then the sets decide."""
+def _most(n: int, m: int, percent: int) -> int:
+    """In how many shingles linked sets of n and m can differ."""
+    both = -(-percent * (n + m) // (100 + percent))
+    return n + m - 2 * both
+
+
+def _numbered(x: bytes) -> np.ndarray:
+    """Sorted 16-bit hashes with a number each that tells repeated ones apart."""
+    v = np.frombuffer(x, np.uint16)
+    return v.astype(np.int64) * (1 << 32) + np.arange(len(v)) - np.searchsorted(v, v)
+
+
+def _agree(n: int, m: int, ex: tuple[np.ndarray, ...], ey: tuple[np.ndarray, ...], bx: bytes, by: bytes, percent: int) -> bool:
+    """Whether two sets share enough of both further orders' prefixes and their sketches do not differ too much."""
+    least = min(_least(n, percent), _least(m, percent))
+    return all(_shares(x, y) >= least for x, y in zip(ex, ey, strict=True)) and _bits_differ(bx, by) <= _most(n, m, percent)
+
 
-    def needed(p):  # only these sets' rows are moved
-        ids = c.listed(c.written(p.select(F.explode(F.array("a", "b")).alias("set")).distinct()))
-        held = near.join(ids, "set", "left_semi")
-        return lambda x, *ks: held.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in ks])
+SKETCH = ("n", "e2", "e3", "bits")
 
-    left = pairs.select("a", "b")
-    for e in ("e2", "e3"):  # one order after the other: few pairs are left for the second
-        side = needed(left)
-        left = c.written(
-            left.join(side("a", "least", e), "a").join(side("b", "least", e), "b")
-            .where(F.size(F.array_intersect(f"{e}_a", f"{e}_b")) >= F.least("least_a", "least_b")).select("a", "b")
-        )
 
-    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _candidates(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
+    """Those (a, b) of pairs that pass the further orders and the sketches."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            keep = []
+            for n, m, x2, x3, y2, y3, bx, by in zip(*(b.column(k).to_pylist() for k in ("n_a", "n_b", "e2_a", "e3_a", "e2_b", "e3_b", "bits_a", "bits_b")), strict=True):
+                keep.append(_agree(n, m, (_numbered(x2), _numbered(x3)), (_numbered(y2), _numbered(y3)), bx, by, percent))
+            yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    side = lambda x: sketches.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in SKETCH])
+    return pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(run, "a long, b long")
+
+
+def _verified(pairs: DataFrame, bodies: DataFrame, percent: int) -> DataFrame:
+    """Those (a, b) of pairs whose sets link."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             keep = []
             for x, y in zip(b.column("body_a"), b.column("body_b"), strict=True):
@@ -206,56 +262,30 @@ def _links(pairs: DataFrame, near: DataFrame, percent: int) -> DataFrame:
                 keep.append(100 * both >= percent * (len(x) + len(y) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    side = needed(left)
-    return left.join(side("a", "body"), "a").join(side("b", "body"), "b").select("a", "b", "body_a", "body_b").mapInArrow(verify, "a long, b long")
+    side = lambda x: bodies.select(F.col("set").alias(x), F.col("body").alias(f"body_{x}"))
+    return pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").select("a", "b", "body_a", "body_b").mapInArrow(run, "a long, b long")
 
 
-def _counts(x: list[np.ndarray], y: list[np.ndarray]) -> np.ndarray:
-    """Intersection sizes of every list of x with every list of y."""
-    tokens = np.concatenate(y)
-    owner = np.repeat(np.arange(len(y)), [len(v) for v in y])
-    order = np.argsort(tokens, kind="stable")
-    tokens, owner = tokens[order], owner[order]
-    out = np.zeros((len(x), len(y)), np.int64)
-    for i, v in enumerate(x):
-        lo, hi = np.searchsorted(tokens, v), np.searchsorted(tokens, v, "right")
-        many = hi - lo
-        at = np.repeat(lo - np.concatenate([[0], np.cumsum(many)[:-1]]), many) + np.arange(many.sum()) if len(v) else np.empty(0, np.int64)
-        out[i] = np.bincount(owner[at], minlength=len(y))
-    return out
+def _ends(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.explode(F.array("a", "b")).alias("set"))
 
 
 def _compare(percent: int):
-    """Links that connect the sets of two blocks, as few as connect them: pairs already connected are not verified."""
+    """The pairs of two blocks' sets, of different components, that pass the further orders and the sketches."""
 
     def run(table: pa.Table) -> pa.Table:
-        one = table.filter(pa.compute.equal(table["block"], table["x"]))
-        two = one if table["x"][0].as_py() == table["y"][0].as_py() else table.filter(pa.compute.equal(table["block"], table["y"]))
-        read = lambda t, k: [np.array(v, np.int64) for v in t[k].to_pylist()]
-        ids = [t["set"].to_pylist() for t in (one, two)]
-        parent = {r: r for t in (one, two) for r in t["root"].to_pylist()}
-        roots = [t["root"].to_pylist() for t in (one, two)]
-
-        def top(r):
-            while parent[r] != r:
-                parent[r] = r = parent[parent[r]]
-            return r
-
-        n, least = ([t[k].to_numpy() for t in (one, two)] for k in ("n", "least"))
-        enough = np.minimum(least[0][:, None], least[1][None, :])
-        fits = np.minimum(n[0][:, None], n[1][None, :]) * 100 >= np.maximum(n[0][:, None], n[1][None, :]) * percent
-        for e in ("e2", "e3"):
-            if fits.any():
-                fits &= _counts(read(one, e), read(two, e)) >= enough
-        bodies = [[np.frombuffer(v.as_buffer(), np.uint64) for v in t["body"].combine_chunks()] for t in (one, two)]
+        blocks = [table["x"][0].as_py()]
+        if table["y"][0].as_py() != blocks[0]:
+            blocks.append(table["y"][0].as_py())
+        held = []
+        for k in blocks:
+            t = table.filter(pa.compute.equal(table["block"], k))
+            held.append([(i, r, n, (_numbered(x), _numbered(y)), z) for i, r, n, x, y, z in zip(*(t[k].to_pylist() for k in ("set", "root", *SKETCH)), strict=True)])
         out = []
-        for i, j in zip(*np.nonzero(fits), strict=True):
-            p, q = top(roots[0][i]), top(roots[1][j])
-            if p != q:
-                both = _shares(bodies[0][i], bodies[1][j])
-                if 100 * both >= percent * (n[0][i] + n[1][j] - both):
-                    parent[max(p, q)] = min(p, q)
-                    out.append((ids[0][i], ids[1][j]))
+        for at, (i, r, n, e, bits) in enumerate(held[0]):
+            for j, q, m, f, other in held[1] if len(held) > 1 else held[0][at + 1 :]:
+                if r != q and 100 * min(n, m) >= percent * max(n, m) and _bits_differ(bits, other) <= _most(n, m, percent) and _agree(n, m, e, f, bits, other, percent):
+                    out.append((min(i, j), max(i, j)))
         return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
 
     return run
@@ -265,34 +295,32 @@ def _sized(x: str, y: str, percent: int) -> Column:
     return F.least(x, y) * 100 >= F.greatest(x, y) * percent
 
 
-def _block_links(wide: DataFrame, near: DataFrame, percent: int, block: int) -> DataFrame:
-    """Links inside large buckets (token, set, leader, root): sets are dealt into blocks by the leader of their first
-    bucket, and two blocks meet once if they share a bucket that holds more than one component. A task holds two blocks.
+def _block_pairs(wide: DataFrame, sketches: DataFrame, percent: int, block: int) -> DataFrame:
+    """Candidate pairs inside large buckets (token, set, leader, root, n). A set's home is the leader of its first bucket; a home's
+    sets are dealt into blocks by their size band and, where it has many of them, their component. Two blocks meet once, if
+    they share a bucket, their bands are next to each other and they do not hold one and the same component alone.
     """
-    home = wide.groupBy("set", "root").agg(F.min("leader").alias("home"))
-    sizes = home.groupBy("home").agg(F.ceil(F.count("*") / block).alias("parts"))
-    home = c.written(home.join(sizes, "home").select("set", "root", F.xxhash64("home", F.pmod(F.xxhash64(F.lit(9), "set"), "parts")).alias("block")))
-    held = c.written(wide.join(home.select("set", "block"), "set").groupBy("token", "block").agg(F.min("root").alias("lo"), F.max("root").alias("hi")))
-    x, y = (held.select("token", F.col("block").alias(k), F.col("lo").alias(f"lo_{k}"), F.col("hi").alias(f"hi_{k}")) for k in ("x", "y"))
-    meet = c.written(x.join(y, "token").where("x <= y and (lo_x != hi_x or lo_y != hi_y or lo_x != lo_y)").select("x", "y").distinct())
-    # Of all sets few are in large buckets: their list is broadcast where its size allows, so the others' bodies stay where they are.
-    members = near.join(c.listed(home), "set")
+    # Sizes of linked sets are at most one band apart.
+    band = F.floor(F.log(F.col("n").cast("double")) / F.lit(float(np.log(100 / percent)) if percent < 100 else 1.0) + F.lit(1e-9)).cast("int")
+    home = wide.groupBy("set", "root", "n").agg(F.min("leader").alias("home")).withColumn("band", band)
+    roots = home.groupBy("home", "band", "root").agg(F.count("*").alias("many"))
+    small = roots.where(F.col("many") < block).groupBy("home", "band").agg(F.ceil(F.sum("many") / block).alias("rest"))
+    home = home.join(roots, ["home", "band", "root"]).join(small, ["home", "band"], "left")
+    own = F.xxhash64("home", "band", "root", F.pmod(F.xxhash64(F.lit(9), "set"), F.ceil(F.col("many") / block)))
+    home = c.written(home.select("set", "root", "band", F.when(F.col("many") >= block, own).otherwise(F.xxhash64(F.lit("rest"), "home", "band", F.pmod(F.xxhash64(F.lit(7), "root"), "rest"))).alias("block")))
+    held = c.written(wide.join(home.select("set", "block", "band"), "set").groupBy("token", "block").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.min("band").alias("band")))
+    x, y = (held.select("token", F.col("block").alias(k), F.col("lo").alias(f"lo_{k}"), F.col("hi").alias(f"hi_{k}"), F.col("band").alias(f"band_{k}")) for k in ("x", "y"))
+    meet = c.written(x.join(y, "token").where("x <= y and abs(band_x - band_y) <= 1 and (lo_x != hi_x or lo_y != hi_y or lo_x != lo_y)").select("x", "y").distinct())
+    members = sketches.join(home.select("set", "root", "block"), "set")
     rows = meet.select("x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block")).join(members, "block")
     return rows.groupBy("x", "y").applyInArrow(_compare(percent), "a long, b long")
 
 
-def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """doc_id, n_shingles, component_id for every row of documents.
-
-    Two rows link when 100 * |intersection| >= percent * |union| of their sets of size-word
-    shingles; component_id is the smallest doc_id reachable by links, itself included. A text of
-    fewer words is one shingle; null, empty and wordless texts have no shingles and no links.
-    Rows that repeat are equal sets and so linked. An empty table gives an empty result.
-    """
-    documents = documents.select("doc_id", "text")
+def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, row, n, set, root) of every row of documents (doc_id, row, text), null roots where there are no links; and the links (a, b) between sets that join them."""
     frequent = frequent_shingles(documents, size)
-    read = c.written(_prefixes(documents, frequent, size, percent))
-    reps = c.written(read.where("set is not null").groupBy("set").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n")))
+    read = c.written(_read(documents, frequent, size, percent))
+    reps = c.written(read.where("set is not null").groupBy("set").agg(F.min("row").alias("row"), F.min("n").alias("n")))
 
     tokens = read.where("set is not null").select(F.explode("p1").alias("token"), "set")
     shared = tokens.groupBy("token").agg(F.min("set").alias("leader"), F.max("set").alias("last")).where("leader != last").select("token", "leader")
@@ -300,9 +328,8 @@ def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCEN
     stars = buckets.where("set != leader").select(F.col("leader").alias("a"), F.col("set").alias("b")).distinct()
     long = lambda k: reps.select(F.col("set").alias(k), F.col("n").alias(f"n_{k}"))
     stars = c.written(stars.join(long("a"), "a").join(long("b"), "b").where(_sized("n_a", "n_b", percent)).select("a", "b"))
-    ends = lambda p: p.select(F.explode(F.array("a", "b")).alias("set"))
-    first = _near(ends(stars), reps, documents, frequent, size, percent)
-    links = c.written(_links(stars, first, percent))
+    near = c.written(_candidates(stars, c.written(_of(_ends(stars), read, reps, *SKETCH)), percent))
+    links = c.written(_verified(near, _bodies(_ends(near), documents, reps, size), percent))
 
     root = c.components(links).select(F.col("node").alias("set"), "root")
     wide = buckets.join(root, "set", "left").select("token", "set", "leader", F.coalesce("root", "set").alias("root"))
@@ -312,27 +339,52 @@ def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCEN
     x, y = (few.select("token", F.col("set").alias(k), F.col("n").alias(f"n_{k}"), F.col("root").alias(f"root_{k}")) for k in ("a", "b"))
     pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
     many = wide.where(F.col("members") > FEW)
-    more = ends(pairs).unionByName(many.select("set")).distinct().join(first.select("set"), "set", "left_anti")
-    second = _near(more, reps, documents, frequent, size, percent)
-    near = first.unionByName(second)
-    links = links.unionByName(c.written(_links(pairs, near, percent))).unionByName(c.written(_block_links(many, near, percent, BLOCK)))
+    sketches = c.written(_of(_ends(pairs).unionByName(many.select("set")), read, reps, *SKETCH))
+    more = c.written(_candidates(pairs, sketches, percent).unionByName(_block_pairs(many, sketches, percent, BLOCK)).distinct())
+    links = c.written(links.unionByName(_verified(more, _bodies(_ends(more), documents, reps, size), percent)).distinct())
+
+    roots = c.components(links).withColumnRenamed("node", "set")
+    out = c.written(read.select("doc_id", "row", "n", "set").join(roots, "set", "left").select("doc_id", "row", "n", "set", F.coalesce("root", "set").alias("root")))
+    c.dropped(read, reps, buckets, wide, sketches)
+    return out, links
 
-    roots = c.components(links)
-    named = reps.select("set", "doc_id").join(roots.withColumnRenamed("node", "set"), "set", "left").select("set", "doc_id", F.coalesce("root", "set").alias("root"))
-    least = named.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    named = named.join(least, "root").select("set", "component_id")
-    out = c.written(read.select("doc_id", "n", "set").join(named, "set", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id")))
-    c.dropped(read, buckets, first, second, wide)
-    return out
+
+def _rows(documents: DataFrame) -> DataFrame:
+    return documents.withColumn("row", F.xxhash64("doc_id", F.coalesce("text", F.lit(""))))
+
+
+def near_copies(documents: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """doc_id, n_shingles, component_id for every row of documents.
+
+    Two rows link when 100 * |intersection| >= percent * |union| of their sets of size-word
+    shingles; component_id is the smallest doc_id reachable by links, itself included. A text of
+    fewer words is one shingle; null, empty and wordless texts have no shingles and no links.
+    Rows that repeat are equal sets and so linked. A row of null doc_id links like any other and has the
+    least doc_id of its component that is not null, if any. An empty table gives an empty result.
+    """
+    found, _ = _classes(_rows(documents.select("doc_id", "text")), size, percent)
+    least = found.where("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    return found.join(least, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
 def keep_first(documents: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """The rows of documents, all columns, without those that link (over others) to a smaller doc_id; of rows with one doc_id and linked texts one stays."""
-    found = near_copies(documents, size, percent)
-    out = documents.join(c.listed(c.written(found.where("component_id != doc_id").select("doc_id").distinct())), "doc_id", "left_anti")
-    if not found.where("n_shingles > 0").groupBy("doc_id").count().where("count > 1").isEmpty():
-        out = out.where(F.coalesce("text", F.lit("")).rlike(r"^[\x20\x09-\x0D]*$")).unionByName(out.where(~F.coalesce("text", F.lit("")).rlike(r"^[\x20\x09-\x0D]*$")).dropDuplicates(["doc_id"]))
-    return out.select(documents.columns)
+    """The rows of documents, all columns, of which each component of links keeps one: that of the smallest doc_id (a null id comes last), then of the smallest hash of id and text.
+
+    Of rows that repeat (equal id and text) one stays if the text has a word; rows without words link
+    with nothing and all stay. Rows of one id but texts that do not link all stay.
+    """
+    found, _ = _classes(_rows(documents.select("doc_id", "text")), size, percent)
+    key = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")
+    first = found.where("root is not null").groupBy("root").agg(F.min(key)["row"].alias("first"))
+    linked = c.written(found.join(first, "root").select("row", "first"))
+    gone = c.written(linked.where("row != first").select("row").distinct())
+    twice = c.written(linked.where("row = first").groupBy("row").count().where("count > 1").select("row"))
+    held = documents.withColumn("__row", F.xxhash64("doc_id", F.coalesce("text", F.lit(""))))
+    out = c.without(held, gone.withColumnRenamed("row", "__row"), "__row")
+    if not twice.isEmpty():
+        again = twice.withColumnRenamed("row", "__row")
+        out = c.without(out, again, "__row").unionByName(c.semi(out, again, "__row").dropDuplicates(["__row"]))
+    return out.select([F.col(f"`{x}`") for x in documents.columns])
 
 
 ORACLE_SQL = r"""

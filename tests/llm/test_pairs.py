@@ -229,3 +229,27 @@ def test_price_is_the_best_knapsack():
     values[[3, 4, 7]] = [3.0, 4.5, 7.6]
     conf = packing.price(values, np.full(11, 9), 10)
     assert sum(values[x] * a for x, a in conf.items()) == pytest.approx(10.6)
+
+
+def test_keep_first_of_repeated_ids(spark, docs_of):
+    """Texts that do not link stay, whatever their ids; a null id is one like any other."""
+    rows = [(1, "alpha beta gamma delta epsilon"), (1, "one two three four five six"), (2, "red green blue cyan pink"), (2, "one two three four five six"), (None, "red green blue cyan pink"), (None, "a lone text of null id"), (3, None), (3, None)]
+    got = ngram_join.keep_first(docs_of(rows))
+    key = lambda r: (r[0] is None, r[0] or 0, r[1] or "")
+    assert sorted(((r["doc_id"], r["text"]) for r in got.collect()), key=key) == sorted([rows[0], rows[1], rows[2], rows[5], rows[6], rows[7]], key=key)
+
+
+def test_sketches_lose_no_pair():
+    rng = np.random.default_rng(3)
+    for _ in range(400):
+        n = int(rng.integers(1, 300))
+        a = np.unique(rng.integers(0, 2**63, n).astype(np.uint64))
+        b = np.unique(np.concatenate([a[rng.random(len(a)) > 0.1], rng.integers(0, 2**63, rng.integers(0, 20)).astype(np.uint64)]))
+        if not len(b):
+            continue
+        none = np.empty(0, np.uint64)
+        e = [tuple(ngram_join._numbered(ngram_join._hashes16(ngram_join._prefix(s, o, ngram_join._first(len(s), 85) - 1 + ngram_join._least(len(s), 85), ngram_join._late(s, none)))) for o in (1, 2)) for s in (a, b)]
+        both = len(np.intersect1d(a, b))
+        links = 100 * both >= 85 * (len(a) + len(b) - both)
+        assert ngram_join._bits_differ(ngram_join.parity(a), ngram_join.parity(b)) <= len(a) + len(b) - 2 * both
+        assert not links or ngram_join._agree(len(a), len(b), *e, ngram_join.parity(a), ngram_join.parity(b), 85)
