@@ -186,15 +186,26 @@ def _read(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -
     return documents.select("doc_id", "row", "text").mapInArrow(run, "doc_id long, row long, n long, set long, p1 array<long>, e2 binary, e3 binary, bits binary")
 
 
-def _of(sets: DataFrame, read: DataFrame, reps: DataFrame, *columns: str) -> DataFrame:
-    """set and columns of read for the sets of a table (column set): one row each, that of the set's first row. Rows of other sets do not move."""
-    ids = c.written(sets.select("set").distinct().join(reps.select("set", "row"), "set").select("row"))
-    return c.semi(read.select("row", "set", *columns), ids, "row").dropDuplicates(["set"])
+def _single(rows: DataFrame, many: int) -> DataFrame:
+    """rows, written, with one of each set; many is the number of sets, and only where rows repeat are there more."""
+    rows = c.written(rows)
+    return rows if rows.count() <= many else c.written(rows.dropDuplicates(["set"]))
+
+
+def _rows_of(sets: DataFrame, reps: DataFrame) -> DataFrame:
+    """row: the first row of each set of a table (column set)."""
+    return c.written(sets.select("set").distinct().join(reps.select("set", "row"), "set").select("row"))
+
+
+def _sketches(sets: DataFrame, read: DataFrame, reps: DataFrame) -> DataFrame:
+    """set, n, e2, e3, bits of the sets of a table (column set); rows of other sets do not move."""
+    ids = _rows_of(sets, reps)
+    return _single(c.semi(read.select("row", "set", *SKETCH), ids, "row").drop("row"), ids.count())
 
 
 def _bodies(sets: DataFrame, documents: DataFrame, reps: DataFrame, size: int) -> DataFrame:
     """set, body (its sorted hashes) of the sets of a table (column set), read again from their texts."""
-    ids = c.written(sets.select("set").distinct().join(reps.select("set", "row"), "set").select("row"))
+    ids = _rows_of(sets, reps)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -202,7 +213,7 @@ def _bodies(sets: DataFrame, documents: DataFrame, reps: DataFrame, size: int) -
                 got = list(shingle_sets(batch.column("text").slice(at, 500), size))
                 yield pa.RecordBatch.from_arrays([pa.array([set_hash(s) if len(s) else None for s in got], pa.int64()), pa.array([s.tobytes() for s in got], pa.binary())], ["set", "body"])
 
-    return c.semi(documents.select("row", "text"), ids, "row").mapInArrow(run, "set long, body binary").dropDuplicates(["set"])
+    return _single(c.semi(documents.select("row", "text"), ids, "row").select("text").mapInArrow(run, "set long, body binary"), ids.count())
 
 
 def _shares(x: np.ndarray, y: np.ndarray) -> int:
@@ -227,27 +238,37 @@ def _numbered(x: bytes) -> np.ndarray:
     return v.astype(np.int64) * (1 << 32) + np.arange(len(v)) - np.searchsorted(v, v)
 
 
-def _agree(n: int, m: int, ex: tuple[np.ndarray, ...], ey: tuple[np.ndarray, ...], bx: bytes, by: bytes, percent: int) -> bool:
-    """Whether two sets share enough of both further orders' prefixes and their sketches do not differ too much."""
+def _near(n: int, m: int, x: bytes, y: bytes, percent: int) -> bool:
+    """Whether the sketches of two sets of n and m shingles let them link."""
+    return 100 * min(n, m) >= percent * max(n, m) and _bits_differ(x, y) <= _most(n, m, percent)
+
+
+def _agree(n: int, m: int, ex: tuple[np.ndarray, ...], ey: tuple[np.ndarray, ...], percent: int) -> bool:
+    """Whether two sets share enough of both further orders' prefixes."""
     least = min(_least(n, percent), _least(m, percent))
-    return all(_shares(x, y) >= least for x, y in zip(ex, ey, strict=True)) and _bits_differ(bx, by) <= _most(n, m, percent)
+    return all(_shares(x, y) >= least for x, y in zip(ex, ey, strict=True))
 
 
 SKETCH = ("n", "e2", "e3", "bits")
 
 
 def _candidates(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
-    """Those (a, b) of pairs that pass the further orders and the sketches."""
+    """Those (a, b) of pairs that the sketches' bits and then both further orders let pass."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            keep = []
-            for n, m, x2, x3, y2, y3, bx, by in zip(*(b.column(k).to_pylist() for k in ("n_a", "n_b", "e2_a", "e3_a", "e2_b", "e3_b", "bits_a", "bits_b")), strict=True):
-                keep.append(_agree(n, m, (_numbered(x2), _numbered(x3)), (_numbered(y2), _numbered(y3)), bx, by, percent))
-            yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+    def run(columns: list[str], passes) -> DataFrame:
+        def one(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                rows = zip(*(b.column(f"{k}_{x}").to_pylist() for k in columns for x in ("a", "b")), strict=True)
+                yield b.select(["a", "b"]).filter(pa.array([passes(*r) for r in rows], pa.bool_()))
+
+        return one
+
+    def step(pairs: DataFrame, columns: list[str], passes) -> DataFrame:
+        side = lambda x: sketches.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in columns])
+        return c.written(pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(run(columns, passes), "a long, b long"))
 
-    side = lambda x: sketches.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in SKETCH])
-    return pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(run, "a long, b long")
+    pairs = step(pairs, ["n", "bits"], lambda n, m, x, y: _near(n, m, x, y, percent))
+    return step(pairs, ["n", "e2", "e3"], lambda n, m, x2, y2, x3, y3: _agree(n, m, (_numbered(x2), _numbered(x3)), (_numbered(y2), _numbered(y3)), percent))
 
 
 def _verified(pairs: DataFrame, bodies: DataFrame, percent: int) -> DataFrame:
@@ -284,7 +305,7 @@ def _compare(percent: int):
         out = []
         for at, (i, r, n, e, bits) in enumerate(held[0]):
             for j, q, m, f, other in held[1] if len(held) > 1 else held[0][at + 1 :]:
-                if r != q and 100 * min(n, m) >= percent * max(n, m) and _bits_differ(bits, other) <= _most(n, m, percent) and _agree(n, m, e, f, bits, other, percent):
+                if r != q and _near(n, m, bits, other, percent) and _agree(n, m, e, f, percent):
                     out.append((min(i, j), max(i, j)))
         return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
 
@@ -328,7 +349,7 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
     stars = buckets.where("set != leader").select(F.col("leader").alias("a"), F.col("set").alias("b")).distinct()
     long = lambda k: reps.select(F.col("set").alias(k), F.col("n").alias(f"n_{k}"))
     stars = c.written(stars.join(long("a"), "a").join(long("b"), "b").where(_sized("n_a", "n_b", percent)).select("a", "b"))
-    near = c.written(_candidates(stars, c.written(_of(_ends(stars), read, reps, *SKETCH)), percent))
+    near = _candidates(stars, _sketches(_ends(stars), read, reps), percent)
     links = c.written(_verified(near, _bodies(_ends(near), documents, reps, size), percent))
 
     root = c.components(links).select(F.col("node").alias("set"), "root")
@@ -339,7 +360,7 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
     x, y = (few.select("token", F.col("set").alias(k), F.col("n").alias(f"n_{k}"), F.col("root").alias(f"root_{k}")) for k in ("a", "b"))
     pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
     many = wide.where(F.col("members") > FEW)
-    sketches = c.written(_of(_ends(pairs).unionByName(many.select("set")), read, reps, *SKETCH))
+    sketches = _sketches(_ends(pairs).unionByName(many.select("set")), read, reps)
     more = c.written(_candidates(pairs, sketches, percent).unionByName(_block_pairs(many, sketches, percent, BLOCK)).distinct())
     links = c.written(links.unionByName(_verified(more, _bodies(_ends(more), documents, reps, size), percent)).distinct())
 

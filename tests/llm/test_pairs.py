@@ -252,4 +252,4 @@ def test_sketches_lose_no_pair():
         both = len(np.intersect1d(a, b))
         links = 100 * both >= 85 * (len(a) + len(b) - both)
         assert ngram_join._bits_differ(ngram_join.parity(a), ngram_join.parity(b)) <= len(a) + len(b) - 2 * both
-        assert not links or ngram_join._agree(len(a), len(b), *e, ngram_join.parity(a), ngram_join.parity(b), 85)
+        assert not links or ngram_join._agree(len(a), len(b), *e, 85) and ngram_join._near(len(a), len(b), ngram_join.parity(a), ngram_join.parity(b), 85)
