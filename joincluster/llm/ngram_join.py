@@ -35,7 +35,7 @@ SHINGLE, PERCENT = 4, 85
 #: The list only shapes the orders: any list gives the same links.
 FREQUENT_FROM, FREQUENT_TASK, FREQUENT_MOST = 3, 1 << 14, 1 << 17
 #: Buckets of at most FEW sets are searched pair by pair, so pairs grow with the buckets' rows; larger ones by blocks of about BLOCK sets.
-FEW, BLOCK = 64, 200
+FEW, BLOCK = 32, 200
 
 
 def shingle_sets(texts: pa.Array, size: int) -> Iterator[np.ndarray]:
@@ -288,7 +288,7 @@ def _verified(pairs: DataFrame, bodies: DataFrame, percent: int) -> DataFrame:
 
 
 def _ends(pairs: DataFrame) -> DataFrame:
-    return pairs.select(F.explode(F.array("a", "b")).alias("set"))
+    return pairs.select(F.col("a").alias("set")).unionByName(pairs.select(F.col("b").alias("set")))
 
 
 def _compare(percent: int):
