@@ -1,11 +1,15 @@
 """Packing token pieces into sequences by a configuration linear program over the length histogram.
 
 A configuration is a multiset of lengths that fits one sequence. The program (fewest sequences that
-hold every piece) is solved by multiplicative weights: a knapsack dynamic program prices the best
-configuration under the present weights, part of the remaining demand is given to it, and the
-weights of the lengths it served fall. The fractional solution is rounded down and what is left is
-packed by best fit. All of this works on at most capacity counts, whatever the number of pieces;
-the plan is then dealt out to the pieces by their rank within their length.
+hold every piece) is solved by multiplicative weights: each length has a price, its share of a
+sequence times a weight that falls as its demand is served and is greatest for what lags behind; a
+knapsack dynamic program, bounded by what is left of each length, prices the best configuration, and
+as much of it is taken as its scarcest length allows. The amounts are rounded down, and what rounding
+leaves is solved and rounded again while that yields sequences; best fit packs only the rest. Any
+prices, divided by the greatest value of a configuration under them, bound the program from below.
+
+All of this works on at most capacity counts, whatever the number of pieces; the plan is then dealt
+out to the pieces by their rank within their length.
 """
 
 from __future__ import annotations
@@ -23,10 +27,13 @@ from pyspark.sql import Window as W
 from . import common as c
 
 CAPACITY = 2048
-#: Rounds of the weights, the share of the served demand that a round takes, and the step of the weights.
-ROUNDS, SHARE, STEP = 500, 0.5, 0.3
-#: Words whose ids a task remembers before it starts anew.
-WORDS_MOST = 600_000
+#: The step of the weights, how much more a price is worth by its length's share of a sequence, the lengths that a round
+#: prices (half those that lag most, half drawn from all), and the share of the demand that a program serves.
+STEP, LONGER, PRICED, SERVED = 0.003, 0.01, 128, 0.9
+#: Programs, each on the residue of the one before; rounds of one.
+LEVELS, ROUNDS = 6, 6000
+#: Words whose ids a worker remembers before it starts anew; rows that are cut into pieces at once.
+WORDS_MOST, ROWS = 200_000, 500
 #: Texts of these characters alone (Latin letters, no superscripts and fractions) normalise as str.lower does.
 PLAIN = r"[\t\n\r\x20-\x7e\xa1-\xb1\xb4-\xb8\xba\xbb\xbf-\u012f\u0131-\u024f]*"
 #: The vocabulary's splitting pattern (fixed value), as it reads for such texts.
@@ -84,8 +91,8 @@ def pieces(documents: DataFrame, path: str | None = None, capacity: int = CAPACI
         place = path or tokenizer_path()
         ids, part, width = c.per_process(f"words of {place}", lambda: WordIds(place)), TaskContext.get().partitionId(), 4 * capacity
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                b = batch.slice(at, 2000)
+            for at in range(0, batch.num_rows, ROWS):
+                b = batch.slice(at, ROWS)
                 out = []
                 for d, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
                     body = ids(t or "") + b"\0\0\0\0"
@@ -99,53 +106,60 @@ def pieces(documents: DataFrame, path: str | None = None, capacity: int = CAPACI
 # ---- the program over the histogram ---------------------------------------------------------
 
 
-def price(values: np.ndarray, limit: np.ndarray, capacity: int) -> dict[int, int]:
-    """The most valuable configuration: values[l] for each piece of length l (0: none is left), at most limit[l] of them."""
-    lengths = np.flatnonzero(values > 0)
-    best, last = np.zeros(capacity + 1), np.zeros(capacity + 1, dtype=np.int64)
-    worth = values[lengths]
-    for w in range(int(lengths[0]) if len(lengths) else capacity + 1, capacity + 1):
-        n = int(np.searchsorted(lengths, w, "right"))
-        at = best[w - lengths[:n]] + worth[:n]
-        i = int(at.argmax())
-        if at[i] > best[w - 1]:
-            best[w], last[w] = at[i], lengths[i]
-        else:
-            best[w] = best[w - 1]
-    out: dict[int, int] = {}
-    w = capacity
-    while w > 0:
-        x = int(last[w])
-        if not x:
-            w -= 1
-            continue
-        if out.get(x, 0) < limit[x]:
-            out[x] = out.get(x, 0) + 1
-        w -= x
-    return out
-
-
-def solve(hist: np.ndarray, capacity: int, rounds: int = ROUNDS) -> list[tuple[dict[int, int], float]]:
-    """Fractional amounts of configurations that together serve no more than hist."""
-    need = hist.astype(float)
-    left, weight = need.copy(), np.ones(capacity + 1)
-    size = np.arange(capacity + 1) / capacity
-    amounts: dict[tuple, float] = {}
+def price(values: np.ndarray, limit: np.ndarray, lengths: np.ndarray, capacity: int) -> tuple[dict[int, int], float]:
+    """The most valuable configuration of lengths and its value: values[l] for each piece of length l, at most limit[l] of them."""
+    best, spare, taken = np.zeros(capacity + 1), np.empty(capacity + 1), []
+    for x in lengths.tolist():
+        left, many = int(min(limit[x], capacity // x)), 1
+        while left > 0:  # copies in powers of two
+            n = min(many, left)
+            w = n * x
+            with_ = np.add(best[: capacity + 1 - w], n * values[x], out=spare[: capacity + 1 - w])
+            better = with_ > best[w:]
+            np.copyto(best[w:], with_, where=better)
+            taken.append((x, n, w, better))
+            left, many = left - n, 2 * many
+    at = int(best.argmax())
+    value, out = float(best[at]), {}
+    for x, n, w, better in reversed(taken):
+        if at >= w and better[at - w]:
+            out[x] = out.get(x, 0) + n
+            at -= w
+    return out, value
+
+
+def solve(hist: np.ndarray, capacity: int, served: float = SERVED, rounds: int = ROUNDS) -> tuple[list[tuple[dict[int, int], float]], np.ndarray]:
+    """Amounts of configurations that together serve a share of hist and no more than it; and the last prices."""
+    rng = np.random.default_rng(1)
+    lengths, need = np.flatnonzero(hist), hist.astype(float)
+    share = np.arange(capacity + 1) / capacity
+    got, total, amounts = np.zeros(capacity + 1), float((need * share).sum()), {}
+    values = share * (1 + LONGER * share)
     for _ in range(rounds):
-        open_ = left >= 1
-        if left[open_].sum() <= 0.01 * need.sum() or not open_.any():
+        left = need - got
+        now = lengths[left[lengths] >= 1 - 1e-9]
+        done = float((got * share).sum()) / total if total else 1.0
+        if done > served or not len(now):
             break
-        conf = price(np.where(open_, size * (1 + 0.05 * weight), 0), left, capacity)
-        take = min(left[x] / a for x, a in conf.items())
-        take = take if take < 2 else SHARE * take
-        if take < 1 and len(conf) == 1:
-            take = min(left[x] / a for x, a in conf.items())
+        values = share * (1 + LONGER * share) * np.exp(-STEP * (got / np.maximum(need, 1) - done))
+        if len(now) > PRICED:
+            order = now[np.lexsort((rng.random(len(now)), got[now] / need[now]))]
+            now = np.sort(np.concatenate([order[: PRICED // 2], rng.choice(order[PRICED // 2 :], PRICED - PRICED // 2, replace=False)]))
+        conf, _ = price(values, left + 1e-9, now, capacity)
+        amount = min(left[x] / a for x, a in conf.items())
         key = tuple(sorted(conf.items()))
-        amounts[key] = amounts.get(key, 0) + take
+        amounts[key] = amounts.get(key, 0.0) + amount
         for x, a in conf.items():
-            left[x] -= a * take
-            weight[x] *= np.exp(-STEP * a * take / need[x])
-    return [(dict(k), v) for k, v in amounts.items()]
+            got[x] += a * amount
+    return [(dict(k), v) for k, v in amounts.items()], values
+
+
+def lower_bound(hist: np.ndarray, capacity: int, values: np.ndarray | None = None) -> float:
+    """The best of three dual bounds on the program: of prices by length, of pieces over half a sequence, and of values."""
+    x = np.arange(capacity + 1)
+    tried = [x / capacity, (x * 2 > capacity) + 0.5 * (x * 2 == capacity), *([] if values is None else [values])]
+    lengths = np.flatnonzero(hist)
+    return max(float((hist * y).sum()) / max(price(y, np.full(capacity + 1, capacity), lengths, capacity)[1], 1e-300) for y in tried) if len(lengths) else 0.0
 
 
 def best_fit(hist: np.ndarray, capacity: int) -> list[tuple[dict[int, int], int]]:
@@ -182,23 +196,23 @@ def best_fit(hist: np.ndarray, capacity: int) -> list[tuple[dict[int, int], int]
     return [(content, many) for group in room.values() for content, many in group]
 
 
-def plan(hist: np.ndarray, capacity: int = CAPACITY) -> list[tuple[dict[int, int], int]]:
-    """Configurations and how many sequences have each; together they hold hist exactly."""
-    rounded, left = [], hist.astype(np.int64).copy()
-    full = int(left[capacity])
+def plan(hist: np.ndarray, capacity: int = CAPACITY) -> tuple[list[tuple[dict[int, int], int]], list[tuple[dict[int, int], int]]]:
+    """Configurations and how many sequences have each, of the rounded programs and of best fit on what they leave; together they hold hist exactly."""
+    left = hist.astype(np.int64).copy()
+    rounded: dict[tuple, int] = {((capacity, 1),): int(left[capacity])} if left[capacity] else {}
     left[capacity] = 0
-    for conf, amount in sorted(solve(left, capacity), key=lambda x: -x[1]):
-        n = min([int(amount + 1e-9), *(int(left[x]) // a for x, a in conf.items())])
-        if n > 0:
-            rounded.append((conf, n))
-            for x, a in conf.items():
-                left[x] -= a * n
-    rest = best_fit(left, capacity)
-    plain = hist.astype(np.int64).copy()
-    plain[capacity] = 0
-    other = best_fit(plain, capacity)
-    chosen = min(rounded + rest, other, key=lambda p: sum(n for _, n in p))
-    return ([({capacity: 1}, full)] if full else []) + chosen
+    for _ in range(LEVELS):
+        before = len(rounded), sum(rounded.values())
+        for conf, amount in sorted(solve(left, capacity)[0], key=lambda x: -x[1]):
+            n = min([int(amount + 1e-9), *(int(left[x]) // a for x, a in conf.items())])
+            if n > 0:
+                key = tuple(sorted(conf.items()))
+                rounded[key] = rounded.get(key, 0) + n
+                for x, a in conf.items():
+                    left[x] -= a * n
+        if (len(rounded), sum(rounded.values())) == before:
+            break
+    return [(dict(k), n) for k, n in rounded.items()], best_fit(left, capacity)
 
 
 def _slots(configs: list[tuple[dict[int, int], int]]) -> dict[int, tuple[np.ndarray, ...]]:
@@ -227,7 +241,8 @@ def pack(documents: DataFrame, path: str | None = None, capacity: int = CAPACITY
     hist = np.zeros(capacity + 1, dtype=np.int64)
     for r in cut.groupBy("length").agg(F.count("*").alias("n")).collect():  # at most capacity rows
         hist[r["length"]] = r["n"]
-    slots = _slots(plan(hist, capacity))
+    rounded, rest = plan(hist, capacity)
+    slots = _slots(rounded + rest)
     before = counts.select("part", "length", (F.sum("n").over(W.partitionBy("length").orderBy("part")) - F.col("n")).alias("before"))
     own = F.row_number().over(W.partitionBy("part", "length").orderBy("doc_id", "piece", "ids_crc32")) - 1
     ranked = cut.withColumn("own", own).join(before, ["part", "length"]).withColumn("rank", F.col("own") + F.col("before")).drop("own", "before", "part")

@@ -208,27 +208,76 @@ def test_packing_is_a_round_trip(spark, docs_of):
     assert len(seqs) <= 1.1 * -(-total // cap) + 1
 
 
+def histogram(pieces, cap):
+    return np.bincount(pieces, minlength=cap + 1).astype(np.int64)
+
+
+def held_exactly(plan, hist, cap):
+    back = np.zeros(cap + 1, dtype=np.int64)
+    for conf, n in plan:
+        assert sum(x * a for x, a in conf.items()) <= cap and n > 0
+        for x, a in conf.items():
+            back[x] += a * n
+    return (back == hist).all()
+
+
 @pytest.mark.parametrize("seed", range(6))
 def test_plan_holds_the_histogram(seed):
     rng, cap = np.random.default_rng(seed), 50
-    hist = np.zeros(cap + 1, dtype=np.int64)
-    for x in rng.integers(1, cap + 1, rng.integers(1, 400)):
-        hist[x] += 1
-    for plan in (packing.plan(hist, cap), packing.best_fit(hist, cap)):
-        back = np.zeros(cap + 1, dtype=np.int64)
-        for conf, n in plan:
-            assert sum(x * a for x, a in conf.items()) <= cap and n > 0
-            for x, a in conf.items():
-                back[x] += a * n
-        assert (back == hist).all()
-    assert sum(n for _, n in packing.plan(hist, cap)) <= sum(n for _, n in packing.best_fit(hist, cap))
+    hist = histogram(rng.integers(1, cap + 1, rng.integers(1, 400)), cap)
+    rounded, rest = packing.plan(hist, cap)
+    assert held_exactly(rounded + rest, hist, cap) and held_exactly(packing.best_fit(hist, cap), hist, cap)
+    many = sum(n for _, n in rounded + rest)
+    assert packing.lower_bound(hist, cap) <= many + 1e-9 <= 1.03 * packing.lower_bound(hist, cap, packing.solve(hist, cap)[1]) + 2
+
+
+def test_the_program_packs_nearly_all():
+    """Many lengths as in texts: the rounded programs hold nearly all pieces, no more sequences are used than by best fit, and the bound is met."""
+    rng, cap = np.random.default_rng(5), 512
+    hist = histogram(np.minimum(rng.lognormal(4.8, 0.9, 20000).astype(int) + 1, cap), cap)
+    rounded, rest = packing.plan(hist, cap)
+    many = sum(n for _, n in rounded + rest)
+    assert sum(n for _, n in rest) <= 0.02 * many
+    assert many <= sum(n for _, n in packing.best_fit(hist, cap)) + 1 and many <= packing.lower_bound(hist, cap) + 3
+
+
+def optimum(pieces, cap):
+    """Fewest bins, by trying all ways to fill a bin with the longest piece."""
+    from functools import cache
+    from itertools import combinations
+
+    @cache
+    def least(left):
+        if not left:
+            return 0
+        first, others = left[-1], left[:-1]
+        best = len(left)
+        for k in range(len(others) + 1):
+            for more in set(combinations(range(len(others)), k)):
+                if first + sum(others[i] for i in more) <= cap:
+                    best = min(best, 1 + least(tuple(x for i, x in enumerate(others) if i not in more)))
+        return best
+
+    return least(tuple(sorted(pieces)))
+
+
+@pytest.mark.parametrize("seed", range(8))
+def test_bounds_of_small_histograms(seed):
+    rng, cap = np.random.default_rng(seed), 10
+    pieces = rng.integers(1, cap, 7)
+    hist = histogram(pieces, cap)
+    best = optimum(pieces.tolist(), cap)
+    rounded, rest = packing.plan(hist, cap)
+    assert packing.lower_bound(hist, cap) <= best + 1e-9 and best <= sum(n for _, n in rounded + rest) <= best + 1
 
 
 def test_price_is_the_best_knapsack():
     values = np.zeros(11)
     values[[3, 4, 7]] = [3.0, 4.5, 7.6]
-    conf = packing.price(values, np.full(11, 9), 10)
-    assert sum(values[x] * a for x, a in conf.items()) == pytest.approx(10.6)
+    conf, value = packing.price(values, np.full(11, 9), np.array([3, 4, 7]), 10)
+    assert sum(values[x] * a for x, a in conf.items()) == pytest.approx(10.6) == value
+    conf, value = packing.price(values, np.array([9, 9, 9, 0, 2, 9, 9, 1, 9, 9, 9]), np.array([3, 4, 7]), 10)
+    assert value == pytest.approx(9.0) and conf == {4: 2}
 
 
 def test_keep_first_of_repeated_ids(spark, docs_of):
