@@ -10,6 +10,8 @@ becomes a span of kind term and is generalised too.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -32,16 +34,37 @@ SUPPORT, CERTAINTY, BITS = 2, 0.5, 6.0
 WORD = r"[\p{L}\p{N}]+"
 
 
+#: Matches that are walked together, so that a text of many matches costs little more than its length.
+WALK = 256
+_SPAN = "array<struct<start:int,end:int,value:string>>"
+
+
+def let(value: Column, then: Callable[[Column], Column]) -> Column:
+    """then(value), with value computed once however often then uses it, also inside lambdas."""
+    return F.element_at(F.transform(F.array(value), then), 1)
+
+
+def _walks(items: Column) -> Column:
+    """items cut into arrays of at most WALK."""
+    return let(items, lambda x: F.when(F.size(x) > 0, F.transform(F.sequence(F.lit(0), F.floor((F.size(x) - 1) / WALK).cast("int")), lambda i: F.slice(x, i * WALK + 1, F.lit(WALK)))))
+
+
+def _placed(steps: Column) -> Column:
+    """array<struct<start, end, value>> of steps (gap, value) that have a value: each stands gap code points after the one before."""
+    none = F.array().cast(_SPAN)
+    one = lambda a, x: let(F.struct((a["at"] + x["gap"]).alias("start"), F.coalesce(F.length(x["value"]), F.lit(0)).alias("n")), lambda p: F.struct(
+        (p["start"] + p["n"]).alias("at"),
+        F.when(x["value"].isNull(), a["out"]).otherwise(F.concat(a["out"], F.array(F.struct(p["start"].alias("start"), (p["start"] + p["n"]).alias("end"), x["value"].alias("value"))))).alias("out"),
+    ))
+    walk = lambda a, part: let(F.aggregate(part, F.struct(a["at"].alias("at"), none.alias("out")), one), lambda w: F.struct(w["at"].alias("at"), F.concat(a["out"], F.array(w["out"])).alias("out")))
+    return let(_walks(steps), lambda parts: F.when(parts.isNull(), none).otherwise(F.flatten(F.aggregate(parts, F.struct(F.lit(0).alias("at"), F.array().cast(f"array<{_SPAN}>").alias("out")), walk)["out"])))
+
+
 def _found(text: Column, pattern: str) -> Column:
     """array<struct<start, end, value>> of all matches, in code points: pieces between matches give the places."""
     values, pieces = F.regexp_extract_all(text, F.lit(pattern), 0), F.split(text, pattern, -1)
-    none = F.array().cast("array<struct<start:int,end:int,value:string>>")
-    step = lambda a, i: F.struct(
-        (a["at"] + F.length(pieces[i]) + F.length(values[i])).alias("at"),
-        F.concat(a["out"], F.array(F.struct((a["at"] + F.length(pieces[i])).alias("start"), (a["at"] + F.length(pieces[i]) + F.length(values[i])).alias("end"), values[i].alias("value")))).alias("out"),
-    )
-    many = F.aggregate(F.sequence(F.lit(0), F.size(values) - 1), F.struct(F.lit(0).alias("at"), none.alias("out")), step)["out"]
-    return F.when(F.size(values) > 0, many).otherwise(none)
+    step = F.zip_with(values, pieces, lambda v, p: F.struct(F.length(p).alias("gap"), v.alias("value")))
+    return _placed(F.filter(step, lambda x: x["value"].isNotNull()))
 
 
 def _luhn(digits: Column) -> Column:
@@ -80,15 +103,22 @@ def _struct_of(k: int):
 
 
 def _replaced(text: Column, spans: Column, mark) -> Column:
-    """text with mark(span) in the place of each span; overlapping spans become one, marked by the first."""
-    built = F.aggregate(
-        spans, F.struct(F.lit(0).alias("at"), F.lit("").alias("out")),
-        lambda a, s: F.when(s["start"] < a["at"], F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out"))).otherwise(
-            F.struct(s["end"].alias("at"), F.concat(a["out"], F.substring(text, a["at"] + 1, s["start"] - a["at"]), mark(s)).alias("out"))
-        ),
-        lambda a: F.concat(a["out"], F.substring(text, a["at"] + 1, F.length(text))),
-    )
-    return built
+    """text with mark(span) in the place of each span (sorted by start); overlapping spans become one, marked by the first."""
+
+    def one(part: Column, base: Column):
+        return lambda a, s: F.when(s["start"] < a["at"], F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out"))).otherwise(
+            F.struct(s["end"].alias("at"), F.concat(a["out"], F.substring(part, a["at"] - base + 1, s["start"] - a["at"]), mark(s)).alias("out"))
+        )
+
+    def walk(a: Column, spans: Column) -> Column:
+        # Only the stretch of text that these spans reach is looked at.
+        part = F.substring(text, a["at"] + 1, F.greatest(F.array_max(spans["end"]), a["at"]) - a["at"])
+        done = let(part, lambda p: F.aggregate(spans, F.struct(a["at"].alias("at"), F.lit("").alias("out")), one(p, a["at"])))
+        return let(done, lambda w: F.struct(w["at"].alias("at"), F.concat(a["out"], F.array(w["out"])).alias("out")))
+
+    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out"))
+    built = lambda parts: F.aggregate(parts, start, walk, lambda a: F.concat(F.array_join(a["out"], ""), F.substring(text, a["at"] + 1, F.length(text))))
+    return let(_walks(spans), lambda parts: F.when(parts.isNull(), text).otherwise(built(parts)))
 
 
 def _words(text: Column) -> Column:
@@ -140,6 +170,18 @@ def _holding(docs: DataFrame, words: DataFrame, n_words: int) -> DataFrame:
     return docs.select("row", F.explode(seen).alias("word")).join(words, "word", "left_semi").distinct()
 
 
+def _terms(steps: Column, words: Column) -> Column:
+    """array<struct<start, end, value>> of those words of steps (gap, word) that are in words, in lower case."""
+    kept = lambda w: F.when(F.array_contains(words, F.lower(w)), F.lower(w))
+    # A run of other words is one step: its code points go to the gap of the next term.
+    one = lambda a, x: let(kept(x["word"]), lambda w: F.when(w.isNull(), F.struct((a["gap"] + x["gap"] + F.coalesce(F.length(x["word"]), F.lit(0))).alias("gap"), a["out"].alias("out"))).otherwise(
+        F.struct(F.lit(0).alias("gap"), F.concat(a["out"], F.array(F.struct((a["gap"] + x["gap"]).alias("gap"), w.alias("value")))).alias("out"))
+    ))
+    walk = lambda a, part: let(F.aggregate(part, F.struct(a["gap"].alias("gap"), F.array().cast("array<struct<gap:int,value:string>>").alias("out")), one), lambda w: F.struct(w["gap"].alias("gap"), F.concat(a["out"], F.array(w["out"])).alias("out")))
+    start = F.struct(F.lit(0).alias("gap"), F.array().cast("array<array<struct<gap:int,value:string>>>").alias("out"))
+    return let(_walks(steps), lambda parts: F.when(parts.isNull(), F.array().cast(_SPAN)).otherwise(_placed(F.flatten(F.aggregate(parts, start, walk)["out"]))))
+
+
 def _named(spans: Column) -> Column:
     kinds = F.array(*[F.lit(k) for k in (*KINDS, "term")])
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.element_at(kinds, s["kind"] + 1), s["start"].cast("string"), s["end"].cast("string"))), ",")
@@ -156,17 +198,9 @@ def _all_spans(documents: DataFrame, keep: list[str]) -> DataFrame:
     if not n_words:
         return docs.withColumn("spans", F.col("base"))
     held = c.written(_holding(texts, words, n_words).groupBy("row").agg(F.collect_set("word").alias("_words")))
-    # Words and what is before each of them, walked once; only terms are kept.
-    pieces = F.zip_with(F.split("text", WORD, -1), F.regexp_extract_all("text", F.lit(WORD), 0), lambda p, w: F.struct(F.length(p).alias("gap"), w.alias("word")))
-    step = lambda a, p: F.struct(
-        (a["at"] + p["gap"] + F.coalesce(F.length(p["word"]), F.lit(0))).alias("at"),
-        F.when(
-            F.coalesce(F.array_contains("_words", F.lower(p["word"])), F.lit(False)),
-            F.concat(a["out"], F.array(F.struct((a["at"] + p["gap"]).alias("start"), F.lit(len(KINDS)).alias("kind"), (a["at"] + p["gap"] + F.length(p["word"])).alias("end"), F.lower(p["word"]).alias("value")))),
-        ).otherwise(a["out"]).alias("out"),
-    )
-    terms = F.when(F.col("_words").isNotNull(), F.aggregate(pieces, F.struct(F.lit(0).alias("at"), none.alias("out")), step, lambda a: a["out"])).otherwise(none)
-    docs = docs.join(held, "row", "left").withColumn("_terms", terms)
+    # Words and what is before each of them, walked once; a step without a value is a word that is no term.
+    steps = F.zip_with(F.split("text", WORD, -1), F.regexp_extract_all("text", F.lit(WORD), 0), lambda p, w: F.struct(F.length(p).alias("gap"), w.alias("word")))
+    docs = docs.join(held, "row", "left").withColumn("_terms", F.when(F.col("_words").isNotNull(), F.transform(_terms(steps, F.col("_words")), _struct_of(len(KINDS)))).otherwise(none))
     # A word inside a base span is covered already.
     outside = F.filter("_terms", lambda t: ~F.exists("base", lambda b: (t["start"] < b["end"]) & (b["start"] < t["end"])))
     return docs.withColumn("spans", F.array_sort(F.concat("base", outside))).drop("_terms", "_words")

@@ -336,3 +336,18 @@ def test_terms_anywhere(spark, docs_of):
         assert [s for s in got[i]["spans"].split(",") if s.startswith("term")] == places and got[i]["n_term"] == len(places)
     by = {r["doc_id"]: r["text"] for r in pii.sanitise(docs_of(rows)).collect()}
     assert by[10] == "Of <TERM> no more is said" and by[100] == dict(rows)[100] and by[1].endswith("came <TERM>, <TERM>, with words 1")
+
+
+def test_spans_of_a_long_text(spark, docs_of):
+    """Twenty thousand spans in one text: linear, and the same as one search a kind gives."""
+    import time
+
+    one = "mail me.{0}@mail{0}.example.com or +1 (555) 010-{0:05d}, ip 10.0.{1}.{2} é; "
+    text = "".join(one.format(i, i % 256, i % 200) for i in range(6700))
+    since = time.time()
+    got = pii.find(docs_of([(1, text), (2, "short 1.2.3.4")])).where("doc_id = 1").first()
+    want = base_spans(text)
+    assert got["base_sha256"] == hashlib.sha256(",".join(f"{n}:{s}:{e}" for s, _, e, n in want).encode()).hexdigest() and len(want) > 20000
+    clean = pii.sanitise(docs_of([(1, text)])).first()["text"]
+    assert "@" not in clean and clean.count("<EMAIL>") == 6700 and clean.count("<PHONE>") == sum(n == "phone" for *_, n in want)
+    assert time.time() - since < 120
