@@ -38,11 +38,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or an own one where it is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Only a local master, as in tests, gets an own one where it is unset."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        found = tempfile.mkdtemp(prefix="joincluster-")
-        spark.sparkContext.setCheckpointDir(found)
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir is unset: executors need a folder that all of them can read")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="joincluster-"))
         found = spark.sparkContext.getCheckpointDir()
     return found
 
@@ -192,8 +193,8 @@ def mixed(x: np.ndarray, seed: int) -> np.ndarray:
 FILTER_BITS_MOST = 1 << 24
 
 
-def filter_bits(n: int, per_key: int = 16) -> int:
-    bits = 1 << 10
+def filter_bits(n: int, per_key: int = 16, least: int = 1 << 10) -> int:
+    bits = least
     while bits < n * per_key:
         bits *= 2
     return bits

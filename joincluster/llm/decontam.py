@@ -54,7 +54,12 @@ def _short(h: str, n: int) -> Column:
 
 
 def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for every row of documents.
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for every row of documents; see scanned."""
+    return scanned(documents, benchmark).drop("row")
+
+
+def scanned(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """doc_id, row (a hash of the text), n_words, n_hit, n_items, items_sha256, contaminated for every row of documents.
 
     A word is hit inside any occurrence of a window (ten consecutive words) of an item; an item of
     one to nine words is one window. Null, empty or wordless texts have no words and no hit;
@@ -69,8 +74,9 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     spans = c.written(spans.distinct())
     marks = c.written(items.select(F.explode("kept").alias("gram")).distinct())
 
+    # A null id is a key like any other: what a text hits does not hang on its id.
     docs = documents.select("doc_id", "text").select(
-        "doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("row"), F.transform(words_of(F.col("text")), lambda w: F.xxhash64(w)).alias("h")
+        "doc_id", F.coalesce("doc_id", F.lit(0)).alias("id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("row"), F.transform(words_of(F.col("text")), lambda w: F.xxhash64(w)).alias("h")
     )
     docs = _kept(_grams(docs))
     n_marks = marks.count()
@@ -89,23 +95,23 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
         else:
             near = F.lit(True)
     read = c.written(docs.withColumn("near", near).select(
-        "doc_id", "row", F.size("h").alias("n_words"), *[F.when(F.col("near"), F.col(x)).alias(x) for x in ("h", "kept")]
+        "doc_id", "id", "row", F.size("h").alias("n_words"), *[F.when(F.col("near"), F.col(x)).alias(x) for x in ("h", "kept")]
     ))
 
     maybe = read.where("h is not null")
-    seeds = maybe.select("doc_id", "row", F.explode(F.array_distinct("kept")).alias("gram")).join(marks, "gram", "left_semi").select("doc_id", "row").distinct()
+    seeds = maybe.select("id", "row", F.explode(F.array_distinct("kept")).alias("gram")).join(marks, "gram", "left_semi").select("id", "row").distinct()
     if lengths:
-        found = [maybe.where(F.size("h") >= n).select("doc_id", "row", F.explode(F.array_distinct(_short("h", n))).alias("gram")).join(spans.where(F.col("len") == n), "gram", "left_semi").select("doc_id", "row") for n in lengths]
+        found = [maybe.where(F.size("h") >= n).select("id", "row", F.explode(F.array_distinct(_short("h", n))).alias("gram")).join(spans.where(F.col("len") == n), "gram", "left_semi").select("id", "row") for n in lengths]
         for f in found:
             seeds = seeds.unionByName(f)
         seeds = seeds.distinct()
-    grown = maybe.select("doc_id", "row", "h").join(seeds, ["doc_id", "row"], "left_semi").dropDuplicates(["doc_id", "row"])
+    grown = maybe.select("id", "row", "h").join(seeds, ["id", "row"], "left_semi").dropDuplicates(["id", "row"])
     # Written first: a filter inferred from the explode below would be pushed through, and repeat, every level of the hashes.
     grown = c.written(_windows(_grams(grown)))
-    at = grown.select("doc_id", "row", F.posexplode("g10").alias("pos", "gram"))
+    at = grown.select("id", "row", F.posexplode("g10").alias("pos", "gram"))
     for n in lengths:
-        at = at.unionByName(grown.where(F.size("h") >= n).select("doc_id", "row", F.posexplode(_short("h", n)).alias("pos", "gram")))
-    hits = at.join(spans, "gram").groupBy("doc_id", "row").agg(
+        at = at.unionByName(grown.where(F.size("h") >= n).select("id", "row", F.posexplode(_short("h", n)).alias("pos", "gram")))
+    hits = at.join(spans, "gram").groupBy("id", "row").agg(
         F.array_sort(F.collect_set(F.struct("pos", "len"))).alias("at"), F.array_sort(F.collect_set(F.col("item_id").cast("string"))).alias("items")
     )
     cover = F.aggregate(
@@ -115,10 +121,10 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
             (a["n"] + F.greatest(F.lit(0), x["pos"] + x["len"] - F.greatest(a["end"], x["pos"])).cast("long")).alias("n"),
         ),
     )["n"]
-    hits = hits.select("doc_id", "row", cover.alias("n_hit"), "items")
+    hits = hits.select("id", "row", cover.alias("n_hit"), "items")
     none = F.array().cast("array<string>")
-    return read.select("doc_id", "row", "n_words").join(hits, ["doc_id", "row"], "left").select(
-        "doc_id", F.col("n_words").cast("long").alias("n_words"), F.coalesce("n_hit", F.lit(0).cast("long")).alias("n_hit"),
+    return read.select("doc_id", "id", "row", "n_words").join(hits, ["id", "row"], "left").select(
+        "doc_id", "row", F.col("n_words").cast("long").alias("n_words"), F.coalesce("n_hit", F.lit(0).cast("long")).alias("n_hit"),
         F.size(F.coalesce("items", none)).cast("long").alias("n_items"),
         F.sha2(F.array_join(F.coalesce("items", none), ",").cast("binary"), 256).alias("items_sha256"),
         (F.coalesce("n_hit", F.lit(0).cast("long")) > 0).alias("contaminated"),
@@ -126,9 +132,14 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 
 def keep_clean(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The rows of documents, all columns, whose doc_id has no hit."""
-    bad = c.written(decontaminate(documents, benchmark).where("contaminated").select("doc_id").distinct())
-    return documents.join(c.listed(bad), "doc_id", "left_anti").select(documents.columns)
+    """The rows of documents, all columns, whose text has no hit.
+
+    Rows are told apart by their texts, so rows of one id or of a null id go or stay each for itself.
+    Null and empty texts stay. An empty table gives an empty result.
+    """
+    bad = c.written(scanned(documents, benchmark).where("contaminated").select(F.col("row").alias("__row")).distinct())
+    rows = documents.withColumn("__row", F.xxhash64(F.coalesce("text", F.lit(""))))
+    return c.without(rows, bad, "__row").select([F.col(f"`{x}`") for x in documents.columns])
 
 
 ORACLE_SQL = r"""

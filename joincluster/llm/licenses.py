@@ -142,9 +142,13 @@ def scan(documents: DataFrame) -> DataFrame:
     share of a template's one- and two-grams that it covers. A null or empty text has no paragraphs.
     Rows that repeat stay repeated. An empty table gives an empty result.
     """
-    docs = documents.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    docs = documents.select("doc_id", F.coalesce("doc_id", F.lit(0)).alias("id"), F.coalesce("text", F.lit("")).alias("text"))  # a null id is a key like any other
     lines = F.filter(F.split("text", r"\n+"), lambda x: F.regexp_like(x, F.lit("[A-Za-z0-9]")))
     some = docs.select("doc_id", lines.alias("lines")).where(F.size("lines") > 0).select(F.xxhash64("doc_id").alias("h"), F.element_at("lines", F.pmod(F.xxhash64("doc_id"), F.size("lines")).cast("int") + 1).alias("line"))
+    # A sort keeps SAMPLE lines a task; a bound on the hash, four times what SAMPLE rows need, leaves few to be kept. Ids are spread evenly by it.
+    many = docs.count()
+    if many > 8 * SAMPLE:
+        some = some.where(F.col("h") <= F.lit(int(-(1 << 63) + (1 << 64) * (4 * SAMPLE / many))))
     named = {"license", "licensed", "copyright", "gnu", "apache", "mozilla", "commons"}
     background = [r["line"] for r in some.where(F.length("line") <= SAMPLE_CHARS).orderBy("h", "line").limit(SAMPLE).collect() if not named & set(tokens(r["line"]))]
     model = Model(background)
@@ -152,9 +156,9 @@ def scan(documents: DataFrame) -> DataFrame:
     base = docs.withColumn("row", F.xxhash64("text"))
     # Of each template any paragraph that covers it holds one of these words, so no licensed one is passed over.
     cue = rf"(?i)(?<![a-z0-9])(?:{'|'.join(cues(background))})(?![a-z0-9])"
-    maybe = base.where(F.regexp_like("text", F.lit(cue))).dropDuplicates(["doc_id", "row"]).select("doc_id", "row", F.posexplode(lines).alias("paragraph", "line")).where(F.regexp_like("line", F.lit(cue)))
+    maybe = base.where(F.regexp_like("text", F.lit(cue))).dropDuplicates(["id", "row"]).select("id", "row", F.posexplode(lines).alias("paragraph", "line")).where(F.regexp_like("line", F.lit(cue)))
     words = F.filter(F.split(c.fold(F.col("line")), BREAK), lambda w: w != "")
-    hit = c.written(maybe.withColumn("words", words).withColumn("g", _numbered(F.col("words"), model.vocabulary)).where(F.size("g") > 0).select("doc_id", "row", "paragraph", "g"))
+    hit = c.written(maybe.withColumn("words", words).withColumn("g", _numbered(F.col("words"), model.vocabulary)).where(F.size("g") > 0).select("id", "row", "paragraph", "g"))
     flat = F.array(*[F.lit(float(v)) for v in np.round(model.w, 6).ravel()])
     n = len(model.families) + 1
     logit = lambda k: F.aggregate("g", F.lit(float(model.b[k])), lambda a, i: a + F.element_at(flat, (i - 1) * n + k + 1))
@@ -165,9 +169,9 @@ def scan(documents: DataFrame) -> DataFrame:
     covered = F.array_max(F.transform(F.element_at(templates, F.col("k")), lambda t: F.size(F.array_intersect(t, F.col("g"))) / F.size(t)))
     hit = hit.where((F.col("k") < n) & (F.col("probability") >= LIMIT)).withColumn("cover", covered).where(F.col("cover") >= COVER)
     family = F.element_at(F.array(*[F.lit(x) for x in model.families]), F.col("k"))
-    rows = hit.groupBy("doc_id", "row").agg(F.array_sort(F.collect_list(F.struct("paragraph", family.alias("family"), F.round("probability", 6).alias("probability"), F.round("cover", 6).alias("cover")))).alias("paragraphs"))
+    rows = hit.groupBy("id", "row").agg(F.array_sort(F.collect_list(F.struct("paragraph", family.alias("family"), F.round("probability", 6).alias("probability"), F.round("cover", 6).alias("cover")))).alias("paragraphs"))
     kind = "array<struct<paragraph:int,family:string,probability:double,cover:double>>"
-    return base.select("doc_id", "row", F.size(lines).cast("long").alias("n_paragraphs")).join(rows, ["doc_id", "row"], "left").select(
+    return base.select("doc_id", "id", "row", F.size(lines).cast("long").alias("n_paragraphs")).join(rows, ["id", "row"], "left").select(
         "doc_id", "n_paragraphs", F.size(F.coalesce("paragraphs", F.array().cast(kind))).cast("long").alias("n_licensed"),
         F.array_join(F.array_sort(F.array_distinct(F.coalesce(F.col("paragraphs.family"), F.array().cast("array<string>")))), ",").alias("families"), F.coalesce("paragraphs", F.array().cast(kind)).alias("paragraphs"),
     )

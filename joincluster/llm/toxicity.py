@@ -14,6 +14,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +35,7 @@ _WORD = re.compile(r"[^\W_]+")
 
 
 def terms(word: str) -> list[str]:
-    return [word[:64], *(f"{word[:n]}*" for n in STARTS if len(word) > n)]
+    return [word, *(f"{word[:n]}*" for n in STARTS if len(word) > n)]
 
 
 class Terms:
@@ -146,6 +147,10 @@ class Model:
     empty: float
     knots: tuple[np.ndarray, np.ndarray]
 
+    @cached_property
+    def places(self) -> dict[int, int]:
+        return {int(d): i for i, d in enumerate(self.index.ids)}
+
     def vectors(self, ids: list[list[int]], counts: list[list[int]]) -> np.ndarray:
         return vectors(ids, counts, self.idf)
 
@@ -154,8 +159,9 @@ class Model:
         w = sim * self.weights[y.astype(int)]
         return ((w * y).sum(1) + PRIOR * self.prior) / (w.sum(1) + PRIOR)
 
-    def scores(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        at, sim = self.index.search(q, NEIGHBOURS)
+    def scores(self, q: np.ndarray, doc_ids: list[int | None]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Scores, places and similarities; an example of the index does not see itself, so its own label has no part in its score."""
+        at, sim = self.index.search(q, NEIGHBOURS, skip=np.array([self.places.get(d, -1) for d in doc_ids], dtype=np.int64))
         vote = self.votes(at, sim)
         fitted = np.interp(vote, *self.knots) if len(self.knots[0]) else vote
         return np.where(sim[:, 0] > 0, 0.98 * fitted + 0.02 * vote, self.empty), at, sim
@@ -233,7 +239,7 @@ def fit(documents: DataFrame, labels: DataFrame, most: int = SAMPLE) -> tuple[Mo
     bare = np.bincount(y[~full], minlength=2) * weights
     empty = float((bare[1] + prior) / (bare.sum() + 1)) if total else 0.0
     index = BlockMaxIndex.of(np.array([r["doc_id"] for r in rows], dtype=np.int64)[full], y[full], x[full])
-    model = Model(lexicon, idf, index, weights, prior, min(empty, LIMIT / 2), (np.empty(0), np.empty(0)))
+    model = Model(lexicon, idf, index, weights, prior, empty, (np.empty(0), np.empty(0)))
     votes = []
     for i in range(0, len(index.ids), 1000):
         part = np.arange(i, min(i + 1000, len(index.ids)))
@@ -264,7 +270,7 @@ def score(documents: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFr
                 s = np.full(b.num_rows, model.empty)
                 evidence: list[list[dict]] = [[] for _ in ids]
                 if len(some):
-                    s[some], at, sim = model.scores(model.vectors([ids[i] for i in some], [counts[i] for i in some]))
+                    s[some], at, sim = model.scores(model.vectors([ids[i] for i in some], [counts[i] for i in some]), b.column("doc_id").take(pa.array(some)).to_pylist())
                     for i, a, v in zip(some, at, sim, strict=True):
                         evidence[i] = [{"doc_id": int(model.index.ids[p]), "label": int(model.index.labels[p]), "similarity": float(z)} for p, z in zip(a, v, strict=True) if p >= 0]
                 s = np.clip(s, 0.0, 1.0)
@@ -275,7 +281,11 @@ def score(documents: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFr
 
 
 def keep_clean(documents: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFrame:
-    """The rows of documents, all columns, that score calls clean; one more pass over the texts, no shuffle."""
+    """The rows of documents, all columns, that score calls clean; one more pass over the texts, no shuffle.
+
+    Every row is judged for itself, so rows that repeat go or stay together, and null ids are ids like
+    any other. Null and empty texts are judged as score does. An empty table gives an empty result.
+    """
     model, _ = fit(documents.select("doc_id", "text"), labels, most)
     index = {t: i for i, t in enumerate(model.lexicon)}
 
@@ -288,7 +298,7 @@ def keep_clean(documents: DataFrame, labels: DataFrame, most: int = SAMPLE) -> D
                 some = np.array([i for i, g in enumerate(got) if g], dtype=np.int64)
                 keep = np.full(b.num_rows, model.empty < LIMIT)
                 if len(some):
-                    keep[some] = model.scores(model.vectors([list(got[i]) for i in some], [list(got[i].values()) for i in some]))[0] < LIMIT
+                    keep[some] = model.scores(model.vectors([list(got[i]) for i in some], [list(got[i].values()) for i in some]), b.column("doc_id").take(pa.array(some)).to_pylist())[0] < LIMIT
                 yield b.filter(pa.array(keep))
 
     return documents.mapInArrow(run, documents.schema)

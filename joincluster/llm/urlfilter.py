@@ -21,6 +21,10 @@ RULES = (("net/", "block"), ("example.net/en/", "allow"), ("example.com/de/", "b
 BLOCKED_LABELS = ("ads-track", "adult-x", "casino-win", "cheap-pills", "free-bets", "spam-farm")
 
 
+#: Bits of a level for each key it encodes.
+PER_KEY = 3
+
+
 @dataclass
 class Cascade:
     """levels: (words of the bit filter, seeds of its hashes)."""
@@ -37,19 +41,19 @@ class Cascade:
         return out
 
 
-def build_cascade(listed: DataFrame, universe: DataFrame, hashes: int = 3) -> Cascade:
+def build_cascade(listed: DataFrame, universe: DataFrame, hashes: int = 2) -> Cascade:
     """A cascade for the keys of listed (column key), exact over universe (column key).
 
     Both are distinct tables in the shared folder; each level reads only the keys that the level
-    before it got wrong. A level over common.FILTER_BITS_MOST bits raises ValueError: list_by_join
-    is the way for such lists.
+    before it got wrong. Levels are small (PER_KEY bits a key), as the next ones mend their errors. A
+    level over common.FILTER_BITS_MOST bits raises ValueError: list_by_join is the way for such lists.
     """
     levels: list[tuple[list[int], tuple[int, ...]]] = []
     inside, outside = listed.select("key"), universe.select("key").join(listed.select("key"), "key", "left_anti")
     n = inside.count()
     while n:
         seeds = tuple(range(100 * len(levels), 100 * len(levels) + hashes))
-        words = c.bit_words(inside, "key", c.filter_bits(n), seeds)
+        words = c.bit_words(inside, "key", c.filter_bits(n, PER_KEY, 64), seeds)
         levels.append((words, seeds))
         wrong = c.written(outside.where(c.in_filter(F.col("key"), words, seeds)))
         inside, outside = wrong, inside
@@ -95,17 +99,29 @@ def filter_urls(pages: DataFrame, rules=RULES, blocked_labels=BLOCKED_LABELS) ->
         F.transform(F.split("host", r"\."), lambda x: F.concat(F.lit("label:"), x)).alias("labels"),
     )
     universe = c.written(keyed.select(F.explode(F.concat("keys", "labels")).alias("key")).distinct())
-    listed = spark.createDataFrame([(k,) for k, _ in rules] + [(f"label:{x}",) for x in blocked_labels], "key string")
-    cascade = build_cascade(listed, universe)
-    fits = F.filter("keys", cascade.listed)
-    best = F.aggregate(fits, F.lit("").cast("string"), lambda a, k: F.when(F.length(k) >= F.length(a), k).otherwise(a))
+    listed = c.written(spark.createDataFrame([(k,) for k, _ in rules] + [(f"label:{x}",) for x in blocked_labels], "key string").distinct())
+    if c.filter_bits(listed.count(), PER_KEY, 64) <= c.FILTER_BITS_MOST:
+        cascade = build_cascade(listed, universe)
+        judged = keyed.select("page_id", "host", "path", F.filter("keys", cascade.listed).alias("fits"), F.exists("labels", cascade.listed).alias("bad"))
+    else:
+        judged = _judged_by_join(keyed, list_by_join(universe, listed))
+    best = F.aggregate("fits", F.lit("").cast("string"), lambda a, k: F.when(F.length(k) >= F.length(a), k).otherwise(a))
     verdicts = F.create_map(*[F.lit(x) for r in rules for x in r])
     return (
-        keyed.select("page_id", "host", "path", F.nullif(best, F.lit("")).alias("rule"), F.exists("labels", cascade.listed).alias("bad"))
+        judged.select("page_id", "host", "path", F.nullif(best, F.lit("")).alias("rule"), "bad")
         .select("page_id", "host", "path", "rule", F.coalesce(F.element_at(verdicts, F.col("rule")), F.when(F.col("bad"), "block").otherwise("allow")).alias("verdict"))
     )
 
 
+def _judged_by_join(keyed: DataFrame, hits: DataFrame) -> DataFrame:
+    """page_id, host, path, fits, bad as the cascade gives them, from the listed keys of the corpus (column key)."""
+    places = keyed.select("host", "path", "keys", "labels").distinct()
+    found = places.select("host", "path", F.explode(F.concat("keys", "labels")).alias("key")).join(hits, "key", "left_semi").groupBy("host", "path").agg(F.collect_set("key").alias("found"))
+    none = F.array().cast("array<string>")
+    both = keyed.join(found, ["host", "path"], "left").withColumn("found", F.coalesce("found", none))
+    return both.select("page_id", "host", "path", F.array_intersect("keys", "found").alias("fits"), F.arrays_overlap("labels", "found").alias("bad"))
+
+
 ORACLE_SQL = """
 WITH u AS (
   SELECT page_id,

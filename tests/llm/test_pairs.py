@@ -156,7 +156,7 @@ def test_decontamination(spark, docs_of):
         if rng.random() < 0.2:
             w.insert(len(w) // 2, rng.choice(["ALPHA beta. gamma", "x alphabet", "É Ü ö", "é-ü ö"]))
         rows.append((i, rng.choice([" ", ", ", "\n"]).join(w)))
-    rows += [(100, None), (101, ""), rows[5], rows[5]]
+    rows += [(100, None), (101, ""), rows[5], rows[5], (-1, " ".join(item_words(items[2][1])))]
     got = sorted(tuple(r) for r in decontam.decontaminate(docs_of(rows), spark.createDataFrame(items, "item_id long, text string")).collect())
     assert got == sorted((i, *brute_hits(t, items)) for i, t in rows)
 
@@ -168,9 +168,11 @@ def test_no_benchmark(spark, docs_of):
 
 def test_keep_clean(spark, docs_of):
     item = " ".join(WORDS[:12])
-    df = docs_of([(1, item), (2, "clean text"), (3, None)])
-    got = decontam.keep_clean(df, spark.createDataFrame([(1, item)], "item_id long, text string"))
-    assert got.columns == df.columns and sorted(r["doc_id"] for r in got.collect()) == [2, 3]
+    df = docs_of([(1, item), (2, "clean text"), (3, None), (2, item), (None, item), (None, "clean too")])
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    got = decontam.keep_clean(df, bench)
+    assert got.columns == df.columns and sorted(str(r["doc_id"]) for r in got.collect()) == ["2", "3", "None"]
+    assert [r["n_hit"] for r in decontam.decontaminate(df, bench).where("doc_id is null").orderBy("n_words").collect()] == [0, 12]
 
 
 # ---- packing

@@ -351,3 +351,29 @@ def test_spans_of_a_long_text(spark, docs_of):
     clean = pii.sanitise(docs_of([(1, text)])).first()["text"]
     assert "@" not in clean and clean.count("<EMAIL>") == 6700 and clean.count("<PHONE>") == sum(n == "phone" for *_, n in want)
     assert time.time() - since < 120
+
+
+def test_url_lists_of_any_length(spark, monkeypatch):
+    """Many listed labels make several levels; beyond the bound the join gives the same rows."""
+    from joincluster.llm import common
+
+    urls = [(i, f"https://www.h{i % 97}.site{i % 13}.{'net' if i % 3 else 'org'}/{'en' if i % 2 else 'fr'}/p{i}") for i in range(400)] + [(900, None), (901, "no url"), (5, "http://h5.site5.net/"), (None, "http://h7.org/fr/x")]
+    pages = spark.createDataFrame(urls, "page_id long, url string")
+    labels = tuple(f"h{i}" for i in range(0, 97, 3))
+    levels = []
+    build = urlfilter.build_cascade
+    monkeypatch.setattr(urlfilter, "build_cascade", lambda *a: levels.append(build(*a)) or levels[-1])
+    key = lambda r: tuple(str(x) for x in r)
+    one = sorted((tuple(r) for r in urlfilter.filter_urls(pages, blocked_labels=labels).collect()), key=key)
+    assert len(levels[0].levels) > 2
+    monkeypatch.setattr(common, "FILTER_BITS_MOST", 32)
+    two = sorted((tuple(r) for r in urlfilter.filter_urls(pages, blocked_labels=labels).collect()), key=key)
+    assert one == two and len(levels) == 1
+    for page, host, path, rule, verdict in one:
+        if rule is None:
+            assert verdict == ("block" if set(host.split(".")) & set(labels) else "allow")
+
+
+def test_null_ids_keep_their_licences(spark, docs_of):
+    got = licenses.scan(docs_of([(None, "Released under the MIT License."), (None, "nothing")])).orderBy("n_licensed").collect()
+    assert [r["families"] for r in got] == ["", "mit"]
