@@ -11,12 +11,18 @@ from pyspark.sql import Window as W
 
 @dataclass
 class HeavyLight:
-    """heavy: (category, weight), heaviest first; the rest has weight light and squared norm sqnorm."""
+    """heavy: (category, weight), heaviest first; the rest has weight light, squared norm sqnorm and its heaviest category top."""
 
     heavy: list[tuple[str, float]]
     light: float
     sqnorm: float
     cost: float
+    top: float = 0.0
+
+    @property
+    def median_cost(self) -> float:
+        """The cost for p = 1: the light part's weight, or twice what its heaviest category leaves."""
+        return min(self.light, 2 * (self.light - self.top))
 
 
 def ranked(marginal: DataFrame) -> DataFrame:
@@ -40,14 +46,24 @@ def heavy_light_table(marginal: DataFrame, kappa: int) -> DataFrame:
 
 def heavy_light(marginal: DataFrame, kappa: int) -> HeavyLight:
     """The same for one subspace, to the driver: at most kappa numbers, however many categories there are."""
-    heavy = [(r["vcat"], float(r["w"])) for r in marginal.orderBy(F.desc("w"), "vcat").limit(kappa - 1).collect()] if kappa > 1 else []
+    top = [(r["vcat"], float(r["w"])) for r in marginal.orderBy(F.desc("w"), "vcat").limit(kappa).collect()]
     w = F.col("w").cast("double")
     s = marginal.agg(F.sum(w).alias("w"), F.sum(w * w).alias("q")).first()
-    light = float(s["w"] or 0) - sum(v for _, v in heavy)
-    squares = float(s["q"] or 0) - sum(v * v for _, v in heavy)
-    if light <= 0:
+    return _heavy_light(top, kappa, float(s["w"] or 0), float(s["q"] or 0))
+
+
+def heavy_light_local(marginal: list[tuple[str, float]], kappa: int) -> HeavyLight:
+    """The same of a marginal (category, weight) that the driver holds."""
+    top = sorted(marginal, key=lambda x: (-x[1], x[0]))[:kappa]
+    return _heavy_light(top, kappa, sum(w for _, w in marginal), sum(w * w for _, w in marginal))
+
+
+def _heavy_light(top: list[tuple[str, float]], kappa: int, total: float, squares: float) -> HeavyLight:
+    heavy, rest = top[: kappa - 1], top[kappa - 1 :]
+    light, squares = total - sum(v for _, v in heavy), squares - sum(v * v for _, v in heavy)
+    if light <= 0 or not rest:
         return HeavyLight(heavy, 0.0, 0.0, 0.0)
-    return HeavyLight(heavy, light, max(squares, 0.0) / light**2, max(light - squares / light, 0.0))
+    return HeavyLight(heavy, light, max(squares, 0.0) / light**2, max(light - squares / light, 0.0), rest[0][1])
 
 
 def categorical_cost(weights: dict[str, float], parts: list[set[str]], p: int = 2) -> float:

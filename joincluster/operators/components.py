@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.spec import Feature, FeatureQuery
-from .categorical import heavy_light
+from .categorical import heavy_light, heavy_light_local
 from .line import BUCKETS, Line, line_kmeans
 
 
@@ -25,6 +25,7 @@ class Subspace:
     upper: np.ndarray | None = None
     heavy: list[str] | None = None
     sqnorm: float = 0.0
+    exact: bool = True  # whether the solver is known to be optimal
 
     @property
     def name(self) -> str:
@@ -122,30 +123,53 @@ def bucketed(marginal: DataFrame, buckets: int = BUCKETS) -> DataFrame:
     return g.select((F.col("s") / F.col("w")).alias("vnum"), "w", F.greatest(F.col("q") - F.col("s") * F.col("s") / F.col("w"), F.lit(0.0)).alias("inner"), "hi")
 
 
-def solve_line(marginal: DataFrame, kappa: int, method: str = "auto", p: int = 2, lam: float = 0.0, buckets: int = BUCKETS) -> Line:
-    """The numeric subspace of a marginal (vnum, w); nulls are the value 0."""
-    rows = bucketed(marginal.select(F.coalesce("vnum", F.lit(0.0)).alias("vnum"), "w").groupBy("vnum").agg(F.sum("w").alias("w")), buckets).toPandas()
+#: Rows of all marginals together that the driver solves in one go.
+MARGINALS_LOCAL = 1 << 18
+
+
+def _line_of(rows, kappa: int, method: str, p: int, lam: float) -> tuple[Line, bool]:
+    """The segments of rows (vnum, w, inner, hi; pandas), and whether they are the best ones of the values themselves."""
     line = line_kmeans(rows["vnum"], rows["w"].astype(float), kappa, method, p, lam, rows["inner"])
-    if len(line.upper) and (rows["inner"] > 0).any():
+    spread = bool((rows["inner"] > 0).any())
+    if len(line.upper) and spread:
         order = np.sort(rows["vnum"].to_numpy())
         tops = rows.set_index("vnum")["hi"].reindex(order).to_numpy()
         line.upper = tops[np.searchsorted(order, line.upper, "right") - 1]
-    return line
+    return line, method != "lloyd" and not spread
+
+
+def solve_line(marginal: DataFrame, kappa: int, method: str = "auto", p: int = 2, lam: float = 0.0, buckets: int = BUCKETS) -> Line:
+    """The numeric subspace of a marginal (vnum, w); nulls are the value 0."""
+    return _line_of(_line_rows(marginal, buckets), kappa, method, p, lam)[0]
+
+
+def _line_rows(marginal: DataFrame, buckets: int = BUCKETS):
+    return bucketed(marginal.select(F.coalesce("vnum", F.lit(0.0)).alias("vnum"), "w").groupBy("vnum").agg(F.sum("w").alias("w")), buckets).toPandas()
 
 
 def solve(query: FeatureQuery, marginals: DataFrame, kappa: int | dict[str, int], method: str = "auto", p: int = 2, lam: float = 0.0) -> ComponentSet:
-    """Components of every feature from its marginal; what reaches the driver is at most BUCKETS rows a number and kappa a category."""
+    """Components of every feature from its marginal.
+
+    Marginals of MARGINALS_LOCAL rows in all come to the driver in one job. Larger ones are solved a
+    feature at a time: at most BUCKETS rows a number and kappa a category reach the driver.
+    """
+    held = marginals.select("subspace", "vnum", "vcat", F.col("w").cast("double").alias("w")).limit(MARGINALS_LOCAL + 1).toPandas()
+    parts = dict(tuple(held.groupby("subspace"))) if len(held) <= MARGINALS_LOCAL else None
     out = []
     for f in query.features:
         m, k = marginals.where(F.col("subspace") == f.name), kappa_of(kappa, f.name)
+        mine = held.iloc[:0] if parts is None else parts.get(f.name, held.iloc[:0])
         if f.kind == "cont":
-            line = solve_line(m, k, method, p, lam)
-            out.append(Subspace(f, line.mass, line.cost, line.centers, line.upper))
+            if parts is not None and len(mine) <= BUCKETS:
+                rows = mine.assign(vnum=mine["vnum"].fillna(0.0), inner=0.0, hi=mine["vnum"].fillna(0.0))
+            else:
+                rows = _line_rows(m)
+            line, exact = _line_of(rows, k, method, p, lam)
+            out.append(Subspace(f, line.mass, line.cost, line.centers, line.upper, exact=exact))
         else:
-            h = heavy_light(m, k)
+            h = heavy_light(m, k) if parts is None else heavy_light_local(list(zip(mine["vcat"], mine["w"], strict=True)), k)
             mass = [w for _, w in h.heavy] + ([h.light] if h.light > 0 else [])
-            cost = h.cost if p == 2 else min(h.light, 2 * h.light)
-            out.append(Subspace(f, np.array(mass), cost, heavy=[c for c, _ in h.heavy], sqnorm=h.sqnorm))
+            out.append(Subspace(f, np.array(mass), h.cost if p == 2 else h.median_cost, heavy=[c for c, _ in h.heavy], sqnorm=h.sqnorm))
     return ComponentSet(query, out)
 
 

@@ -72,12 +72,9 @@ def distance_table(s: Subspace, a: np.ndarray, p: int = 2) -> np.ndarray:
         return d * s.feature.scale**p
     h = len(s.heavy)
     if p == 1:
-        # Coordinates are medians: a cluster's part is one component or nothing.
-        d = np.ones((a.shape[1], len(a)))
-        for l in range(len(a)):
-            at = np.flatnonzero(a[l] > 0)
-            for c in range(a.shape[1]):
-                d[c, l] = 0 if len(at) and at[0] == c and c < h else (2 * (1 - s.sqnorm) if len(at) and at[0] == c else (2 if len(at) else 1))
+        # Coordinates are medians: a cluster's part is one component or nothing. Cells of one component, light ones too, are one point.
+        held = a > 0
+        d = np.where(held.any(1)[None, :], 2.0 * ~held.T, 1.0)
         return d * s.feature.scale
     norms = np.ones(a.shape[1])
     if s.has_light:
@@ -110,27 +107,58 @@ def uniform(seed: int, r: int, cols: list[str]):
     return (F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("double") + 1) / F.lit(4294967296.0)
 
 
-def seed_pp(grid: DataFrame, comps: ComponentSet, k: int, seed: int = 1) -> np.ndarray:
-    """k cells drawn by weight times squared distance to the chosen ones: one race (the least -ln(u) / (w d)) a round."""
+#: Cells times seeds up to which the driver draws the seeds alone.
+SEED_LOCAL_MOST = 2_000_000
+
+
+def seed_pp(grid: DataFrame, comps: ComponentSet, k: int, seed: int = 1, local: bool | None = None) -> np.ndarray:
+    """k cells drawn by weight times squared distance to the chosen ones: one race (the least -ln(u) / (w d)) a round.
+
+    The driver races the cells of a small grid; a larger one carries its least distance to the chosen
+    cells as a column from round to round. Both draw the same cells.
+    """
     cols = _cells(grid, comps)
+    if local is None:
+        local = grid.count() * k <= SEED_LOCAL_MOST
+    if local:
+        return _seed_local(grid, comps, k, seed, cols)
     chosen: list[list[int]] = []
+    now = grid.withColumn("d", F.lit(1.0))
     for r in range(k):
-        if chosen:
-            tables = point_mixtures(comps, np.array(chosen)).distances()
-            per = [
-                F.array(*[F.element_at(F.array(*[F.lit(float(v)) for v in t[:, l]]), F.col(c) + 1) for t, c in zip(tables, cols, strict=True)]) for l in range(len(chosen))
-            ]
-            d = F.least(*[F.aggregate(x, F.lit(0.0), lambda a, v: a + v) for x in per]) if len(per) > 1 else F.aggregate(per[0], F.lit(0.0), lambda a, v: a + v)
-        else:
-            d = F.lit(1.0)
-        raced = grid.withColumn("d", d).where("d > 1e-12").withColumn("race", -F.log(uniform(seed, r, cols)) / (F.col("w") * F.col("d")))
+        raced = now.where("d > 1e-12").withColumn("race", -F.log(uniform(seed, r, cols)) / (F.col("w") * F.col("d")))
         best = raced.orderBy("race", *cols).limit(1).select(*cols).collect()
         if not best:
             break
         chosen.append(list(best[0]))
+        now = _least_distances(grid, comps, np.array(chosen))
     return np.array(chosen, dtype=int).reshape(-1, len(cols))
 
 
+def _least_distances(grid: DataFrame, comps: ComponentSet, chosen: np.ndarray) -> DataFrame:
+    """grid with d, the least squared distance to the chosen cells: one vectorised pass."""
+    return nearest(grid, point_mixtures(comps, chosen)).drop("cluster")
+
+
+def _seed_local(grid: DataFrame, comps: ComponentSet, k: int, seed: int, cols: list[str]) -> np.ndarray:
+    from hashlib import md5
+
+    held = grid.select(*cols, "w").toArrow()
+    cells, w = np.stack([held.column(c).to_numpy() for c in cols], 1).astype(int), held.column("w").to_numpy().astype(float)
+    names = [":".join(map(str, x)) for x in cells.tolist()]
+    d, chosen = np.ones(len(cells)), []
+    for r in range(k):
+        some = np.flatnonzero(d > 1e-12)
+        if not len(some):
+            break
+        u = np.array([int(md5(f"{seed}:{r}:{names[i]}".encode()).hexdigest()[:8], 16) for i in some], float)
+        race = -np.log((u + 1) / 4294967296.0) / (w[some] * d[some])
+        best = some[np.lexsort((*cells[some].T[::-1], race))[0]]
+        chosen.append(best)
+        now = sum(t[cells[:, j], 0] for j, t in enumerate(point_mixtures(comps, cells[[best]]).distances()))
+        d = now if r == 0 else np.minimum(d, now)
+    return cells[chosen] if chosen else np.empty((0, len(cols)), int)
+
+
 def seed_parallel(grid: DataFrame, comps: ComponentSet, k: int, seed: int = 1, rounds: int = 5, oversample: float = 2.0) -> np.ndarray:
     """Oversampled seeding in a few passes: each draws about oversample * k cells, which are then seeded down to k by weight."""
     cols = _cells(grid, comps)
@@ -243,7 +271,11 @@ def shrunk(s: Subspace, a: np.ndarray, total: np.ndarray, penalty: Penalty) -> n
         size = np.sqrt((a * a * norms).sum(1))
         factor = np.maximum(1 - t / np.maximum(size, 1e-300), 0)
     else:
-        return np.maximum(a - t[:, None], 0)
+        # Along a component of squared norm q the best share moves by t / q; a light one's is under 1.
+        norms = np.ones(a.shape[1])
+        if s.has_light:
+            norms[len(s.heavy)] = max(s.sqnorm, 1e-300)
+        return np.maximum(a - t[:, None] / norms, 0)
     return a * factor[:, None]
 
 

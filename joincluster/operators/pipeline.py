@@ -23,6 +23,7 @@ class ClusterResult:
     cells: DataFrame
     clustering: Clustering
     seconds: dict[str, float] = field(default_factory=dict)
+    plain: bool = True  # squared distances and no penalty
 
     @property
     def centroids(self) -> Centroids:
@@ -36,8 +37,9 @@ class ClusterResult:
         return self.assignment().groupBy("cluster").agg(F.sum("w").cast("bigint").alias("weight"), F.count("*").alias("cells"))
 
     def guarantee(self, gamma: float) -> float | None:
-        """The ratio that holds if the last step is gamma-optimal; None where a subspace's solver has no proven ratio."""
-        known = all(not s.feature.category_scale for s in self.comps.subspaces)
+        """The ratio that holds if the last step is gamma-optimal; None where a subspace's solver has no proven ratio (buckets,
+        Lloyd, weighted categories) and for p = 1 and penalties."""
+        known = self.plain and all(s.exact and not s.feature.category_scale for s in self.comps.subspaces)
         return approx_bound(1.0, gamma) if known else None
 
 
@@ -73,4 +75,4 @@ def cluster_join(
         seeds = {"pp": lambda: seed_pp(cells, comps, k, seed), "parallel": lambda: seed_parallel(cells, comps, k, seed), "top": lambda: seed_top(cells, comps, k)}[seeding]()
         clustering = grid_lloyd(cells, comps, seeds, max_iter, tol, p, penalty, local)
     cal.release()
-    return ClusterResult(query, marginals, comps, cells, clustering, timer.seconds)
+    return ClusterResult(query, marginals, comps, cells, clustering, timer.seconds, p == 2 and penalty is None)

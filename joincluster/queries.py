@@ -307,6 +307,25 @@ def _chain_grid(spark, sf):
 
 
 # ---- clustering
+def _race_sql(workload: str, features: dict[str, str], k: int, seed: int) -> str:
+    """Seeds by weight times squared distance, for categories: a round a CTE, distances from the components' squared norms."""
+    ctes, joins, cols = o.encoders(workload, features, k)
+    keys = ", ".join(f"c_{f}" for f in features)
+    out = [ctes, f"g AS MATERIALIZED (SELECT {keys}, count(*)::DOUBLE AS w FROM (SELECT {cols} FROM {joins}) GROUP BY ALL)"]
+    for f in features:
+        out.append(f"n_{f} AS MATERIALIZED (SELECT c, sum(w*w)/(sum(w)*sum(w)) AS q FROM (SELECT least(r.rk, {k - 1})::INT AS c, n.w FROM r_{f} r JOIN (SELECT {f} AS v, count(*)::DOUBLE AS w FROM x GROUP BY 1) n ON n.v = r.v) GROUP BY 1)")
+    named = f"SELECT g.*, {', '.join(f'n_{f}.q AS q_{f}' for f in features)} FROM g {' '.join(f'JOIN n_{f} ON n_{f}.c = g.c_{f}' for f in features)}"
+    out.append(f"gq AS MATERIALIZED ({named})")
+    apart = " + ".join(f"CASE WHEN g.c_{f} = s.c_{f} THEN 0 ELSE g.q_{f} + s.q_{f} END" for f in features)
+    for r in range(k):
+        u = f"(('0x' || substr(md5(concat_ws(':', '{seed}', '{r}', {', '.join(f'g.c_{f}' for f in features)})), 1, 8))::BIGINT + 1) / 4294967296.0"
+        chosen = " UNION ALL ".join(f"SELECT * FROM s{i}" for i in range(r))
+        far = f"(SELECT min({apart}) FROM ({chosen}) s)" if r else "1.0"
+        out.append(f"s{r} AS MATERIALIZED (SELECT * EXCLUDE (d) FROM (SELECT g.*, -ln({u}) AS e, {far} AS d FROM gq g) WHERE d > 1e-12 ORDER BY e / (w * d), {keys} LIMIT 1)")
+        out[-1] = out[-1].replace("EXCLUDE (d)", "EXCLUDE (d, e)")
+    return f"WITH {', '.join(out)} " + " UNION ALL ".join(f"SELECT {keys} FROM s{r}" for r in range(k))
+
+
 def _seeds(how: str) -> Query:
     def run(spark, sf):
         q = wl.w_m(spark, sf)
@@ -319,7 +338,7 @@ def _seeds(how: str) -> Query:
 
 
 _add("seed_top_wm", _seeds("top"), f"SELECT {', '.join('c_' + f for f in WM)} FROM ({o.grid('w_m', WM, 5)}) ORDER BY w DESC, {', '.join('c_' + f for f in WM)} LIMIT 5")
-_add("seed_pp_wm", _seeds("pp"))
+_add("seed_pp_wm", _seeds("pp"), _race_sql("w_m", WM, 5, 1))
 
 
 def _lloyd(workload: str, features, k: int, local: bool, what: str) -> Query:
@@ -356,13 +375,17 @@ def _lloyd_sql(workload: str, features: dict[str, str], k: int, sweeps: int, wha
         if i < sweeps:
             out.append(f"m{i+1} AS MATERIALIZED (SELECT cluster, dim, sum(g.w*p.x) / max(t.w) AS x FROM a{i} JOIN g USING (id) JOIN p USING (id) JOIN (SELECT cluster, sum(w) AS w FROM a{i} JOIN g USING (id) GROUP BY 1) t USING (cluster) GROUP BY cluster, dim UNION ALL SELECT cluster, dim, x FROM m{i} WHERE cluster NOT IN (SELECT cluster FROM a{i}))")
     last = f"a{sweeps}"
+    if what == "coef":  # the shares of the last means' components
+        own = f"(SELECT * FROM a{sweeps - 1} JOIN g USING (id))"
+        shares = " UNION ALL ".join(f"SELECT cluster::INT AS cluster, '{f}' AS subspace, c_{f} AS comp, sum(w) / (SELECT sum(w) FROM {own} t WHERE t.cluster = y.cluster) AS coef FROM {own} y GROUP BY cluster, c_{f}" for f in features)
+        return f"WITH {', '.join(out)} SELECT cluster, subspace, comp, round(coef, 6) AS coef FROM ({shares})"
     if what == "assign":
         return f"WITH {', '.join(out)} SELECT {keys}, w::BIGINT AS w, cluster::INT AS cluster FROM g JOIN {last} USING (id)"
     return f"WITH {', '.join(out)} SELECT cluster::INT AS cluster, sum(w)::BIGINT AS weight, count(*) AS cells FROM g JOIN {last} USING (id) GROUP BY 1"
 
 
 WM4 = {"priority": CAT, "status": CAT, "segment": CAT, "region": CAT}
-_add("lloyd_wm_iter3", _lloyd("w_m", WM, 5, True, "coef"))
+_add("lloyd_wm_iter3", _lloyd("w_m", WM, 5, True, "coef"), _lloyd_sql("w_m", WM, 5, 3, "coef"))
 _add("lloyd_wr_iter3", _lloyd("w_r", WR, 5, False, "coef"))
 _add("lloyd_assign_wm", _lloyd("w_m", WM4, 5, True, "assign"), _lloyd_sql("w_m", WM4, 5, 3, "assign"))
 _add("lloyd_weighted_sizes", _lloyd("w_m", WM4, 5, False, "sizes"), _lloyd_sql("w_m", WM4, 5, 3, "sizes"))
@@ -539,7 +562,7 @@ _add("sample_baseline", lambda spark, sf: baseline.sample_kmeans(wl.w_m(spark, s
 
 
 def _asof(spark, sf):
-    """The last order price at or before each shipping day: a union of both sides and a window per month's supplier, no range join."""
+    """The last order price at or before each shipping day: a union of both sides (a row a day) and a window over the days, no range join."""
     li, od = tables(spark, sf, "lineitem", "orders")
     oil = od.groupBy(F.to_date("o_orderdate").alias("day")).agg(F.floor(F.avg("o_totalprice")).cast("bigint").alias("price"))
     days = li.select(F.to_date("l_shipdate").alias("day")).distinct().withColumn("want", F.lit(1))
@@ -574,7 +597,10 @@ _add("grid_objective_wf_lite", _block_objective)
 
 # ---- streams
 def _folder(spark, df: DataFrame, parts: int) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="joincluster-")
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir is unset: executors need a folder that all of them can read")
+    base = base or tempfile.mkdtemp(prefix="joincluster-")
     path = f"{base}/joincluster-stream-{uuid.uuid4().hex}"
     df.repartitionByRange(parts, "ts").write.parquet(path)
     return path

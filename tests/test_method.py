@@ -212,6 +212,7 @@ def test_seeds(spark):
     cells = grid_weights(q, comps).persist()
     a, b = seed_pp(cells, comps, 5, 3), seed_pp(cells.repartition(7), comps, 5, 3)
     assert (a == b).all() and len(np.unique(a, axis=0)) == 5
+    assert (a == seed_pp(cells, comps, 5, 3, local=False)).all()
     assert len(seed_parallel(cells, comps, 5)) == 5
     assert len(seed_pp(cells.limit(2), comps, 5)) <= 2
     assert isinstance(point_mixtures(comps, a), Centroids) and isinstance(comps, ComponentSet)
@@ -261,3 +262,28 @@ def test_entry(spark):
     assert e.entry(spark).count() == 5
     assert set(e.oracle_sql()) <= set(e.queries())
     assert len(list(itertools.islice(e.queries(), 80))) == 80
+
+
+def test_solved_in_one_go_or_by_feature(spark, monkeypatch):
+    from joincluster.operators import components
+
+    q = wl.w_r(spark, SF).only("qty", "size", "brand", "segment")
+    m = Calibration(q).marginals().persist()
+    one = solve(q, m, 4)
+    monkeypatch.setattr(components, "MARGINALS_LOCAL", 3)
+    for a, b in zip(one.subspaces, solve(q, m, 4).subspaces, strict=True):
+        assert a.heavy == b.heavy and np.allclose(a.mass, b.mass) and a.cost == pytest.approx(b.cost) and a.sqnorm == pytest.approx(b.sqnorm) and a.exact
+
+
+def test_steps_of_medians_and_penalties(spark):
+    """p = 1: cells of one light component are at no distance; l1: the light share moves by t over its squared norm."""
+    from joincluster.operators.components import Subspace
+    from joincluster.operators.lloyd import shrunk
+    from joincluster.plans.spec import Feature
+
+    s = Subspace(Feature("a", "r", "a", "cat"), np.array([6.0, 4.0]), 1.0, heavy=["x"], sqnorm=0.5)
+    assert distance_table(s, np.array([[0.0, 1.0], [1.0, 0.0], [0.0, 0.0]]), 1).tolist() == [[2, 0, 1], [0, 2, 1]]
+    got = shrunk(s, np.array([[0.4, 0.6]]), np.array([10.0]), Penalty("l1", 4.0))
+    grid = np.linspace(0, 1, 2001)
+    best = [grid[np.argmin(10 * n * (grid - v) ** 2 + 4 * grid)] for n, v in ((1.0, 0.4), (0.5, 0.6))]
+    assert np.allclose(got[0], best, atol=1e-3)
