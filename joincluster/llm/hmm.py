@@ -75,7 +75,7 @@ class Vocabulary:
 
     def __init__(self, counts: DataFrame):
         self.tokens, self.types = (int(x or 0) for x in counts.agg(F.sum("n"), F.count("*")).first())
-        top = counts.orderBy(F.desc("n"), "key").limit(HELD).toArrow()
+        top = counts.where(F.col("n") >= self.least_count(counts)).toArrow()  # at most HELD rows
         keys, n = top.column("key").to_numpy().view(np.uint64), top.column("n").to_numpy()
         own = np.full(len(keys), -1)
         rank = np.lexsort((keys.view(np.int64), -n))
@@ -90,6 +90,18 @@ class Vocabulary:
         self.keys, self.n, self.own = keys[order], n[order], own[order].astype(np.int32)
         self.log_spread = np.log10(spread)
 
+    @staticmethod
+    def least_count(counts: DataFrame) -> int:
+        """The least power of 2^(1/16) such that at most HELD keys are counted so often: from a count by powers, so nothing is sorted or gathered."""
+        steps = F.floor(F.log2(F.col("n").cast("double")) * 16 + 1e-9).cast("int")
+        total, least = 0, None
+        for r in sorted(counts.groupBy(steps.alias("step")).agg(F.count("*").alias("keys"), F.min("n").alias("least")).collect(), reverse=True):  # at most 16 * 63 rows
+            total += r["keys"]
+            if total > HELD:
+                break
+            least = r["least"]
+        return least if least is not None else (1 << 62)
+
     @property
     def classes(self) -> int:
         return CLASSES + TAILS
@@ -141,22 +153,23 @@ def encoded(documents: DataFrame, vocabulary: Vocabulary) -> DataFrame:
 # ---- the chain --------------------------------------------------------------------------------
 
 
+#: Tokens of the texts that are walked together; a longer text is walked alone, in stretches of as many.
+STRETCH = 1 << 17
+
+
 def _packed(seqs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Sequences of falling length, as one array by time; at time t the first width[t] sequences run."""
-    lens = np.array([len(s) for s in seqs])
-    grid = np.zeros((len(seqs), lens[0]), np.int64)
-    mask = np.arange(lens[0]) < lens[:, None]
-    grid[mask] = np.concatenate(seqs)
-    return grid.T[mask.T], mask.sum(0)
+    time = np.concatenate([np.arange(len(s), dtype=np.int32) for s in seqs])
+    return np.concatenate(seqs).astype(np.int64)[np.argsort(time, kind="stable")], np.bincount(time)
 
 
-def forward(x: np.ndarray, width: np.ndarray, start: np.ndarray, move: np.ndarray, emit_t: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Scaled forward variables and scales, by time."""
+def forward(x: np.ndarray, width: np.ndarray, start: np.ndarray, move: np.ndarray, emit_t: np.ndarray, before: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Scaled forward variables and scales, by time; before holds the variables of the stretch before, if any."""
     alpha, scale = emit_t[x], np.empty(len(x))
     at = 0
-    for t, n in enumerate(width):
+    for n in width:
         a = alpha[at : at + n]
-        a *= start if t == 0 else before[:n] @ move
+        a *= start if before is None else before[:n] @ move
         s = a.sum(1)
         a /= s[:, None]
         scale[at : at + n] = s
@@ -164,12 +177,18 @@ def forward(x: np.ndarray, width: np.ndarray, start: np.ndarray, move: np.ndarra
     return alpha, scale
 
 
-def expected(x: np.ndarray, width: np.ndarray, start: np.ndarray, move: np.ndarray, emit_t: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Baum-Welch counts: starts, moves, and emissions by class."""
-    alpha, scale = forward(x, width, start, move, emit_t)
+def expected(x: np.ndarray, width: np.ndarray, start: np.ndarray, move: np.ndarray, emit_t: np.ndarray, before: np.ndarray | None = None, after: np.ndarray | None = None) -> tuple[tuple[np.ndarray, np.ndarray, np.ndarray], np.ndarray]:
+    """Baum-Welch counts (starts, moves, emissions by class), and what a stretch before this one needs of it.
+
+    before holds the forward variables of the stretch before, after what the stretch after has given.
+    """
+    alpha, scale = forward(x, width, start, move, emit_t, before)
     ends = np.cumsum(width)
     moves = np.zeros_like(move)
     beta = np.ones_like(alpha)
+    if after is not None:
+        moves += alpha[-1:].T @ after
+        beta[-1:] = after @ move.T
     for t in range(len(width) - 2, -1, -1):
         n, lo, hi = width[t + 1], ends[t] - width[t], ends[t]
         nxt = slice(hi, hi + n)
@@ -179,14 +198,55 @@ def expected(x: np.ndarray, width: np.ndarray, start: np.ndarray, move: np.ndarr
     gamma = alpha * beta
     gamma /= gamma.sum(1, keepdims=True)
     emits = np.array([np.bincount(x, weights=g, minlength=len(emit_t)) for g in gamma.T])
-    return gamma[: width[0]].sum(0), moves * move, emits
+    starts = gamma[: width[0]].sum(0) if before is None else np.zeros(len(move))
+    return (starts, moves * move, emits), emit_t[x[: width[0]]] * beta[: width[0]] / scale[: width[0], None]
+
+
+def _stretches(seq: np.ndarray) -> list[np.ndarray]:
+    return [seq[i : i + STRETCH].astype(np.int64) for i in range(0, len(seq), STRETCH)]
+
+
+def all_counts(seqs: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit_t: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Baum-Welch counts of sequences, part by part; a long one keeps only the variables between its stretches."""
+    for seq in (s for s in seqs if len(s) > STRETCH):
+        parts, befores = _stretches(seq), [None]
+        for x in parts[:-1]:
+            befores.append(forward(x, np.ones(len(x), np.int64), start, move, emit_t, befores[-1])[0][-1:].copy())
+        after = None
+        for x, before in zip(parts[::-1], befores[::-1], strict=True):
+            got, after = expected(x, np.ones(len(x), np.int64), start, move, emit_t, before, after)
+            yield got
+    for _, x, width in _groups(seqs):
+        yield expected(x, width, start, move, emit_t)[0]
+
+
+def log_likelihoods(seqs: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit_t: np.ndarray) -> np.ndarray:
+    """log10 of every sequence's probability by the chain."""
+    out = np.zeros(len(seqs))
+    for i, seq in enumerate(seqs):
+        if len(seq) > STRETCH:
+            before = None
+            for x in _stretches(seq):
+                alpha, scale = forward(x, np.ones(len(x), np.int64), start, move, emit_t, before)
+                before = alpha[-1:].copy()
+                out[i] += np.log10(scale).sum()
+    for part, x, width in _groups(seqs):
+        _, scale = forward(x, width, start, move, emit_t)
+        place = np.concatenate([np.arange(n) for n in width])
+        out[part] = np.bincount(place, weights=np.log10(scale), minlength=len(part))
+    return out
 
 
 def _groups(seqs: list[np.ndarray], many: int = 256) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    order = np.argsort([-len(s) for s in seqs], kind="stable")
-    for i in range(0, len(order), many):
-        part = order[i : i + many]
+    """Places and packed sequences of those of at most STRETCH tokens, so many at once that they have at most twice as many tokens."""
+    order = np.array([i for i in np.argsort([-len(s) for s in seqs], kind="stable") if len(seqs[i]) <= STRETCH], dtype=np.int64)
+    at = 0
+    while at < len(order):
+        total = np.cumsum([len(seqs[i]) for i in order[at : at + many]])
+        n = max(1, int(np.searchsorted(total, 2 * STRETCH, "right")))
+        part = order[at : at + n]
         yield part, *_packed([seqs[j] for j in part])
+        at += n
 
 
 def renewed(counts: tuple[np.ndarray, np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -217,8 +277,8 @@ def first_parameters(seqs: list[np.ndarray], classes: int, states: int = STATES)
     now = now[0] / now[0].sum(), move, e
     for _ in range(FIRST_PASSES if seqs else 0):
         sums = [np.zeros(states), np.zeros((states, states)), np.zeros((states, classes))]
-        for _, x, width in _groups(seqs):
-            for total, got in zip(sums, expected(x, width, now[0], now[1], np.ascontiguousarray(now[2].T)), strict=True):
+        for counts in all_counts(seqs, now[0], now[1], np.ascontiguousarray(now[2].T)):
+            for total, got in zip(sums, counts, strict=True):
                 total += got
         now = renewed(tuple(sums))
     return now
@@ -234,8 +294,8 @@ def one_pass(read: DataFrame, now: tuple[np.ndarray, np.ndarray, np.ndarray]) ->
         emit_t = np.ascontiguousarray(emit.T)
         sums = np.zeros(states), np.zeros((states, states)), np.zeros((states, classes))
         for b in batches:
-            for _, x, width in _groups([np.frombuffer(y.as_buffer(), "<u2") for y in b.column("classes")]):
-                for total, got in zip(sums, expected(x, width, start, move, emit_t), strict=True):
+            for counts in all_counts([np.frombuffer(y.as_buffer(), "<u2") for y in b.column("classes")], start, move, emit_t):
+                for total, got in zip(sums, counts, strict=True):
                     total += got
         flat = np.concatenate([s.ravel() for s in sums])
         i = np.flatnonzero(flat)
@@ -269,11 +329,7 @@ def score(documents: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         start, move, emit_t = shared.value
         for b in batches:
-            out = np.zeros(b.num_rows)
-            for part, x, width in _groups([np.frombuffer(y.as_buffer(), "<u2") for y in b.column("classes")]):
-                _, scale = forward(x, width, start, move, emit_t)
-                place = np.concatenate([np.arange(n) for n in width])
-                out[part] = np.bincount(place, weights=np.log10(scale), minlength=len(part))
+            out = log_likelihoods([np.frombuffer(y.as_buffer(), "<u2") for y in b.column("classes")], start, move, emit_t)
             keep = [k for k in b.schema.names if k != "classes"]
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keep), pa.array(out)], [*keep, "log_chain"])
 

@@ -55,10 +55,17 @@ SIDE_WORDS = frozenset(
 )
 
 
+#: Elements of running text: there a name says only with all of its words what an element is.
+PROSE = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre figure figcaption table tr td th ul ol li dl dt dd".split())
+
+
 def _role(tag: str, attrs: str, inside: bool) -> str:
-    """main, side or empty."""
-    words = {w for m in _ATTR.finditer(attrs) for w in re.split(r"[^a-z0-9]+", (m[1] or m[2] or m[3] or "").lower())} if attrs else set()
-    if tag in SIDE_TAGS or words & SIDE_WORDS and tag not in ("html", "body", "article", "main") or tag == "header" and not inside:
+    """main, side or empty. Inside an article a paragraph of class notice-of-meeting is its text, one of class cookie-notice is not."""
+    names = [w for m in _ATTR.finditer(attrs) for w in (m[1] or m[2] or m[3] or "").lower().split()] if attrs else []
+    parts = [[x for x in re.split(r"[^a-z0-9]+", w) if x] for w in names]
+    words = {x for w in parts for x in w}
+    named = any(w and SIDE_WORDS.issuperset(w) for w in parts) if inside and tag in PROSE else bool(words & SIDE_WORDS)
+    if tag in SIDE_TAGS or named and tag not in ("html", "body", "article", "main") or tag == "header" and not inside:
         return "side"
     return "main" if tag in ("article", "main") or "main" in words and tag == "div" else ""
 

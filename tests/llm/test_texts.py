@@ -230,7 +230,7 @@ def test_forward_is_the_sum_over_paths():
         for i, s in zip(part, got, strict=True):
             want = sum(start[p[0]] * emit[p[0], seqs[i][0]] * math.prod(move[p[t - 1], p[t]] * emit[p[t], seqs[i][t]] for t in range(1, len(p))) for p in itertools.product(range(2), repeat=len(seqs[i])))
             assert s == pytest.approx(math.log(want))
-        a, b, e = hmm.expected(x, width, start, move, emit.T.copy())
+        (a, b, e), _ = hmm.expected(x, width, start, move, emit.T.copy())
         assert a.sum() == pytest.approx(3) and b.sum() == pytest.approx(3) and e.sum() == pytest.approx(6)
 
 
@@ -377,3 +377,26 @@ def test_url_lists_of_any_length(spark, monkeypatch):
 def test_null_ids_keep_their_licences(spark, docs_of):
     got = licenses.scan(docs_of([(None, "Released under the MIT License."), (None, "nothing")])).orderBy("n_licensed").collect()
     assert [r["families"] for r in got] == ["", "mit"]
+
+
+def test_long_texts_in_stretches(monkeypatch):
+    """Counts and likelihoods do not hang on where a long text is cut."""
+    rng = np.random.default_rng(1)
+    seqs = [rng.integers(0, 7, n) for n in (1, 90, 33, 5, 200)]
+    start, move, emit_t = rng.dirichlet(np.ones(3)), rng.dirichlet(np.ones(3), 3), np.ascontiguousarray(rng.dirichlet(np.ones(7), 3).T)
+    whole = [sum(x) for x in zip(*hmm.all_counts(seqs, start, move, emit_t), strict=True)], hmm.log_likelihoods(seqs, start, move, emit_t)
+    monkeypatch.setattr(hmm, "STRETCH", 16)
+    cut = [sum(x) for x in zip(*hmm.all_counts(seqs, start, move, emit_t), strict=True)], hmm.log_likelihoods(seqs, start, move, emit_t)
+    assert all(np.allclose(a, b) for a, b in zip(whole[0], cut[0], strict=True)) and np.allclose(whole[1], cut[1])
+    assert sum(x.sum() for x in whole[0][:1]) == pytest.approx(5) and whole[0][2].sum() == pytest.approx(329)
+
+
+def test_a_very_long_text_is_scored(spark, docs_of):
+    long = " ".join(f"w{i % 5000}" for i in range(400_000))
+    got = {r["doc_id"]: r for r in hmm.score(docs_of([(1, long), (2, "w1 w2"), (3, None), (4, "w7 w8 w9")])).collect()}
+    assert got[1]["n_tokens"] == 400_001 and np.isfinite(got[1]["score"]) and got[1]["score"] < got[2]["score"]
+
+
+def test_names_of_paragraphs():
+    page = '<body><div class="site-notice">x</div><article><p class="notice-of-meeting">They meet.</p><p id="share-price">It rose.</p><p class="cookie-notice">We bake.</p><div class="share-bar">Share</div></article></body>'
+    assert html_extract.article(page, None) == "They meet.\nIt rose."
