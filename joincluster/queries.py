@@ -33,6 +33,8 @@ WR = {"qty": CONT, "disc_cents": CONT, "size": CONT, "brand": CAT, "type": CAT,
 WS = {"qty_a": CONT, "flag_a": CAT, "qty_b": CONT, "flag_b": CAT}
 WF = {"units": CONT, "promo": CAT, "class": CAT, "nation": CAT, "no_oil": CAT, "weekend": CAT}
 WY = {"event_type": CAT, "segment": CAT, "nation": CAT, "region": CAT, "priority": CAT, "status": CAT, "n_orders": CONT}
+#: The workloads with all their features; the shorter lists above are what the quadratic SQL of the grids can follow.
+WF_ALL, WY_ALL, WT_ALL = WF | {"price": CONT, "tx_n": CONT, "oil": CONT}, WY | {"value": CONT}, {"n_chars": CONT, "lang": CAT, "source": CAT, "quality": CAT, "toxic": CAT}
 WC = {"segment": CAT, "priority": CAT, "nation": CAT, "qty": CONT}
 GEO, DAYS = ["custkey", "nation", "region"], ["day", "month", "quarter", "year"]
 
@@ -87,8 +89,9 @@ for _w, _f, _name in (("w_m", "priority", "wm_priority"), ("w_r", "brand", "wr_b
 _add("marginals_all_wr", _marginals("w_r", WR), o.marginals("w_r", WR))
 _add("marginals_all_wm", _marginals("w_m", WM), o.marginals("w_m", WM))
 _add("marginals_all_ws", _marginals("w_s", WS), o.marginals("w_s", WS))
-_add("marginals_all_wy", _marginals("w_y", WY), o.marginals("w_y", WY))
-_add("marginals_all_wf", _marginals("w_f", WF), o.marginals("w_f", WF))
+_add("marginals_all_wy", _marginals("w_y", WY_ALL), o.marginals("w_y", WY_ALL))
+_add("marginals_all_wf", _marginals("w_f", WF_ALL), o.marginals("w_f", WF_ALL))
+_add("marginals_all_wt", _marginals("w_t", WT_ALL), o.marginals("w_t", WT_ALL))
 
 
 def _flat_marginal(spark, sf):
@@ -172,6 +175,8 @@ for _n, _w, _fs, _k in (
     ("wc_k5", "w_c", WC, 5), ("ws_k3", "w_s", WS, 3), ("wt_k5", "w_t", {"lang": CAT, "source": CAT, "quality": CAT, "toxic": CAT}, 5),
 ):
     _add(f"grid_{_n}", _grid(_w, _fs, _k), o.grid(_w, _fs, _k))
+for _n, _w, _fs in (("wf", "w_f", WF_ALL), ("wy", "w_y", WY_ALL), ("wt", "w_t", WT_ALL)):
+    _add(f"grid_{_n}_all_k5", _grid(_w, _fs, 5))
 
 
 def _zero_fill(spark, sf):
@@ -404,7 +409,7 @@ _add("cluster_join_wm_k5", _cluster("w_m", None, 5))
 _add("cluster_join_wm_k20_kappa10", _cluster("w_m", None, 20, 10))
 _add("cluster_join_wr_zscore", _cluster("w_r", None, 5, scaling="zscore"))
 _add("cluster_join_wy_parallel", _cluster("w_y", None, 5, seeding="parallel"))
-_add("cluster_join_wf", _cluster("w_f", WF, 5))
+_add("cluster_join_wf", _cluster("w_f", None, 5))
 _add("cluster_join_wc", _cluster("w_c", None, 5))
 _add("cluster_join_ws_kmedian", _cluster("w_s", None, 4, 3, p=1))
 _add("regularised_l1_wr", _cluster("w_r", ["qty", "size", "brand"], 5, penalty=Penalty("l1", 5000.0)))

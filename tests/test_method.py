@@ -50,7 +50,7 @@ def test_grid_matches_its_definition(toy):
     assert rows(grid_weights(toy, comps)) == rows(grid_weights_flat(toy, comps))
 
 
-@pytest.mark.parametrize("name", ["w_m", "w_c", "w_y", "w_f_lite", "w_t"])
+@pytest.mark.parametrize("name", ["w_m", "w_c", "w_y", "w_f", "w_f_lite", "w_t"])
 def test_grids_of_workloads(spark, name):
     q = wl.ALL[name](spark, SF)
     cal = Calibration(q)
