@@ -42,7 +42,7 @@ def band(documents: DataFrame, rare: float = RARE, common: float = COMMON) -> li
 
 
 def _hashes(df: DataFrame, text: str, out: str, lexicon: list[int]) -> DataFrame:
-    """Adds out: the sub-lexicons' hashes, by density, null for one without terms. Each step is a column, so none is repeated."""
+    """Adds out: the sub-lexicons' hashes of 24 bits, by density, null for one without terms. Each step is a column, so none is repeated."""
     import numpy as np
 
     held = F.lit(np.array(lexicon, dtype=np.int64))
@@ -57,14 +57,15 @@ def _hashes(df: DataFrame, text: str, out: str, lexicon: list[int]) -> DataFrame
         for d in DENSITIES:
             df = df.withColumn(f"_k{s}_{d}", F.filter(last, kept(d)))
             last = f"_k{s}_{d}"
-    parts = [F.when(F.size(f"_k{s}_{d}") > 0, F.xxhash64(f"_k{s}_{d}")) for d in DENSITIES for s in range(SEEDS)]
-    df = df.withColumn(out, F.array(F.xxhash64("_use"), *parts))
+    short = lambda name: F.xxhash64(name).bitwiseAND(F.lit(0xFFFFFF)).cast("int")
+    parts = [F.when(F.size(f"_k{s}_{d}") > 0, short(f"_k{s}_{d}")) for d in DENSITIES for s in range(SEEDS)]
+    df = df.withColumn(out, F.array(short("_use"), *parts))
     return df.drop("_use", *[f"_t{s}" for s in range(SEEDS)], *[f"_k{s}_{d}" for s in range(SEEDS) for d in DENSITIES])
 
 
 def printed(hashes: Column) -> Column:
     """The fingerprint as text: six hex digits a hash, a dash where there is none."""
-    return F.array_join(F.transform(hashes, lambda h: F.coalesce(F.lower(F.lpad(F.hex(h.bitwiseAND(F.lit(0xFFFFFF))), 6, "0")), F.lit("-"))), ".")
+    return F.array_join(F.transform(hashes, lambda h: F.coalesce(F.lower(F.lpad(F.hex(h), 6, "0")), F.lit("-"))), ".")
 
 
 def likeness(x: str, y: str) -> Column:
