@@ -36,6 +36,8 @@ SHINGLE, PERCENT = 4, 85
 FREQUENT_FROM, FREQUENT_TASK, FREQUENT_MOST = 3, 1 << 14, 1 << 17
 #: Buckets of at most FEW sets are searched pair by pair, so pairs grow with the buckets' rows; larger ones by blocks of about BLOCK sets.
 FEW, BLOCK = 32, 200
+#: Bits a shingle of the sketches in blocks: of sets just under the threshold, most pairs pass one bit a shingle and few pass eight.
+FINE = 8
 
 
 def shingle_sets(texts: pa.Array, size: int) -> Iterator[np.ndarray]:
@@ -142,8 +144,9 @@ def _slots(n: int) -> int:
     return max(64, 1 << (n - 1).bit_length())
 
 
-def parity(s: np.ndarray) -> bytes:
-    bits = _slots(len(s))
+def parity(s: np.ndarray, per: int = 1) -> bytes:
+    """A set's sketch: the parity of the number of its hashes in each slot, at least per slots a hash."""
+    bits = _slots(per * len(s))
     return np.packbits(np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1 == 1, bitorder="little").tobytes()
 
 
@@ -203,6 +206,19 @@ def _sketches(sets: DataFrame, read: DataFrame, reps: DataFrame) -> DataFrame:
     return _single(c.semi(read.select("row", "set", *SKETCH), ids, "row").drop("row"), ids.count())
 
 
+def _fine(sets: DataFrame, sketches: DataFrame, documents: DataFrame, reps: DataFrame, size: int) -> DataFrame:
+    """sketches of the sets of a table (column set), with FINE bits a shingle, from their texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column("set"), pa.array([parity(np.frombuffer(x.as_buffer(), np.uint64), FINE) for x in b.column("body")], pa.binary())], ["set", "bits"])
+
+    bodies = _bodies(sets, documents, reps, size)
+    out = c.written(sketches.drop("bits").join(bodies.mapInArrow(run, "set long, bits binary"), "set").select("set", *SKETCH))
+    c.dropped(bodies)
+    return out
+
+
 def _bodies(sets: DataFrame, documents: DataFrame, reps: DataFrame, size: int) -> DataFrame:
     """set, body (its sorted hashes) of the sets of a table (column set), read again from their texts."""
     ids = _rows_of(sets, reps)
@@ -291,10 +307,19 @@ def _ends(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.col("a").alias("set")).unionByName(pairs.select(F.col("b").alias("set")))
 
 
-def _compare(percent: int):
-    """The pairs of two blocks' sets, of different components, that pass the further orders and the sketches."""
+def _compare(percent: int, forest: bool = False):
+    """The pairs of two blocks' sets, of different components, that pass the further orders and the sketches. As a forest:
+    only pairs that join what the pairs before them left apart, so fewer than there are sets.
+    """
 
     def run(table: pa.Table) -> pa.Table:
+        joined: dict[int, int] = {}
+
+        def top(x: int) -> int:
+            while (y := joined.get(x, x)) != x:
+                joined[x] = x = joined.get(y, y)
+            return x
+
         blocks = [table["x"][0].as_py()]
         if table["y"][0].as_py() != blocks[0]:
             blocks.append(table["y"][0].as_py())
@@ -305,8 +330,10 @@ def _compare(percent: int):
         out = []
         for at, (i, r, n, e, bits) in enumerate(held[0]):
             for j, q, m, f, other in held[1] if len(held) > 1 else held[0][at + 1 :]:
-                if r != q and _near(n, m, bits, other, percent) and _agree(n, m, e, f, percent):
+                if r != q and (not forest or top(r) != top(q)) and _near(n, m, bits, other, percent) and _agree(n, m, e, f, percent):
                     out.append((min(i, j), max(i, j)))
+                    if forest:
+                        joined[top(r)] = top(q)
         return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
 
     return run
@@ -316,10 +343,11 @@ def _sized(x: str, y: str, percent: int) -> Column:
     return F.least(x, y) * 100 >= F.greatest(x, y) * percent
 
 
-def _block_pairs(wide: DataFrame, sketches: DataFrame, percent: int, block: int) -> DataFrame:
+def _block_pairs(wide: DataFrame, sketches: DataFrame, percent: int, block: int, forest: bool = False, alone: bool = False) -> DataFrame:
     """Candidate pairs inside large buckets (token, set, leader, root, n). A set's home is the leader of its first bucket; a home's
     sets are dealt into blocks by their size band and, where it has many of them, their component. Two blocks meet once, if
-    they share a bucket, their bands are next to each other and they do not hold one and the same component alone.
+    they share a bucket, their bands are next to each other and they do not hold one and the same component alone. With alone,
+    blocks only meet themselves; a forest is that of each meeting.
     """
     # Sizes of linked sets are at most one band apart.
     band = F.floor(F.log(F.col("n").cast("double")) / F.lit(float(np.log(100 / percent)) if percent < 100 else 1.0) + F.lit(1e-9)).cast("int")
@@ -330,11 +358,23 @@ def _block_pairs(wide: DataFrame, sketches: DataFrame, percent: int, block: int)
     own = F.xxhash64("home", "band", "root", F.pmod(F.xxhash64(F.lit(9), "set"), F.ceil(F.col("many") / block)))
     home = c.written(home.select("set", "root", "band", F.when(F.col("many") >= block, own).otherwise(F.xxhash64(F.lit("rest"), "home", "band", F.pmod(F.xxhash64(F.lit(7), "root"), "rest"))).alias("block")))
     held = c.written(wide.join(home.select("set", "block", "band"), "set").groupBy("token", "block").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.min("band").alias("band")))
+    if alone:
+        meet = c.written(held.where("lo != hi").select(F.col("block").alias("x"), F.col("block").alias("y")).distinct())
+        members = sketches.join(home.select("set", "root", "block"), "set")
+        return meet.join(members, F.col("x") == F.col("block")).groupBy("x", "y").applyInArrow(_compare(percent, forest), "a long, b long")
     x, y = (held.select("token", F.col("block").alias(k), F.col("lo").alias(f"lo_{k}"), F.col("hi").alias(f"hi_{k}"), F.col("band").alias(f"band_{k}")) for k in ("x", "y"))
     meet = c.written(x.join(y, "token").where("x <= y and abs(band_x - band_y) <= 1 and (lo_x != hi_x or lo_y != hi_y or lo_x != lo_y)").select("x", "y").distinct())
     members = sketches.join(home.select("set", "root", "block"), "set")
     rows = meet.select("x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block")).join(members, "block")
-    return rows.groupBy("x", "y").applyInArrow(_compare(percent), "a long, b long")
+    return rows.groupBy("x", "y").applyInArrow(_compare(percent, forest), "a long, b long")
+
+
+def _several(buckets: DataFrame, links: DataFrame, reps: DataFrame) -> DataFrame:
+    """token, set, leader, root, members, n of the buckets of over two sets that the links leave in several components."""
+    root = c.components(links).select(F.col("node").alias("set"), "root")
+    wide = buckets.join(root, "set", "left").select("token", "set", "leader", F.coalesce("root", "set").alias("root"))
+    several = wide.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("members")).where("lo != hi and members > 2").select("token", "members")
+    return c.written(wide.join(several, "token").join(reps.select("set", "n"), "set"))
 
 
 def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame, DataFrame]:
@@ -352,21 +392,32 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
     near = _candidates(stars, _sketches(_ends(stars), read, reps), percent)
     links = c.written(_verified(near, _bodies(_ends(near), documents, reps, size), percent))
 
-    root = c.components(links).select(F.col("node").alias("set"), "root")
-    wide = buckets.join(root, "set", "left").select("token", "set", "leader", F.coalesce("root", "set").alias("root"))
-    several = wide.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("members")).where("lo != hi and members > 2").select("token", "members")
-    wide = c.written(wide.join(several, "token").join(reps.select("set", "n"), "set"))
+    # A large group whose sets do not link with their leader has about as many candidates as pairs of sets. So forests of candidates
+    # come first, in each block and then between blocks; what their links join is not compared again.
+    wide = _several(buckets, links, reps)
+    large = wide.where(F.col("members") > FEW).select("set")
+    sketches = _sketches(large, read, reps)
+    fine = _fine(large, sketches, documents, reps, size)
+    c.dropped(sketches)
+    for alone in (True, False):
+        many = wide.where(F.col("members") > FEW)
+        if many.isEmpty():
+            break
+        near = c.written(_block_pairs(many, fine, percent, BLOCK, forest=True, alone=alone).distinct())
+        links = c.written(links.unionByName(_verified(near, _bodies(_ends(near), documents, reps, size), percent)).distinct())
+        c.dropped(wide)
+        wide = _several(buckets, links, reps)
     few = wide.where((F.col("members") <= FEW) & (F.col("set") != F.col("leader")))
     x, y = (few.select("token", F.col("set").alias(k), F.col("n").alias(f"n_{k}"), F.col("root").alias(f"root_{k}")) for k in ("a", "b"))
     pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
     many = wide.where(F.col("members") > FEW)
-    sketches = _sketches(_ends(pairs).unionByName(many.select("set")), read, reps)
-    more = c.written(_candidates(pairs, sketches, percent).unionByName(_block_pairs(many, sketches, percent, BLOCK)).distinct())
+    sketches = _sketches(_ends(pairs), read, reps)
+    more = c.written(_candidates(pairs, sketches, percent).unionByName(_block_pairs(many, fine, percent, BLOCK)).distinct())
     links = c.written(links.unionByName(_verified(more, _bodies(_ends(more), documents, reps, size), percent)).distinct())
 
     roots = c.components(links).withColumnRenamed("node", "set")
     out = c.written(read.select("doc_id", "row", "n", "set").join(roots, "set", "left").select("doc_id", "row", "n", "set", F.coalesce("root", "set").alias("root")))
-    c.dropped(read, reps, buckets, wide, sketches)
+    c.dropped(read, reps, buckets, wide, sketches, fine)
     return out, links
 
 
