@@ -395,13 +395,15 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
     # A large group whose sets do not link with their leader has about as many candidates as pairs of sets. So forests of candidates
     # come first, in each block and then between blocks; what their links join is not compared again.
     wide = _several(buckets, links, reps)
-    large = wide.where(F.col("members") > FEW).select("set")
-    sketches = _sketches(large, read, reps)
-    fine = _fine(large, sketches, documents, reps, size)
-    c.dropped(sketches)
+    many = wide.where(F.col("members") > FEW)
+    fine = None
+    if not many.isEmpty():
+        sketches = _sketches(many.select("set"), read, reps)
+        fine = _fine(many.select("set"), sketches, documents, reps, size)
+        c.dropped(sketches)
     for alone in (True, False):
         many = wide.where(F.col("members") > FEW)
-        if many.isEmpty():
+        if fine is None or many.isEmpty():
             break
         near = c.written(_block_pairs(many, fine, percent, BLOCK, forest=True, alone=alone).distinct())
         links = c.written(links.unionByName(_verified(near, _bodies(_ends(near), documents, reps, size), percent)).distinct())
@@ -412,12 +414,14 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
     pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
     many = wide.where(F.col("members") > FEW)
     sketches = _sketches(_ends(pairs), read, reps)
-    more = c.written(_candidates(pairs, sketches, percent).unionByName(_block_pairs(many, fine, percent, BLOCK)).distinct())
+    more = _candidates(pairs, sketches, percent)
+    if fine is not None:
+        more = c.written(more.unionByName(_block_pairs(many, fine, percent, BLOCK)).distinct())
     links = c.written(links.unionByName(_verified(more, _bodies(_ends(more), documents, reps, size), percent)).distinct())
 
     roots = c.components(links).withColumnRenamed("node", "set")
     out = c.written(read.select("doc_id", "row", "n", "set").join(roots, "set", "left").select("doc_id", "row", "n", "set", F.coalesce("root", "set").alias("root")))
-    c.dropped(read, reps, buckets, wide, sketches, fine)
+    c.dropped(read, reps, buckets, wide, sketches, *([] if fine is None else [fine]))
     return out, links
 
 
