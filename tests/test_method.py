@@ -287,3 +287,14 @@ def test_steps_of_medians_and_penalties(spark):
     grid = np.linspace(0, 1, 2001)
     best = [grid[np.argmin(10 * n * (grid - v) ** 2 + 4 * grid)] for n, v in ((1.0, 0.4), (0.5, 0.6))]
     assert np.allclose(got[0], best, atol=1e-3)
+
+
+def test_ties_of_distances_go_to_the_smallest_cluster():
+    from joincluster.operators.lloyd import _sweep
+
+    assert 0.1 + 0.2 > 0.3  # equal but for the last bit
+    tables = [np.array([[0.1, 0.3, 0.3]]), np.array([[0.2, 0.0, 1e-12]])]
+    a, d = _sweep(np.zeros((1, 2), int), np.ones(1), tables)
+    assert a.tolist() == [0] and d.tolist() == [0.1 + 0.2]
+    a, _ = _sweep(np.zeros((1, 2), int), np.ones(1), [np.array([[1.0, 1 - 1e-8]]), np.zeros((1, 2))])
+    assert a.tolist() == [1]  # a difference that counts
