@@ -1,6 +1,7 @@
 """The plans and the method on small tables: bag semantics, left joins, cycles, distances, guarantees."""
 
 import itertools
+from dataclasses import replace
 
 import numpy as np
 import pytest
@@ -298,3 +299,45 @@ def test_ties_of_distances_go_to_the_smallest_cluster():
     assert a.tolist() == [0] and d.tolist() == [0.1 + 0.2]
     a, _ = _sweep(np.zeros((1, 2), int), np.ones(1), [np.array([[1.0, 1 - 1e-8]]), np.zeros((1, 2))])
     assert a.tolist() == [1]  # a difference that counts
+
+
+@pytest.mark.parametrize("name", ["toy", "w_m", "w_c", "w_f", "w_y"])
+def test_the_counted_matrix_is_the_matrix(spark, toy, name):
+    q = toy if name == "toy" else wl.ALL[name](spark, SF)
+    q = replace(q, relations={k: d.withColumn("__w", F.lit(2)) if k == q.root else d for k, d in q.relations.items()})
+    fs = [f.name for f in q.features]
+    got = baseline.counted(q)
+    want = baseline.materialise(q).groupBy(*fs).agg(F.sum("w").alias("w"))
+    assert rows(got.select(*fs, "w")) == rows(want)
+
+
+def test_the_counted_matrix_never_holds_the_joined_rows(spark):
+    """1,000 x 1,000 equal rows: every join under the plan yields one row."""
+    r = spark.range(1000).select(F.lit(1).alias("b"), F.lit("x").alias("a"))
+    s = spark.range(1000).select(F.lit(1).alias("b"), F.lit("y").alias("c"))
+    q = FeatureQuery("big", {"r": r, "s": s}, [Edge("r", "s", (("b", "b"),))], [Feature("a", "r", "a"), Feature("c", "s", "c")], "r")
+    x = baseline.counted(q)
+    assert rows(x) == [("x", "y", 1_000_000)]
+    plan = x._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Aggregate", plan.index("Join")) > 0
+
+
+def test_kmeans_on_the_bag_reads_every_row(spark):
+    """As many clusters as different rows: no cost. Dimensions follow the rows' weights, then names."""
+    x = wl.w_m(spark, SF).only("status", "region")
+    cost, _ = baseline.standard_kmeans(x, 40, build=baseline.counted)
+    assert cost < 1e-6
+    _, model = baseline.vectors(x, bag := baseline.counted(x))
+    want = [r["status"] for r in bag.groupBy("status").agg(F.sum("w").alias("w")).orderBy(F.desc("w"), "status").collect()]
+    assert list(model.stages[0].labels) == want
+    centers = baseline.sample_kmeans(x, 3, 0.2).collect()
+    assert [r["cluster"] for r in centers] == [0, 1, 2] and all(len(r["center"]) == 3 + len(model.stages[1].labels) for r in centers)
+
+
+def test_a_drawn_bag_is_a_sample_of_its_rows(spark):
+    x = spark.range(50).select(F.col("id").cast("string").alias("a"), (F.col("id") * 1000).alias("w"))
+    got = {r["a"]: r["w"] for r in baseline.drawn(x, 0.2).collect()}
+    assert got == {r["a"]: r["w"] for r in baseline.drawn(x.repartition(7), 0.2).collect()}
+    assert "0" not in got and all(0 < w <= 1000 * int(a) for a, w in got.items())
+    total = sum(r["w"] for r in x.collect())
+    assert abs(sum(got.values()) - 0.2 * total) < 6 * (0.16 * total) ** 0.5
