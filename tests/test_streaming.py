@@ -80,3 +80,23 @@ def test_refresh_and_drift(spark, events, comps, tmp_path):
     one, two = (spark.createDataFrame([(0.0, a), (1.0, b)], "x double, w long") for a, b in ((1, 1), (1, 3)))
     assert stream.drift(one, two) == pytest.approx(0.25)
     assert sorted(r["w"] for r in stream.merged([cells, cells]).collect()) == sorted(2 * r["w"] for r in cells.collect())
+
+
+def test_sessions_never_come_to_the_driver(spark, tmp_path, monkeypatch):
+    """The query's sessions of all batches, against a gap count; no memory sink holds them."""
+    from joincluster import queries
+
+    monkeypatch.setattr(stream, "run_to_table", None)
+    got = {r["user_id"]: (r["sessions"], r["n"]) for r in queries.QUERIES["stream_session_counts"](spark, SF).collect()}
+    want = {}
+    for r in wl.tables(spark, SF, "events")[0].select("user_id", F.col("ts").cast("timestamp").cast("double").alias("t")).orderBy("user_id", "t").collect():
+        s, n, last = want.get(r["user_id"], (0, 0, None))
+        want[r["user_id"]] = (s + (last is None or r["t"] >= last + 6 * 3600), n + 1, r["t"])
+    assert got == {u: v[:2] for u, v in want.items()}
+
+
+def test_a_stream_without_events_gives_an_empty_table(spark, events, tmp_path):
+    events.limit(0).write.parquet(str(tmp_path / "in"))
+    counts = lambda t: t.groupBy("user_id").agg(F.count("*").alias("sessions"))
+    got = stream.run_to_files(stream.stream_sessions(stream.event_stream(spark, str(tmp_path / "in"))), str(tmp_path / "out"), str(tmp_path / "state"), counts)
+    assert got.columns == ["user_id", "sessions"] and got.count() == 0
