@@ -341,3 +341,19 @@ def test_a_drawn_bag_is_a_sample_of_its_rows(spark):
     assert "0" not in got and all(0 < w <= 1000 * int(a) for a, w in got.items())
     total = sum(r["w"] for r in x.collect())
     assert abs(sum(got.values()) - 0.2 * total) < 6 * (0.16 * total) ** 0.5
+
+
+def test_bounds_and_widths_read_their_tables(spark, tmp_path):
+    """Other lines give other rows: 3 lines of quantities 1, 2, 2 have their mean at 5/3 and one whole center at 1."""
+    from joincluster import queries
+    from joincluster.operators import bounds
+
+    li = wl.tables(spark, SF, "lineitem")[0].limit(3).coalesce(1).select("*", F.monotonically_increasing_id().alias("i"))
+    li = li.withColumns({"l_quantity": F.when(F.col("i") == 0, 1.0).otherwise(2.0), "l_discount": F.lit(0.05), "l_returnflag": F.lit("R"), "l_linestatus": F.lit("F")})
+    li.withColumn("l_orderkey", F.when(F.col("i") > 0, F.col("l_orderkey"))).drop("i").write.parquet(str(tmp_path / "lineitem.parquet"))
+    for t in ("orders", "part", "supplier"):
+        wl.tables(spark, SF, t)[0].limit(1).write.parquet(str(tmp_path / f"{t}.parquet"))
+    got = {(r["kind"], r["b"]): (r["lines"], r["a"], r["bound"]) for r in queries.QUERIES["bounds_table"](spark, str(tmp_path)).collect()}
+    assert got[("approx", 1.0)] == ("RF", 3.0, round(bounds.approx_bound(3, 1), 9)) and got[("lower", 2.0)][1] == 2.0
+    got = {r["shape"]: (r["longest"], r["most_rows"]) for r in queries.QUERIES["widths"](spark, str(tmp_path)).collect()}
+    assert got == {"triangle": (3, 5.0), "star": (2, 2.0), "path": (3, 9.0)}
