@@ -357,3 +357,22 @@ def test_bounds_and_widths_read_their_tables(spark, tmp_path):
     assert got[("approx", 1.0)] == ("RF", 3.0, round(bounds.approx_bound(3, 1), 9)) and got[("lower", 2.0)][1] == 2.0
     got = {r["shape"]: (r["longest"], r["most_rows"]) for r in queries.QUERIES["widths"](spark, str(tmp_path)).collect()}
     assert got == {"triangle": (3, 5.0), "star": (2, 2.0), "path": (3, 9.0)}
+
+
+@pytest.mark.parametrize("name", ["w_m", "w_c", "w_f"])
+def test_induced_cost_is_that_of_the_rows(spark, name):
+    """Row by row: each goes to its cell's cluster. Raw values hang from the root where no join is a left one."""
+    q = wl.ALL[name](spark, SF)
+    q = q.only(*[f.name for f in q.features if f.name in ("priority", "suppkey", "segment", "qty", "units", "class", "no_oil")])
+    m = Calibration(q).marginals().persist()
+    comps = solve(q, m, 3)
+    cells = grid_weights(q, comps).persist()
+    c = grid_lloyd(cells, comps, seed_top(cells, comps, 3), max_iter=2).centroids
+    x = objective.row_distances(baseline.counted(q), q, c, m).withColumns({f"c_{s.name}": s.encode(F.col(s.name)) for s in comps.subspaces})
+    from joincluster.operators.lloyd import nearest
+
+    near = nearest(cells, c).drop("w", "d")
+    want = x.join(near, [f"c_{s.name}" for s in comps.subspaces]).agg(F.sum(F.col("w") * F.element_at("ds", F.col("cluster") + 1))).first()[0]
+    assert objective.induced_cost(q, comps, c, m) == pytest.approx(want, rel=1e-9)
+    if name == "w_m":
+        assert objective._rooted(q, "suppkey").root == "supplier"
