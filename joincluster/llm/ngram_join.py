@@ -4,7 +4,9 @@ A set of n shingles with threshold T% can only link with another if both share a
 first n - ceil(T n / 100) + 1 tokens of any fixed global order, and at least l tokens among the
 first n - ceil(T n / 100) + l. The first order makes the candidate pairs, two further orders must
 agree (with l > 1) before any pair is verified. All orders put the shingles that many documents
-share last and sort the rest by a seeded hash.
+share last, the most frequent ones at the end, and sort the rest by a seeded hash; the first one by how common their words are before
+that. Shingles of common words meet by chance, and more often the larger the corpus is, so a prefix
+of shingles of rare words keeps the candidates near the number of texts that do share something.
 
 Equal sets are one class, joined only once. Inside the bucket of a prefix token the members are
 first compared with one leader. Only buckets that then hold several components are searched further:
@@ -33,7 +35,9 @@ from . import common as c
 SHINGLE, PERCENT = 4, 85
 #: Shared shingles are counted exactly within a task; those seen so often there are named as frequent.
 #: The list only shapes the orders: any list gives the same links.
-FREQUENT_FROM, FREQUENT_TASK, FREQUENT_MOST = 3, 1 << 14, 1 << 17
+FREQUENT_FROM, FREQUENT_TASK, FREQUENT_MOST = 3, 1 << 16, 1 << 18
+#: Words are told apart by a slot of SLOT_BITS bits; so many slots are named as common in a task and in all. They only shape the first order.
+SLOT_BITS, COMMON_TASK, COMMON_MOST = 20, 1 << 14, 1 << 17
 #: Buckets of at most FEW sets are searched pair by pair, so pairs grow with the buckets' rows; larger ones by blocks of about BLOCK sets.
 FEW, BLOCK = 32, 200
 #: Bits a shingle of the sketches in blocks: of sets just under the threshold, most pairs pass one bit a shingle and few pass eight.
@@ -42,8 +46,18 @@ FINE = 8
 
 def shingle_sets(texts: pa.Array, size: int) -> Iterator[np.ndarray]:
     """The sorted distinct 64-bit shingle hashes of each text; a text of fewer words is one shingle."""
+    return (s for s, _ in _weighed_sets(texts, size, None))
+
+
+def _weighed_sets(texts: pa.Array, size: int, common: np.ndarray | None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """shingle_sets, and how common each shingle's words are (0 to 1023), by the classes of common_words; all 0 without them."""
     h, _, first, last = c.word_hashes(texts)
     n = max(0, len(h) - size + 1)
+    if common is not None:
+        each, sums = common[_slot(h)], np.zeros(n, np.int64)
+        for i in range(size):
+            sums += each[i : i + n]
+        sums = np.minimum(sums, 1023).astype(np.uint64)
     with np.errstate(over="ignore"):
         all_ = h[:n].copy()
         for i in range(1, size):
@@ -51,16 +65,21 @@ def shingle_sets(texts: pa.Array, size: int) -> Iterator[np.ndarray]:
         all_ = c.mixed(all_, 100)
         for lo, hi in zip(first.tolist(), last.tolist(), strict=True):
             if hi - lo >= size:
-                s = np.sort(all_[lo : hi - size + 1])
+                s = all_[lo : hi - size + 1]
+                if common is not None:
+                    at = np.argsort(s)
+                    s, w = s[at], sums[lo : hi - size + 1][at]
+                else:
+                    s, w = np.sort(s), np.zeros(len(s), np.uint64)
                 keep = np.empty(len(s), bool)
                 keep[0] = True
                 np.not_equal(s[1:], s[:-1], out=keep[1:])
-                yield s[keep]
+                yield s[keep], w[keep]
             elif hi > lo:
                 w = h[lo:hi] * np.arange(3, 3 + 2 * (hi - lo), 2, dtype=np.uint64)
-                yield c.mixed(np.array([np.bitwise_xor.reduce(c.mixed(w, hi - lo))]), 101 + hi - lo)
+                yield c.mixed(np.array([np.bitwise_xor.reduce(c.mixed(w, hi - lo))]), 101 + hi - lo), np.zeros(1, np.uint64)
             else:
-                yield np.empty(0, np.uint64)
+                yield np.empty(0, np.uint64), np.empty(0, np.uint64)
 
 
 def _lists(arrays: list[np.ndarray]) -> pa.Array:
@@ -75,13 +94,45 @@ def set_hash(s: np.ndarray) -> int:
     return int(np.uint64(xxhash.xxh3_64_intdigest(s.tobytes())).view(np.int64))
 
 
-def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
-    """At most FREQUENT_MOST shingles that many documents share, from exact counts within each task."""
+def _slot(words: np.ndarray) -> np.ndarray:
+    return (words >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
+
+
+def _texts(documents: DataFrame) -> DataFrame:
+    """The texts of documents in few partitions, for counts of which each task returns a list."""
+    parts = max(1, documents.sparkSession.sparkContext.defaultParallelism * 2)
+    read = documents.select("text")
+    many = read.rdd.getNumPartitions()
+    return read.coalesce(max(parts, many // 8)) if many > 4 * parts else read
+
+
+def common_words(documents: DataFrame) -> np.ndarray:
+    """A class for each slot of words, 0 for rare ones and up to 63, four to each doubling of the slot's count over all documents."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n = np.zeros(1 << SLOT_BITS, np.int64)
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                n += np.bincount(_slot(c.word_hashes(b.column("text").slice(at, 500))[0]), minlength=len(n))
+        most = np.argsort(-n, kind="stable")[: min(COMMON_TASK, np.count_nonzero(n))]
+        yield pa.RecordBatch.from_arrays([pa.array(most), pa.array(n[most])], ["slot", "n"])
+
+    top = _texts(documents).mapInArrow(count, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "slot").limit(COMMON_MOST).toArrow()
+    n, out = top.column("n").to_numpy(), np.zeros(1 << SLOT_BITS, np.uint8)
+    if len(n):
+        out[top.column("slot").to_numpy()] = np.minimum(1 + np.round(4 * np.log2(n / n.min())), 63)
+    return out
+
+
+def frequent_shingles(documents: DataFrame, size: int = SHINGLE, common: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """At most FREQUENT_MOST shingles that many documents share, sorted, from exact counts within each task, and a class of each (1 to 31), one to
+    a doubling of its count. Of each document the half of rarer words is counted; the others come late by their words.
+    """
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept = np.empty(0, np.uint64), np.empty(0, np.int64)
         held: list[np.ndarray] = []
-        most = 3_000_000
+        most = 1_500_000
 
         def merge():
             v, n = np.unique(np.concatenate(held), return_counts=True)
@@ -95,7 +146,9 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
         total = 0
         for b in batches:
             for at in range(0, b.num_rows, 500):
-                for s in shingle_sets(b.column("text").slice(at, 500), size):
+                for s, w in _weighed_sets(b.column("text").slice(at, 500), size, common):
+                    if len(s) > 1:
+                        s = s[w <= np.partition(w, len(w) // 2)[len(w) // 2]]
                     held.append(s)
                     total += len(s)
                     if total > most:
@@ -104,31 +157,29 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE) -> np.ndarray:
             kept = merge()
         yield pa.RecordBatch.from_arrays([pa.array(kept[0].view(np.int64)), pa.array(kept[1])], ["shingle", "n"])
 
-    parts = max(1, documents.sparkSession.sparkContext.defaultParallelism * 2)
-    read = documents.select("text")
-    if read.rdd.getNumPartitions() > 4 * parts:
-        read = read.coalesce(max(parts, read.rdd.getNumPartitions() // 8))
     top = (
-        read.mapInArrow(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= FREQUENT_FROM)
-        .orderBy(F.desc("n"), "shingle").limit(FREQUENT_MOST).select("shingle").toArrow()
+        _texts(documents).mapInArrow(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= FREQUENT_FROM)
+        .orderBy(F.desc("n"), "shingle").limit(FREQUENT_MOST).toArrow()
     )
-    return np.sort(top.column("shingle").to_numpy().view(np.uint64))
+    s, n = top.column("shingle").to_numpy().view(np.uint64), top.column("n").to_numpy()
+    at = np.argsort(s)
+    return s[at], np.minimum(np.log2(np.maximum(n[at], 2)), 31).astype(np.uint8)
 
 
 def _prefix(s: np.ndarray, order: int, length: int, late: np.ndarray) -> np.ndarray:
     length = min(length, len(s))
     if length in (0, len(s)):
         return s[:length]
-    rank = (c.mixed(s, order) >> np.uint64(1)) | late
+    rank = (c.mixed(s, order) >> np.uint64(15)) | late
     return s[np.argpartition(rank, length - 1)[:length]]
 
 
-def _late(s: np.ndarray, frequent: np.ndarray) -> np.ndarray:
-    """The bit that puts frequent shingles last in every order."""
+def _late(s: np.ndarray, frequent: np.ndarray, classes: np.ndarray | None = None) -> np.ndarray:
+    """The high bits that put frequent shingles last in every order, by their classes if there are any."""
     if not len(s) or not len(frequent):
         return np.zeros(len(s), np.uint64)
     i = np.minimum(np.searchsorted(frequent, s), len(frequent) - 1)
-    return (frequent[i] == s).astype(np.uint64) << np.uint64(63)
+    return np.where(frequent[i] == s, 1 if classes is None else classes[i], 0).astype(np.uint64) << np.uint64(59)
 
 
 def _first(n: int, percent: int) -> int:
@@ -164,7 +215,7 @@ def _least(n: int, percent: int) -> int:
     return max(1, _first(n, percent) // 2)
 
 
-def _read(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -> DataFrame:
+def _read(documents: DataFrame, frequent: tuple[np.ndarray, np.ndarray], common: np.ndarray, size: int, percent: int) -> DataFrame:
     """doc_id, row, n, set (hash of the set, null if empty), p1 (prefix under the first order), e2, e3 (longer ones of two further orders, as 16-bit hashes), bits."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,12 +223,12 @@ def _read(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -
             for at in range(0, batch.num_rows, 1000):
                 b = batch.slice(at, 1000)
                 ns, sets, out, e2, e3, bits = [], [], [], [], [], []
-                for s in shingle_sets(b.column("text"), size):
-                    n, late = len(s), _late(s, frequent)
+                for s, w in _weighed_sets(b.column("text"), size, common):
+                    n, late = len(s), _late(s, *frequent)
                     first, more = _first(n, percent), _least(n, percent) - 1
                     ns.append(n)
                     sets.append(set_hash(s) if n else None)
-                    out.append(_prefix(s, 0, first, late))
+                    out.append(_prefix(s, 0, first, late | w << np.uint64(49)))
                     e2.append(_hashes16(_prefix(s, 1, first + more, late)) if n else None)
                     e3.append(_hashes16(_prefix(s, 2, first + more, late)) if n else None)
                     bits.append(parity(s) if n else None)
@@ -192,7 +243,11 @@ def _read(documents: DataFrame, frequent: np.ndarray, size: int, percent: int) -
 def _single(rows: DataFrame, many: int) -> DataFrame:
     """rows, written, with one of each set; many is the number of sets, and only where rows repeat are there more."""
     rows = c.written(rows)
-    return rows if rows.count() <= many else c.written(rows.dropDuplicates(["set"]))
+    if rows.count() <= many:
+        return rows
+    out = c.written(rows.dropDuplicates(["set"]))
+    c.dropped(rows)
+    return out
 
 
 def _rows_of(sets: DataFrame, reps: DataFrame) -> DataFrame:
@@ -283,8 +338,10 @@ def _candidates(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFram
         side = lambda x: sketches.select(F.col("set").alias(x), *[F.col(k).alias(f"{k}_{x}") for k in columns])
         return c.written(pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").mapInArrow(run(columns, passes), "a long, b long"))
 
-    pairs = step(pairs, ["n", "bits"], lambda n, m, x, y: _near(n, m, x, y, percent))
-    return step(pairs, ["n", "e2", "e3"], lambda n, m, x2, y2, x3, y3: _agree(n, m, (_numbered(x2), _numbered(x3)), (_numbered(y2), _numbered(y3)), percent))
+    near = step(pairs, ["n", "bits"], lambda n, m, x, y: _near(n, m, x, y, percent))
+    out = step(near, ["n", "e2", "e3"], lambda n, m, x2, y2, x3, y3: _agree(n, m, (_numbered(x2), _numbered(x3)), (_numbered(y2), _numbered(y3)), percent))
+    c.dropped(near)
+    return out
 
 
 def _verified(pairs: DataFrame, bodies: DataFrame, percent: int) -> DataFrame:
@@ -303,6 +360,15 @@ def _verified(pairs: DataFrame, bodies: DataFrame, percent: int) -> DataFrame:
     return pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b").select("a", "b", "body_a", "body_b").mapInArrow(run, "a long, b long")
 
 
+def _linked(pairs: DataFrame, documents: DataFrame, reps: DataFrame, size: int, percent: int, links: DataFrame | None = None) -> DataFrame:
+    """Those (a, b) of pairs, a written table, whose sets link, with links before them; written, and the pairs and what was read for them go."""
+    bodies = _bodies(_ends(pairs), documents, reps, size)
+    found = _verified(pairs, bodies, percent)
+    out = c.written(found if links is None else links.unionByName(found).distinct())
+    c.dropped(pairs, bodies, *([] if links is None else [links]))
+    return out
+
+
 def _ends(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.col("a").alias("set")).unionByName(pairs.select(F.col("b").alias("set")))
 
@@ -379,8 +445,9 @@ def _several(buckets: DataFrame, links: DataFrame, reps: DataFrame) -> DataFrame
 
 def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(doc_id, row, n, set, root) of every row of documents (doc_id, row, text), null roots where there are no links; and the links (a, b) between sets that join them."""
-    frequent = frequent_shingles(documents, size)
-    read = c.written(_read(documents, frequent, size, percent))
+    common = common_words(documents)
+    frequent = frequent_shingles(documents, size, common)
+    read = c.written(_read(documents, frequent, common, size, percent))
     reps = c.written(read.where("set is not null").groupBy("set").agg(F.min("row").alias("row"), F.min("n").alias("n")))
 
     tokens = read.where("set is not null").select(F.explode("p1").alias("token"), "set")
@@ -389,8 +456,10 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
     stars = buckets.where("set != leader").select(F.col("leader").alias("a"), F.col("set").alias("b")).distinct()
     long = lambda k: reps.select(F.col("set").alias(k), F.col("n").alias(f"n_{k}"))
     stars = c.written(stars.join(long("a"), "a").join(long("b"), "b").where(_sized("n_a", "n_b", percent)).select("a", "b"))
-    near = _candidates(stars, _sketches(_ends(stars), read, reps), percent)
-    links = c.written(_verified(near, _bodies(_ends(near), documents, reps, size), percent))
+    sketches = _sketches(_ends(stars), read, reps)
+    near = _candidates(stars, sketches, percent)
+    c.dropped(stars, sketches)
+    links = _linked(near, documents, reps, size, percent)
 
     # A large group whose sets do not link with their leader has about as many candidates as pairs of sets. So forests of candidates
     # come first, in each block and then between blocks; what their links join is not compared again.
@@ -406,22 +475,24 @@ def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame,
         if fine is None or many.isEmpty():
             break
         near = c.written(_block_pairs(many, fine, percent, BLOCK, forest=True, alone=alone).distinct())
-        links = c.written(links.unionByName(_verified(near, _bodies(_ends(near), documents, reps, size), percent)).distinct())
+        links = _linked(near, documents, reps, size, percent, links)
         c.dropped(wide)
         wide = _several(buckets, links, reps)
     few = wide.where((F.col("members") <= FEW) & (F.col("set") != F.col("leader")))
     x, y = (few.select("token", F.col("set").alias(k), F.col("n").alias(f"n_{k}"), F.col("root").alias(f"root_{k}")) for k in ("a", "b"))
     pairs = c.written(x.join(y, "token").where("a < b and root_a != root_b").where(_sized("n_a", "n_b", percent)).select("a", "b").distinct())
     many = wide.where(F.col("members") > FEW)
+    pairs = c.written(pairs)
     sketches = _sketches(_ends(pairs), read, reps)
     more = _candidates(pairs, sketches, percent)
+    c.dropped(pairs, sketches)
     if fine is not None:
         more = c.written(more.unionByName(_block_pairs(many, fine, percent, BLOCK)).distinct())
-    links = c.written(links.unionByName(_verified(more, _bodies(_ends(more), documents, reps, size), percent)).distinct())
+    links = _linked(more, documents, reps, size, percent, links)
 
     roots = c.components(links).withColumnRenamed("node", "set")
     out = c.written(read.select("doc_id", "row", "n", "set").join(roots, "set", "left").select("doc_id", "row", "n", "set", F.coalesce("root", "set").alias("root")))
-    c.dropped(read, reps, buckets, wide, sketches, *([] if fine is None else [fine]))
+    c.dropped(read, reps, buckets, wide, *([] if fine is None else [fine]))
     return out, links
 
 

@@ -304,3 +304,28 @@ def test_sketches_lose_no_pair():
         links = 100 * both >= 85 * (len(a) + len(b) - both)
         assert ngram_join._bits_differ(ngram_join.parity(a), ngram_join.parity(b)) <= len(a) + len(b) - 2 * both
         assert not links or ngram_join._agree(len(a), len(b), *e, 85) and ngram_join._near(len(a), len(b), ngram_join.parity(a), ngram_join.parity(b), 85)
+
+
+def test_first_order_puts_common_words_late(spark, docs_of):
+    """Texts that share shingles of common words by chance, and no others, have no prefix token in common."""
+    rng = random.Random(6)
+    rows = []
+    for i in range(60):
+        w = [rng.choice(WORDS[:5]) for _ in range(100)]
+        w[50:50] = [f"r{i}x{j}" for j in range(30)]
+        rows.append((i, " ".join(w)))
+    docs = ngram_join._rows(docs_of(rows).select("doc_id", "text"))
+    common = ngram_join.common_words(docs)
+    none = np.empty(0, np.uint64), np.empty(0, np.uint8)
+    plain, weighed = ([set(r["p1"]) for r in ngram_join._read(docs, none, x, 4, 85).select("p1").collect()] for x in (np.zeros_like(common), common))
+    assert len(set().union(*plain)) < sum(map(len, plain)) and len(set().union(*weighed)) == sum(map(len, weighed))
+    got = sorted(tuple(r) for r in ngram_join.near_copies(docs_of(rows + [(99, rows[7][1])])).select("doc_id", "n_shingles", "component_id").collect())
+    assert got == brute(rows + [(99, rows[7][1])], 4, 85)
+
+
+def test_frequent_shingles_come_last_by_their_counts():
+    s = np.arange(1, 9, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    s.sort()
+    late = ngram_join._late(s, s[2:], np.array([5, 1, 4, 2, 6, 3], np.uint8))
+    for order in range(3):
+        assert [set(ngram_join._prefix(s, order, n, late)) for n in range(2, 8)] == [{*s[:2], *(s[2:][i] for i in (1, 3, 5, 2, 0)[: n - 2])} for n in range(2, 8)]
