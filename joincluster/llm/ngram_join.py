@@ -40,6 +40,8 @@ FREQUENT_FROM, FREQUENT_TASK, FREQUENT_MOST = 3, 1 << 16, 1 << 18
 SLOT_BITS, COMMON_TASK, COMMON_MOST = 20, 1 << 14, 1 << 17
 #: Buckets of at most FEW sets are searched pair by pair, so pairs grow with the buckets' rows; larger ones by blocks of about BLOCK sets.
 FEW, BLOCK = 32, 200
+#: Rows (texts, or pairs with their sketches or bodies) that a task hands to Python at once; the default is 10,000.
+BATCH = 500
 #: Bits a shingle of the sketches in blocks: of sets just under the threshold, most pairs pass one bit a shingle and few pass eight.
 FINE = 8
 
@@ -135,9 +137,11 @@ def frequent_shingles(documents: DataFrame, size: int = SHINGLE, common: np.ndar
         most = 1_500_000
 
         def merge():
-            v, n = np.unique(np.concatenate(held), return_counts=True)
+            v = np.concatenate(held)
             held.clear()
-            v, n = v[n >= 2], n[n >= 2]
+            v.sort()
+            v, n = np.unique(v[:-1][v[1:] == v[:-1]], return_counts=True)
+            n += 1  # of a shingle's places all but one equal the next
             v, at = np.unique(np.concatenate([kept[0], v]), return_inverse=True)
             n = np.bincount(at, weights=np.concatenate([kept[1], n]), minlength=len(v)).astype(np.int64)
             best = np.argsort(-n, kind="stable")[:FREQUENT_TASK]
@@ -444,6 +448,12 @@ def _several(buckets: DataFrame, links: DataFrame, reps: DataFrame) -> DataFrame
 
 
 def _classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """_written_classes, in small batches; all that goes through Python is written in it."""
+    with c.batches_of(documents.sparkSession, BATCH):
+        return _written_classes(documents, size, percent)
+
+
+def _written_classes(documents: DataFrame, size: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(doc_id, row, n, set, root) of every row of documents (doc_id, row, text), null roots where there are no links; and the links (a, b) between sets that join them."""
     common = common_words(documents)
     frequent = frequent_shingles(documents, size, common)

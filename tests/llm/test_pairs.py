@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import sys
 import zlib
 
 import numpy as np
@@ -329,3 +330,53 @@ def test_frequent_shingles_come_last_by_their_counts():
     late = ngram_join._late(s, s[2:], np.array([5, 1, 4, 2, 6, 3], np.uint8))
     for order in range(3):
         assert [set(ngram_join._prefix(s, order, n, late)) for n in range(2, 8)] == [{*s[:2], *(s[2:][i] for i in (1, 3, 5, 2, 0)[: n - 2])} for n in range(2, 8)]
+
+
+def test_word_hashes_hold_one_stretch_at_a_time():
+    """Hashing a long text takes little more than the text, since its stretches are short (52 MB with stretches of 1 MB)."""
+    import tracemalloc
+
+    texts = pa.array([("x" * 63 + " ") * (1 << 16)])
+    sys.modules.pop("_joincluster_held", None)  # the powers count too
+    tracemalloc.start()
+    h = c.word_hashes(texts)[0]
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(h) == 1 << 16 and most < 40e6
+
+
+def test_join_hands_small_batches_to_python(spark, docs_of, monkeypatch):
+    """However many rows a task reads, its Python worker gets at most BATCH at once, and the session's own setting comes back."""
+    most, read, name = ngram_join.BATCH, ngram_join._read, "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+    def seen(batches):
+        for b in batches:
+            if b.num_rows > most:
+                raise ValueError(f"a batch of {b.num_rows} rows")
+            yield b
+
+    monkeypatch.setattr(ngram_join, "_read", lambda docs, *a: read(docs.select("doc_id", "row", "text").mapInArrow(seen, "doc_id long, row long, text string"), *a))
+    rows = [(i, f"a{i % 700} b{i % 700} c{i % 700} d") for i in range(1300)]
+    was = spark.conf.get(name)
+    got = sorted(tuple(r) for r in ngram_join.near_copies(docs_of(rows).coalesce(1)).select("doc_id", "n_shingles", "component_id").collect())
+    assert got == brute(rows, 4, 85) and spark.conf.get(name) == was
+    spark.conf.set(name, "70")
+    try:
+        with pytest.raises(ZeroDivisionError), c.batches_of(spark, most):
+            assert spark.conf.get(name) == "70"
+            raise ZeroDivisionError
+        spark.conf.set(name, "0")  # no bound
+        with c.batches_of(spark, most):
+            assert spark.conf.get(name) == str(most)
+        assert spark.conf.get(name) == "0"
+    finally:
+        spark.conf.set(name, was)
+
+
+def test_repeated_shingles_are_counted(spark, docs_of):
+    """frequent_shingles names what FREQUENT_FROM texts or more share, with exact counts inside a task."""
+    rows = [(i, f"a b c d {i}") for i in range(9)] + [(20 + i, f"e f g h {i}") for i in range(2)] + [(30, None), (31, "")]
+    s, n = ngram_join.frequent_shingles(docs_of(rows).coalesce(1))
+    want = next(ngram_join.shingle_sets(pa.array(["a b c d"]), 4))
+    assert s.tolist() == want.tolist() and n.tolist() == [3]
+    assert len(ngram_join.frequent_shingles(docs_of(rows[9:]).coalesce(1))[0]) == 0
